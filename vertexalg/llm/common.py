@@ -136,13 +136,22 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def word_hashes(body: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each word: a polynomial over its bytes, from differences of prefix sums."""
-    n = len(body)
-    up, down = _power(_BYTE_BASE, n + 1)
-    total = np.zeros(n + 1, _U64)
-    np.cumsum((body.astype(_U64) + _U64(1)) * up[:n], dtype=_U64, out=total[1:])
-    return mix((total[end] - total[start]) * down[start] + (end - start).astype(_U64))
+def word_hashes(body: np.ndarray, start: np.ndarray, end: np.ndarray, chunk: int = 1 << 19) -> np.ndarray:
+    """A 64-bit hash of each word: a polynomial over its bytes, from differences of prefix sums.
+    The sums are taken over about chunk bytes at a time, so that they stay in cache."""
+    out = np.empty(len(start), _U64)
+    a = 0
+    while a < len(start):
+        b = max(a + 1, int(np.searchsorted(end, start[a] + chunk, side="right")))
+        base = start[a]
+        n = int(end[b - 1] - base)
+        up, down = _power(_BYTE_BASE, n + 1)
+        total = np.zeros(n + 1, _U64)
+        np.cumsum((body[base : base + n].astype(_U64) + _U64(1)) * up[:n], dtype=_U64, out=total[1:])
+        i, j = start[a:b] - base, end[a:b] - base
+        out[a:b] = mix((total[j] - total[i]) * down[i] + (j - i).astype(_U64))
+        a = b
+    return out
 
 
 def window_hashes(words: np.ndarray, size: int) -> np.ndarray:

@@ -29,6 +29,7 @@ WINDOW, ANCHOR = 20, 8
 SLICE = 8 << 20
 _PHRASE = "block long, doc_id long, start int, n int, hashes binary, from_doc long, from_start int"
 _FACTOR = "doc_id long, start int, n int, from_doc long, from_start int"
+_AT_ONCE = 400_000  # windows of whole keys that are compared at a time
 _KEPT_BYTES = 6  # of a window's hash, beside the 8 bytes of the phrase's
 
 
@@ -128,15 +129,27 @@ def _resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return
     data = pa.Table.from_batches(kept).combine_chunks()
     kept.clear()
-    column = lambda k: data.column(k).to_numpy()
     # phrases whose block key stands alone can have no earlier source
-    key = column("block")
-    _, back, many = np.unique(key, return_inverse=True, return_counts=True)
-    data = data.filter(pa.array(many[back] > 1))
-    if not len(data):
-        return
+    key = data.column("block").to_numpy()
+    order = np.argsort(key, kind="stable")
+    ranked = key[order]
+    edge = np.flatnonzero(np.append(True, ranked[1:] != ranked[:-1]))
+    size = np.diff(np.append(edge, len(key)))
+    order = order[np.repeat(size > 1, size)]
+    size = size[size > 1]
+    weight = np.cumsum(np.add.reduceat(data.column("n").to_numpy()[order], np.cumsum(size) - size)) if len(size) else size
+    done = rows = 0
+    while done < len(size):
+        more = max(done + 1, int(np.searchsorted(weight, (weight[done - 1] if done else 0) + _AT_ONCE, side="right")))
+        take = int(size[done:more].sum())
+        if (found := _resolve_blocks(data.take(pa.array(order[rows : rows + take])))) is not None:
+            yield found
+        done, rows = more, rows + take
+
+
+def _resolve_blocks(data: pa.Table) -> pa.RecordBatch | None:
     data = data.sort_by([("doc_id", "ascending"), ("start", "ascending")]).combine_chunks()
-    key, doc0, start0, n = (column(k) for k in ("block", "doc_id", "start", "n"))
+    key, doc0, start0, n = (data.column(k).to_numpy() for k in ("block", "doc_id", "start", "n"))
     raw, _ = C.utf8(data.column("hashes"))
     wide = np.zeros((len(raw) // _KEPT_BYTES, 8), np.uint8)
     wide[:, :_KEPT_BYTES] = raw.reshape(-1, _KEPT_BYTES)
@@ -154,8 +167,9 @@ def _resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     source[order] = order[lead]
     later = (doc != doc[source]) | (pos != pos[source])
     f, n = _factors(doc, pos, doc[source], pos[source], later)
-    if len(f):
-        yield _batch(_FACTOR, doc_id=doc[f], start=pos[f].astype(np.int32), n=n, from_doc=doc[source][f], from_start=pos[source][f].astype(np.int32))
+    if not len(f):
+        return None
+    return _batch(_FACTOR, doc_id=doc[f], start=pos[f].astype(np.int32), n=n, from_doc=doc[source][f], from_start=pos[source][f].astype(np.int32))
 
 
 def factors(docs: DataFrame, size: int = WINDOW) -> DataFrame:
