@@ -7,8 +7,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from vertexalg.llm.decontamination import op5_decontamination
+from vertexalg.llm.near_dedup import op7_minhash_near_dedup
 from vertexalg.llm.packing import op4_best_fit_packing
 from vertexalg.llm.substring_dedup import op3_substring_dedup
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_substring_dedup, op4_best_fit_packing, op5_decontamination)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_substring_dedup, op4_best_fit_packing, op5_decontamination, op7_minhash_near_dedup)}
 ORACLES: dict[str, str] = {}
