@@ -101,7 +101,8 @@ def _parse(size: int):
                 later = (source != np.arange(len(order))) & ~((doc == doc[source]) & (pos == pos[source]))
                 f, n = _factors(doc, pos, doc[source], pos[source], later)
                 if len(f):
-                    yield _batch(_PHRASE, block=block[f].view(np.int64), doc_id=doc[f], start=pos[f], n=n, hashes=pa.nulls(len(f), pa.binary()), from_doc=doc[source][f], from_start=pos[source][f])
+                    # settled: any block will do
+                    yield _batch(_PHRASE, block=C.mix(doc[f].view(np.uint64) + pos[f].astype(np.uint64)).view(np.int64), doc_id=doc[f], start=pos[f], n=n, hashes=pa.nulls(len(f), pa.binary()), from_doc=doc[source][f], from_start=pos[source][f])
                 keep = np.flatnonzero(~later)
                 new = np.ones(len(keep), bool)
                 a, b = keep[1:], keep[:-1]
