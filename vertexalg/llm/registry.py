@@ -7,9 +7,13 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from vertexalg.llm.decontamination import op5_decontamination
+from vertexalg.llm.language_id import op1_language_id
 from vertexalg.llm.near_dedup import op7_minhash_near_dedup
 from vertexalg.llm.packing import op4_best_fit_packing
+from vertexalg.llm.quality_classifier import op10_quality_classifier
 from vertexalg.llm.substring_dedup import op3_substring_dedup
+from vertexalg.llm.vector_search import op9_nearest_neighbours
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op3_substring_dedup, op4_best_fit_packing, op5_decontamination, op7_minhash_near_dedup)}
+_ALL = (op1_language_id, op3_substring_dedup, op4_best_fit_packing, op5_decontamination, op7_minhash_near_dedup, op9_nearest_neighbours, op10_quality_classifier)
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in _ALL}
 ORACLES: dict[str, str] = {}
