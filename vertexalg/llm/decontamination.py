@@ -79,14 +79,23 @@ def _normalise(part: np.ndarray, off: np.ndarray):
 _HIT = "doc_id long, n_words long, hits array<struct<start: int, length: int>>, items array<string>"
 
 
+def _automaton(patterns: dict[bytes, tuple[int, list[str]]]):
+    import ahocorasick
+
+    machine = ahocorasick.Automaton()
+    for window, value in patterns.items():
+        machine.add_word(window.decode("latin-1"), value)
+    machine.make_automaton()
+    return machine
+
+
 def _scan(patterns: dict[bytes, tuple[int, list[str]]]):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import ahocorasick
+    built = []
 
-        machine = ahocorasick.Automaton()
-        for window, value in patterns.items():
-            machine.add_word(window.decode("latin-1"), value)
-        machine.make_automaton()
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if not built:
+            built.append(_automaton(patterns))
+        machine = built[0]
         for batch in batches:
             body, offsets = C.utf8(batch.column("text"))
             for i, j in C.row_slices(offsets):
@@ -154,5 +163,26 @@ def contamination_report(docs: DataFrame, items: DataFrame, size: int = WINDOW,
     return find_contamination(docs, items, size, limit).mapInArrow(_digest, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
 
 
+def keep_clean(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int = LIMIT) -> DataFrame:
+    """The rows of docs (text, any other columns) that hold no window of items (item_id, text); one filter per automaton."""
+    passages = items.select(F.col("item_id").cast("string"), F.col("text").cast("string")).where("item_id is not null")
+
+    def clean(patterns):
+        scan = _scan(patterns)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                key = pa.array(np.arange(len(batch)))
+                found = scan(iter([pa.RecordBatch.from_arrays([key, batch.column("text")], names=["doc_id", "text"])]))
+                hit = [len(x) for part in found for x in part.column("hits")]
+                yield batch.filter(pa.array(np.array(hit, np.int64) == 0))
+
+        return run
+
+    for block in _blocks(passages, size, limit):
+        docs = docs.mapInArrow(clean(block), docs.schema)
+    return docs
+
+
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination_report(C.table(spark, sf_dir, "documents"), C.table(spark, sf_dir, "benchmark"))

@@ -245,5 +245,11 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similarity: float = SI
     return tied.select("doc_id", class_id.alias("class_id")).select(C.original_id().alias("doc_id"), C.original_id("class_id").alias("class_id"))
 
 
+def keep_first(docs: DataFrame, **options) -> DataFrame:
+    """The rows of docs (doc_id, text, any other columns) that are the least id of their class."""
+    first = near_duplicates(docs.select("doc_id", "text"), **options).where("doc_id <=> class_id").select(C.known_id().alias("kept_id")).distinct()
+    return docs.join(first, C.known_id() == F.col("kept_id"), "left_semi")
+
+
 def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(C.table(spark, sf_dir, "documents"))

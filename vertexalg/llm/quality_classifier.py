@@ -183,6 +183,20 @@ def classify(docs: DataFrame, net: Network | None) -> DataFrame:
     return texts.mapInArrow(_score(net), "doc_id long, held_out boolean, score double, predicted int")
 
 
+def keep_good(docs: DataFrame, net: Network | None, threshold: float = 0.5) -> DataFrame:
+    """The rows of docs (text, any other columns) that score threshold at least; all of them without a model."""
+    table = net.tables().astype(np.float32) if net else None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            body, offsets = C.utf8(batch.column("text"))
+            for i, j in C.row_slices(offsets, 2 << 20):
+                p = net.score(table, *symbols(body[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]))
+                yield batch.slice(i, j - i).filter(pa.array(p >= threshold))
+
+    return docs.mapInArrow(run, docs.schema) if net else docs
+
+
 def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = C.table(spark, sf_dir, "documents").select("doc_id", "text")
     net = learn(docs, C.table(spark, sf_dir, "labels"))
