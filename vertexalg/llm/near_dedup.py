@@ -9,14 +9,14 @@ Equal coordinates have the probability of the weighted Jaccard similarity. Cost:
 Candidates share one of ``bands`` bands of ``rows`` coordinates: at similarity 0.8 a pair is missed with
 probability (1 - 0.8**6)**32 < 1e-4. All candidates are then judged on their whole shingle sets.
 
-Linking: documents of one shingle set are one node. Buckets of up to ``small`` nodes pair all of theirs;
-larger ones go in rounds: pivots, taken from the bucket's largest component, are compared with
-all nodes of other components, twice as many pivots each round, until a bucket is one component or all its nodes
-have been pivots. So no link is lost within a bucket, while groups of copies cost one comparison
-per copy and not one per pair.
-
-Scale: signatures never leave the task, band keys are 8 bytes, the text moves once per round (none where
-requests are few), pivots with many partners are salted, and components are stars of edges.
+Linking: documents of one shingle set are one node. Every bucket is first a star: all its nodes are compared with
+the most central one (that meets most others in its buckets), which costs one comparison per copy and not
+one per pair. Buckets that are not one component then have the rest compared: up to ``small`` nodes by pairs,
+larger ones inside tasks: buckets that overlap form a family, its nodes outside the largest component
+meet all of the family in blocks of ``block`` nodes, and only links leave the task. So every two nodes that share a bucket
+are compared or tied otherwise: no link is lost.
+
+Scale: signatures never leave the task, band keys are 8 bytes, the text moves to the candidates twice, pivots with many partners are salted, and components are stars of edges.
 """
 
 from __future__ import annotations
@@ -26,14 +26,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from vertexalg.llm import common as C
 from vertexalg.llm.components import components
 
 SHINGLE, SIMILARITY = 5, 0.8
-BANDS, ROWS, SMALL, SALT_ROWS = 32, 6, 8, 2000
+BANDS, ROWS, SMALL, SALT_ROWS, BLOCK = 32, 6, 8, 2000, 2000
 _CELLS = 200_000  # at a time
 _POISSON = np.cumsum(np.exp(-1) / np.array([1.0, *np.cumprod(np.arange(1.0, 20.0))]))
 _U = np.uint64
@@ -169,7 +168,7 @@ def _read_sets(size: int):
 
 
 def _compare(similarity: float, weighted: bool):
-    def load(raw: bytes) -> dict[int, int]:
+    def load(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
         rows = np.frombuffer(raw, [("h", "<u4"), ("n", "<u2")])
         return rows["h"], (rows["n"].astype(np.int64) if weighted else np.ones(len(rows), np.int64))
 
@@ -203,7 +202,62 @@ def _verified(pairs: DataFrame, texts: DataFrame, size: int, similarity: float,
     return grouped.mapInArrow(_compare(similarity, weighted), "pivot long, doc long")
 
 
-def near_duplicates(docs: DataFrame, size: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, weighted: bool = False) -> DataFrame:
+def _compare_block(similarity: float, weighted: bool, bands: int):
+    """One cell of a family: its asking nodes against its partners; pairs that share a band and are not tied yet."""
+
+    def run(asking: pa.Table, partners: pa.Table) -> pa.Table:
+        found: list[tuple[int, int]] = []
+        if len(asking) and len(partners):
+            side = []
+            for rows in (asking, partners):
+                raw, offsets = C.utf8(rows.column("shingles"))
+                flat = raw.view([("h", "<u4"), ("n", "<u2")])
+                keys = rows.column("bands").combine_chunks().flatten().to_numpy().reshape(-1, bands)
+                side.append((rows.column("doc").to_numpy(), rows.column("component").to_numpy(), keys, flat["h"], flat["n"].astype(np.int64) if weighted else np.ones(len(flat), np.int64), offsets // flat.itemsize))
+            (a_doc, a_part, a_keys, a_hash, a_count, a_at), (b_doc, b_part, b_keys, b_hash, b_count, b_at) = side
+            owner = np.repeat(np.arange(len(b_doc)), np.diff(b_at))
+            weight = np.bincount(owner, b_count, len(b_doc))
+            for r in range(len(a_doc)):
+                near = np.flatnonzero((a_keys[r] == b_keys).any(axis=1) & (a_part[r] != b_part))
+                if not len(near):
+                    continue
+                h, n = a_hash[a_at[r] : a_at[r + 1]], a_count[a_at[r] : a_at[r + 1]]
+                size = b_at[near + 1] - b_at[near]
+                flat = C.ranges(b_at[near], size)
+                at = np.minimum(np.searchsorted(h, b_hash[flat]), len(h) - 1)
+                common = np.where(h[at] == b_hash[flat], np.minimum(n[at], b_count[flat]), 0)
+                both = np.bincount(np.repeat(np.arange(len(near)), size), common, len(near))
+                alike = both >= similarity * (n.sum() + weight[near] - both) - 1e-9
+                found += [(int(a_doc[r]), int(x)) for x in b_doc[near[alike]]]
+        return pa.table({"pivot": pa.array([x for x, _ in found], pa.int64()), "doc": pa.array([y for _, y in found], pa.int64())})
+
+    return run
+
+
+def _rest(large: DataFrame, found: DataFrame, sets: DataFrame, texts: DataFrame, size: int, similarity: float, weighted: bool, bands: int, block: int) -> DataFrame:
+    """Links between nodes of open large buckets (key, doc, pivot) that stars left in different components (node, component)."""
+    named = large.join(found.withColumnRenamed("node", "doc"), "doc", "left").withColumn("component", F.coalesce("component", "doc"))
+    mixed = named.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("key")
+    open_ = C.materialise(named.join(mixed, "key").select("doc", "pivot", "component"), "open")
+    members = open_.select("doc", "component").distinct()
+    family = components(open_.where("doc <> pivot"), "doc", "pivot").withColumnRenamed("component", "family")
+    members = C.materialise(members.join(family.withColumnRenamed("node", "doc"), "doc"), "family")
+    parts = members.groupBy("family", "component").agg(F.count("*").alias("n"))
+    facts = parts.groupBy("family").agg(F.sum("n").alias("all"), F.max(F.struct("n", (-F.col("component")).alias("c"))).alias("m"))
+    facts = facts.select("family", (-F.col("m.c")).alias("main"), F.ceil(F.col("all") / block).cast("int").alias("blocks"), F.greatest(F.lit(1), F.ceil((F.col("all") - F.col("m.n")) / block)).cast("int").alias("askers"))
+    rows = members.join(facts, "family").join(sets.select("doc", "bands"), "doc")
+    told = rows.join(texts.withColumnRenamed("doc_id", "doc"), "doc").select("doc", F.col("family").alias("pivot"), F.lit(0).alias("salt"), "text").mapInArrow(_read_sets(size), "pivot long, salt int, doc long, shingles binary")
+    full = C.materialise(rows.join(told.select("doc", "shingles"), "doc"), "family_sets")
+    part = lambda n: F.pmod(F.xxhash64("doc"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    columns = ("family", "i", "j", "doc", "component", "bands", "shingles")
+    asking = full.where("component <> main").withColumn("i", part("askers")).withColumn("j", every("blocks")).select(*columns)
+    partners = full.withColumn("j", part("blocks")).withColumn("i", every("askers")).select(*columns)
+    cell = ("family", "i", "j")
+    return asking.groupBy(*cell).cogroup(partners.groupBy(*cell)).applyInArrow(_compare_block(similarity, weighted, bands), "pivot long, doc long")
+
+
+def near_duplicates(docs: DataFrame, size: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, weighted: bool = False, small: int = SMALL, block: int = BLOCK) -> DataFrame:
     """(doc_id, class_id) per row of docs (doc_id, text): class_id is the least doc_id of the connected group of
     documents tied by similarity of their word shingles (as sets, or with weighted by counts).
 
@@ -215,30 +269,19 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similarity: float = SI
     keys = sets.select("doc", F.explode("bands").alias("key")).distinct()
     shared = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     bucket = C.materialise(keys.join(shared, "key").select("key", "doc", "n"), "buckets")
-
-    small = bucket.where(F.col("n") <= SMALL)
-    pairs = small.alias("a").join(small.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.doc") < F.col("b.doc"))).select(F.col("a.doc").alias("pivot"), F.col("b.doc").alias("doc"))
-    large = bucket.where(F.col("n") > SMALL).select("key", "doc")
-    least = large.groupBy("key").agg(F.min("doc").alias("pivot"))
-    stars = large.join(least, "key").where("doc <> pivot").select("pivot", "doc")
-    links = C.materialise(_verified(pairs.union(stars).distinct(), texts, size, similarity, weighted), "links")
-    used = least.select("key", F.col("pivot").alias("doc"))
-    found, pivots = components(links, "pivot", "doc"), 1
-    while True:
-        # buckets that are not one component yet, with the nodes that haven't been pivots
-        named = large.join(found.withColumnRenamed("node", "doc"), "doc", "left").select("key", "doc", F.coalesce("component", "doc").alias("component"))
-        mixed = named.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("key")
-        named = C.materialise(named.join(mixed, "key").join(used.withColumn("used", F.lit(True)), ["key", "doc"], "left"), "open")
-        parts = named.groupBy("key", "component").agg(F.count("*").alias("n"))
-        ready = named.where("used is null").join(parts, ["key", "component"])
-        order = W.partitionBy("key").orderBy(F.desc("n"), "component", "doc")
-        chosen = C.materialise(ready.withColumn("r", F.row_number().over(order)).where(F.col("r") <= pivots).select("key", F.col("doc").alias("pivot"), F.col("component").alias("own")), "pivots")
-        if chosen.isEmpty():
-            break
-        tried = named.join(chosen, "key").where("component <> own").select("pivot", "doc").distinct()
-        links = links.union(C.materialise(_verified(tried, texts, size, similarity, weighted), "links"))
-        used = used.union(chosen.select("key", F.col("pivot").alias("doc")))
-        found, pivots = components(links, "pivot", "doc"), pivots * 2
+    central = bucket.groupBy("doc").agg(F.sum(F.col("n") - 1).alias("met"))
+    ranked = bucket.join(central, "doc").groupBy("key").agg(F.max(F.struct("met", (-F.col("doc")).alias("d"))).alias("m"))
+    starred = C.materialise(bucket.join(ranked.select("key", (-F.col("m.d")).alias("pivot")), "key"), "stars")
+    pairs = starred.where("doc <> pivot").select("pivot", "doc").distinct()
+    links = C.materialise(_verified(pairs, texts, size, similarity, weighted), "links")
+    found = components(links, "pivot", "doc")
+
+    few = starred.where((F.col("n") > 2) & (F.col("n") <= small)).join(found.withColumnRenamed("node", "doc"), "doc", "left").select("key", "doc", F.coalesce("component", "doc").alias("component"))
+    untied = few.alias("a").join(few.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.doc") < F.col("b.doc")) & (F.col("a.component") != F.col("b.component")))
+    left = untied.select(F.col("a.doc").alias("pivot"), F.col("b.doc").alias("doc")).distinct()
+    more = C.materialise(_verified(left, texts, size, similarity, weighted), "links")
+    rest = C.materialise(_rest(starred.where(F.col("n") > small), found, sets, texts, size, similarity, weighted, bands, block), "links")
+    found = components(links.union(more).union(rest), "pivot", "doc")
     classes = sets.select("set_a", "set_b", "doc").join(found.withColumnRenamed("node", "doc"), "doc", "left").select("set_a", "set_b", F.coalesce("component", "doc").alias("class_id"))
     tied = sketch.select("doc_id", "n", "set_a", "set_b").join(classes, ["set_a", "set_b"], "left")
     class_id = F.when(F.col("n") > 0, F.col("class_id")).otherwise(F.col("doc_id"))
