@@ -103,8 +103,8 @@ def turns(spark: SparkSession, d: str) -> DataFrame:
 
 def docshare(spark: SparkSession, d: str) -> DataFrame:
     """Documents that share a trimmed line of 20 characters or more; by definition a line in more than 50 documents ties none."""
-    line = F.explode(F.split("text", "\n"))
-    rows = table(spark, d, "documents").where("text is not null").select("doc_id", F.trim(line).alias("line")).where(F.length("line") >= SHARED_LINE).select("doc_id", F.sha2("line", 256).alias("line")).distinct()
+    lines = table(spark, d, "documents").where("text is not null").select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
+    rows = lines.select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= SHARED_LINE).select("doc_id", F.sha2("line", 256).alias("line")).distinct()
     few = rows.groupBy("line").agg(F.count("*").alias("n")).where((F.col("n") > 1) & (F.col("n") <= LINE_FANOUT)).select("line")
     kept = rows.join(few, "line")
     a, b = kept.withColumnRenamed("doc_id", "src"), kept.withColumnRenamed("doc_id", "dst")

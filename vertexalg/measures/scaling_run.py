@@ -1,0 +1,23 @@
+"""One timed run in a process of its own: algorithm, tables, graph, cores, iterations."""
+
+from __future__ import annotations
+
+import json
+import sys
+
+from pyspark.sql import SparkSession
+
+
+def main(algorithm: str, sf_dir: str, graph: str, cores: str, iterations: str) -> None:
+    from vertexalg.graphs import derive
+    from vertexalg.measures.ablation import bar
+    from vertexalg.registry import root_of
+
+    spark = SparkSession.builder.master(f"local[{cores}]").config("spark.sql.shuffle.partitions", cores).config("spark.ui.enabled", "false").getOrCreate()
+    g = derive.graph(spark, sf_dir, graph)
+    seconds, _ = bar("parallel", g, algorithm, root_of(g.edges), int(iterations), int(cores))
+    print(json.dumps({"seconds": seconds}))
+
+
+if __name__ == "__main__":
+    main(*sys.argv[1:])

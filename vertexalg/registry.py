@@ -236,3 +236,96 @@ _graphs()
 _methods()
 _factors()
 _preparation()
+
+
+def _products() -> None:
+    from vertexalg.baselines import native, semiring, triplet, workfront, worklist
+    from vertexalg.algorithms.bfs import BfsProgram
+    from vertexalg.algorithms.cf import GradientProgram, _model, rating_graph
+    from vertexalg.algorithms.pagerank import PageRankProgram, with_out_degree
+    from vertexalg.algorithms.sssp import SsspProgram
+    from vertexalg.matrix.dcsc import from_dcsc, to_dcsc
+    from vertexalg.matrix.spmv import spmv
+    from vertexalg.matrix.semirings import MIN_PLUS, OR_AND, PLUS_PAIR, PLUS_TIMES
+    from vertexalg.matrix.vectors import BitmapVector, PairVector
+    from vertexalg.operators.relational import OPERATORS
+
+    chain, hand = derive.SQL["basket_chain"], derive.SQL["handoff"]
+    for strategy in ("rows_broadcast", "cols_shuffle", "grid"):
+        add(f"spmv_{strategy}_pr", rank_query("handoff", strategy=strategy), rank_sql("handoff"))
+        add(f"spmv_{strategy}_sssp", sssp_query("handoff", strategy=strategy), sssp_sql("handoff"))
+        add(f"spmv_{strategy}_tc", triangle_query("handoff", strategy=strategy), S.triangles(hand))
+
+    ones = lambda g: g.vertices.select("vid", F.lit(1).cast("long").alias("value"))
+    for name, semiring_, x, sql in (
+        ("plus_times", PLUS_TIMES, ones, f"select dst as vid, sum(value)::bigint as value from ({hand}) group by dst"),
+        ("min_plus", MIN_PLUS, ones, f"select dst as vid, min(1 + value) as value from ({hand}) group by dst"),
+        ("plus_pair", PLUS_PAIR, ones, f"select dst as vid, count(*) as value from ({hand}) group by dst"),
+        ("or_and", OR_AND, lambda g: g.vertices.select("vid", (F.col("vid") % 2 == 0).alias("value")), f"select dst as vid, bool_or(src % 2 = 0 and value <> 0) as value from ({hand}) group by dst"),
+    ):
+        add(f"semiring_{name}", lambda s, d, m=semiring_, v=x: spmv(g := derive.graph(s, d, "handoff"), v(g), *m), sql)
+
+    levels = bfs_sql("basket_chain")
+    front = lambda s, d: bfs_query("basket_chain")(s, d).where("level is not null").select("vid", F.col("level").alias("val"))
+    add("vec_pairs", lambda s, d: PairVector(front(s, d)).df, f"select vid, level as val from ({levels})")
+    add("vec_bitmap", lambda s, d: BitmapVector.of(front(s, d)).to_pairs().df, f"select vid, level as val from ({levels})")
+    add("vec_bitmap_frontier", lambda s, d: BitmapVector.of(front(s, d).where("val = 2")).keep(derive.basket_chain(s, d)).select("src", "dst", "value"), f"select src, dst, value from ({chain}) where src in (select vid from ({levels}) where level = 2)")
+    add("dcsc_roundtrip", lambda s, d: from_dcsc(to_dcsc(derive.edges(s, d, "basket_chain"))), f"select src, dst, value from ({chain})")
+
+    def rooted(fn, name: str):
+        def run(s: SparkSession, d: str) -> DataFrame:
+            g = derive.graph(s, d, name)
+            return fn(g, root_of(g.edges))
+
+        return run
+
+    def triplet_bfs(g, root):
+        return triplet.run(BfsProgram([root]), prep.symmetrize(prep.drop_self_loops(g))).state.select("vid", "level")
+
+    add("triplet_pr", lambda s, d: ranked(triplet.run(PageRankProgram(), with_out_degree(derive.graph(s, d, "handoff")), 10).state), rank_sql("handoff"))
+    add("triplet_bfs", rooted(triplet_bfs, "handoff"), bfs_sql("handoff"))
+    add("triplet_sssp", rooted(lambda g, r: triplet.run(SsspProgram(r), g).state.select("vid", "dist"), "handoff"), sssp_sql("handoff"))
+    add("triplet_tc", lambda s, d: triplet.triangles_hash(derive.graph(s, d, "handoff")), S.triangles(hand))
+    k, rounds = 4, 3
+    small = f"with {S.factors(derive.RATINGS_SQL, k, rounds)} select side, id, {', '.join(f'round(l[{i + 1}], 4) as f{i}' for i in range(k))} from f"
+    shown = lambda m: m.factors.select("side", "id", *(F.round(f, 4).alias(f) for f in cf.fields(k)))
+    add("triplet_cf", lambda s, d: shown(_model(triplet.run(GradientProgram(k, 0.002, 0.05), rating_graph(derive.ratings(s, d)), rounds).state, k, [])), small)
+    add("semiring_pr", lambda s, d: ranked(semiring.pagerank(derive.graph(s, d, "handoff"))), rank_sql("handoff"))
+    add("semiring_bfs", rooted(semiring.bfs, "handoff"), bfs_sql("handoff"))
+    add("semiring_sssp", rooted(semiring.sssp, "handoff"), sssp_sql("handoff"))
+    add("semiring_sssp_grid3", rooted(lambda g, r: semiring.sssp(g, r, 3), "handoff"), sssp_sql("handoff"))
+    add("semiring_tc", lambda s, d: semiring.triangles_spgemm(derive.graph(s, d, "handoff")), S.triangles(hand))
+    add("semiring_tc_mask_early", lambda s, d: semiring.triangles_spgemm(derive.graph(s, d, "handoff"), False), S.triangles(hand))
+    add("semiring_cf", lambda s, d: shown(semiring.cf_gd(derive.ratings(s, d), k, iterations=rounds)), small)
+    add("triangle_cost", lambda s, d: semiring.wedges(derive.graph(s, d, "copurchase")), f"with e as ({S.upper(derive.SQL['copurchase'])}), a as (select dst as v, count(*) as a from e group by dst), b as (select src as v, count(*) as b from e group by src) select sum(a * b)::bigint as wedges from a join b using (v)")
+    for schedule in ("fifo", "bucket", "priority"):
+        add(f"worklist_sssp_{schedule}", rooted(lambda g, r, how=schedule: worklist.sssp(g, r, how), "handoff"), sssp_sql("handoff"))
+    add("worklist_bfs", rooted(worklist.bfs, "handoff"), bfs_sql("handoff"))
+    add("worklist_pr", lambda s, d: worklist.pagerank_residual(derive.graph(s, d, "handoff")).select("vid", F.round("rank", 2).alias("rank")))
+    add("worklist_tc", lambda s, d: worklist.triangles(derive.graph(s, d, "handoff")), S.triangles(hand))
+    add("worklist_cf", lambda s, d: worklist.cf(derive.ratings(s, d), k=k, epochs=1).factors)
+    add("native_pr", lambda s, d: ranked(native.pagerank(derive.graph(s, d, "handoff"))), rank_sql("handoff"))
+    add("native_bfs", rooted(native.bfs, "handoff"), bfs_sql("handoff"))
+    add("native_sssp", rooted(native.sssp, "handoff"), sssp_sql("handoff"))
+    add("native_tc", lambda s, d: native.triangles(derive.graph(s, d, "handoff")), S.triangles(hand))
+    add("native_cf", lambda s, d: native.cf(derive.ratings(s, d), k=k, epochs=1).factors)
+    add("workfront_sssp", rooted(workfront.sssp, "handoff"), sssp_sql("handoff"))
+    add("workfront_sssp_rmat_path", rooted(workfront.sssp, "rmat_path"), sssp_sql("rmat_path"))
+
+    from vertexalg.measures.ablation import opaque
+    from vertexalg.engine import run_program
+
+    for kind in ("udf", "arrow"):
+        add(f"mode_{kind}_sssp", rooted(lambda g, r, how=kind: run_program(g, opaque(SsspProgram(r), how)).state.select("vid", "dist"), "handoff"), sssp_sql("handoff"))
+    add("effort", lambda s, d: _effort(s))
+    for name, query, sql in OPERATORS:
+        add(name, query, sql)
+
+
+def _effort(s: SparkSession) -> DataFrame:
+    from vertexalg.measures.effort import effort
+
+    return s.createDataFrame(sorted(effort().items()), "program string, lines int")
+
+
+_products()
