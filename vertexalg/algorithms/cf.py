@@ -128,24 +128,25 @@ def recommend(model: CFModel, ratings: DataFrame, n: int = 5, users: int = 64) -
     k = model.k
     spread = model.user_factors.sparkSession.sparkContext.defaultParallelism
     group = F.pmod(F.xxhash64("id"), F.lit(spread)).cast("int")
-    left = model.user_factors.withColumn("g", group).withColumn("b", F.explode(F.sequence(F.lit(0), F.lit(spread - 1))))
-    right = model.item_factors.withColumn("b", group).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(spread - 1))))
-    seen = ratings.groupBy("user").agg(F.collect_set("item").alias("seen")).withColumnRenamed("user", "id")
+    every = F.explode(F.sequence(F.lit(0), F.lit(spread - 1)))
+    left = model.user_factors.select("id", F.array(*fields(k)).alias("p"), group.alias("g")).withColumn("b", every)
+    right = model.item_factors.select(F.col("id").alias("item"), F.array(*fields(k)).alias("q"), group.alias("ib")).withColumn("ig", every)
+    seen = ratings.groupBy(F.col("user").alias("id")).agg(F.collect_set("item").alias("seen"))
 
     def best(u: pd.DataFrame, i: pd.DataFrame) -> pd.DataFrame:
-        rows, i = [], i.sort_values("id")
-        items, q = i["id"].to_numpy(), i[fields(k)].to_numpy()
+        rows, i = [], i.sort_values("item")
+        items, q = i["item"].to_numpy(), np.array(i["q"].tolist()).reshape(len(i), k)
         for at in range(0, len(u) if len(i) else 0, users):
             part = u.iloc[at : at + users]
-            p = part[fields(k)].to_numpy()
+            p = np.array(part["p"].tolist())
             score = sum(p[:, j : j + 1] * q[None, :, j] for j in range(k))
             for r, (name, old) in enumerate(zip(part["id"], part["seen"], strict=True)):
                 s = np.where(np.isin(items, old if old is not None else []), -np.inf, score[r])
-                top = np.argsort(-s, kind="stable")[:n]
+                top = np.argsort(-np.round(s, 9), kind="stable")[:n]
                 rows += [(name, int(items[t]), float(s[t])) for t in top if np.isfinite(s[t])]
         return pd.DataFrame(rows, columns=["user", "item", "prediction"])
 
-    found = left.join(seen, "id", "left").groupBy("g", "b").cogroup(right.groupBy("g", "b")).applyInPandas(best, "user long, item long, prediction double")
+    found = left.join(seen, "id", "left").groupBy("g", "b").cogroup(right.groupBy("ig", "ib")).applyInPandas(best, "user long, item long, prediction double")
     rank = F.row_number().over(W.partitionBy("user").orderBy(F.desc(F.round("prediction", 9)), "item"))
     return found.withColumn("rank", rank).where(F.col("rank") <= n).select("user", "rank", "item", "prediction")
 

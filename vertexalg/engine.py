@@ -75,7 +75,8 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
 
     table, now = put(start if start is not None else init_state(g, program))
     state, active, messages, steps, old = table.df, now["active"], now["messages"], [], []
-    while messages and (bound is None or len(steps) < bound):
+    # where apply runs everywhere, a round without messages still moves states
+    while (messages or (program.apply_to == "all" and active)) and (bound is None or len(steps) < bound):
         began = time.time()
         senders = state.where("active") if program.activation == "changed" else state
         x = senders.select("vid", program.send(F.col).alias("_m")).where("_m is not null")

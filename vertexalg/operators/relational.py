@@ -249,13 +249,12 @@ def trade_gsets(s, d):
     return s.sql("select region, nation, sum(value) as lines, grouping_id(region, nation) as g from _trade_named group by grouping sets ((region), (nation), ())")
 
 
-@operator("frontier_bitmap", f"select vid // 64 as word_no, bit_or((1::hugeint << (vid % 64)::int))::hugeint::varchar as bits, count(*) as ids from (select vid from ({_levels_sql('basket_chain')}) where level = 2) group by all")
+@operator("frontier_bitmap", f"select word_no, (case when b >= 9223372036854775808 then b - 18446744073709551616 else b end)::bigint as bits, ids from (select vid // 64 as word_no, bit_or(1::hugeint << (vid % 64)::int) as b, count(*) as ids from ({_levels_sql('basket_chain')}) where level = 2 group by all)")
 def frontier_bitmap(s, d):
     from vertexalg.matrix.vectors import BitmapVector
 
     front = _levels(s, d, "basket_chain").where("level = 2").select("vid", F.lit(1).alias("val"))
-    bits = F.when(F.col("bits") < 0, F.lit(2).cast("decimal(38,0)") * F.lit(2**63).cast("decimal(20,0)") + F.col("bits")).otherwise(F.col("bits").cast("decimal(38,0)"))
-    return BitmapVector.of(front).df.select("word_no", bits.cast("decimal(38,0)").cast("string").alias("bits"), F.bit_count("bits").cast("long").alias("ids"))
+    return BitmapVector.of(front).df.select("word_no", "bits", F.bit_count("bits").cast("long").alias("ids"))
 
 
 @operator("degree_pct", f"select round(quantile_cont(o, 0.5), 6) as p50, round(quantile_cont(o, 0.9), 6) as p90, round(quantile_cont(i, 0.99), 6) as p99_in, round(stddev_samp(o), 6) as sd from ({_DEGREES})")
@@ -271,7 +270,7 @@ def degree_pct_approx(s, d):
 @operator("level_by_brand", f"select p_brand, count(*) filter (level = 1) as l1, count(*) filter (level = 2) as l2, count(*) filter (level = 3) as l3 from ({_levels_sql('basket_chain')}) join part on vid = p_partkey where level in (1, 2, 3) group by p_brand")
 def level_by_brand(s, d):
     brand = table(s, d, "part").select(F.col("p_partkey").alias("vid"), "p_brand")
-    wide_ = _levels(s, d, "basket_chain").join(brand, "vid").groupBy("p_brand").pivot("level", [1, 2, 3]).agg(F.count("*"))
+    wide_ = _levels(s, d, "basket_chain").join(brand, "vid").groupBy("p_brand").pivot("level", [1, 2, 3]).agg(F.count("vid"))
     return wide_.where("`1` is not null or `2` is not null or `3` is not null").select("p_brand", *(F.coalesce(F.col(f"`{i}`"), F.lit(0)).alias(f"l{i}") for i in (1, 2, 3)))
 
 
