@@ -42,7 +42,8 @@ def cut_points(body: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
     space = _SPACE[body]
     at_space = space & ~_SPACE[before] & ~wide_space
     latin = (two == 0xC3) & (before >= 0x80) & (before != 0x97) & (before != 0xB7)
-    after_letter = (_LETTER[before] | latin) & ~_LETTER[body] & (body < 0x80)
+    # not before |, which goes on the one special token that the file knows
+    after_letter = (_LETTER[before] | latin) & ~_LETTER[body] & (body < 0x80) & (body != 0x7C)
     begin = at_space | after_letter
     head = offsets[:-1][np.diff(offsets) > 0]
     begin[head] = True
