@@ -37,24 +37,22 @@ class Rule:
 #: The first three are the base kinds, in the order in which they rank.
 RULES = (
     Rule("assign", r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 1, 6),
-    Rule("access", r"AKIA[A-Z0-9]+", 0, 20),
-    Rule("hex", r"[0-9a-f]+", 0, 24),
+    # runs are maximal, so asking for the length in the pattern finds the same matches as dropping short ones after
+    Rule("access", r"AKIA[A-Z0-9]{16,}", 0, 20),
+    Rule("hex", r"[0-9a-f]{24,}", 0, 24),
     Rule("pem", r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----", 0, 1),
 )
 BASE = 3
 _SPAN = "array<struct<start: long, rank: int, kind: string, end: long>>"
 
 
-def _screen(rule: Rule) -> str:
-    """A cheap pattern that every text with a finding matches."""
-    return {"access": r"AKIA[A-Z0-9]{16}", "hex": r"[0-9a-f]{24}"}.get(rule.kind, rule.pattern)
-
-
 def spans_of(text: Column, rule: Rule, rank: int) -> Column:
     """Spans of the leftmost non-overlapping matches whose group is long enough; code points, end exclusive."""
     gaps, found = F.split(text, rule.pattern, -1), F.regexp_extract_all(text, F.lit(rule.pattern), F.lit(0))
     kept = F.regexp_extract_all(text, F.lit(rule.pattern), F.lit(rule.group))
-    rows = F.transform(found, lambda m, i: F.struct(F.length(F.get(gaps, i)).alias("gap"), F.length(m).alias("size"), F.length(F.get(kept, i)).alias("kept")))
+    # zipped first, so that a text is split once and not once per match; the gap after the last match goes
+    zipped = F.filter(F.arrays_zip(gaps.alias("gap"), found.alias("found"), kept.alias("kept")), lambda x: x["found"].isNotNull())
+    rows = F.transform(zipped, lambda x: F.struct(F.length(x["gap"]).alias("gap"), F.length(x["found"]).alias("size"), F.length(x["kept"]).alias("kept")))
     start = F.struct(F.lit(0).cast("long").alias("at"), F.expr(f"cast(array() as {_SPAN})").alias("out"))
 
     def step(acc: Column, m: Column) -> Column:
@@ -63,7 +61,7 @@ def spans_of(text: Column, rule: Rule, rank: int) -> Column:
         return F.struct((begin + m["size"]).alias("at"), F.when(m["kept"] >= rule.least, F.array_append(acc["out"], span)).otherwise(acc["out"]).alias("out"))
 
     spans = F.aggregate(rows, start, step, lambda acc: acc["out"])
-    return F.when(text.rlike(_screen(rule)), spans).otherwise(F.expr(f"cast(array() as {_SPAN})"))
+    return F.when(text.rlike(rule.pattern), spans).otherwise(F.expr(f"cast(array() as {_SPAN})"))
 
 
 def scan_blobs(blobs: DataFrame, rules: tuple[Rule, ...] = RULES, ledger: DataFrame | None = None) -> DataFrame:
@@ -137,7 +135,9 @@ def redact(docs: DataFrame, rules: tuple[Rule, ...] = RULES, mark: str = "[secre
     return keyed.withColumn("text", F.when(F.col("spans").isNotNull(), clean).otherwise(F.col("text"))).select(*docs.columns)
 
 
-_ORACLE_RULES = [(r.kind, r.pattern.replace("'", "''"), r.group, r.least, k) for k, r in enumerate(RULES)]
+# the SQL finds whole runs and drops short ones after, as the kinds are defined
+_WHOLE = {"access": r"AKIA[A-Z0-9]+", "hex": r"[0-9a-f]+"}
+_ORACLE_RULES = [(r.kind, _WHOLE.get(r.kind, r.pattern).replace("'", "''"), r.group, r.least, k) for k, r in enumerate(RULES)]
 OP2_SQL = (
     "with d as (select doc_id, coalesce(text, '') as text from documents), m as ("
     + " union all ".join(f"select doc_id, '{kind}' as kind, {k} as rank, {least} as least, string_split_regex(text, '{p}') as gaps, regexp_extract_all(text, '{p}') as found, regexp_extract_all(text, '{p}', {g}) as kept from d" for kind, p, g, least, k in _ORACLE_RULES)
