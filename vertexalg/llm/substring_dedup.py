@@ -30,7 +30,7 @@ SLICE = 8 << 20
 _PHRASE = "block long, doc_id long, start int, n int, hashes binary, from_doc long, from_start int"
 _FACTOR = "doc_id long, start int, n int, from_doc long, from_start int"
 _AT_ONCE = 400_000  # windows of whole keys that are compared at a time
-_KEPT_BYTES = 6  # of a window's hash, beside the 8 bytes of the phrase's
+_KEPT_BYTES = 5  # of a window's hash, beside the 8 bytes of the phrase's
 
 
 def _least(values: np.ndarray, width: int) -> np.ndarray:
