@@ -53,7 +53,7 @@ def test_block_kernel(spark, edges):
 
 
 def test_vectors(spark, edges):
-    pairs = PairVector(spark.createDataFrame([(i, i * i) for i in (0, 1, 63, 64, 127, 2**33)], "vid long, val long"))
+    pairs = PairVector(spark.createDataFrame([(i, i % 100) for i in (0, 1, 63, 64, 127, 2**33)], "vid long, val long"))
     bits = pairs.to_bitmap()
     assert same(bits.to_pairs(), pairs) and bits.count() == 6
     assert rows_of(bits.keep(edges, "dst").select("src", "dst")) == rows_of(pairs.keep(edges, "dst").select("src", "dst"))
@@ -218,3 +218,60 @@ def test_counters(spark, edges):
     assert c["records"] > 0
     assert normalised({"engine": {"a": 2.0}, "x": {"a": 4.0}})["x"]["a"] == 2.0
     assert all(0 < n < 60 for n in effort().values())
+
+
+def test_late_rows_and_repeats(spark, tmp_path):
+    from vertexalg.streaming import edges as S
+
+    rows = lambda items: spark.createDataFrame([(i, t, 1, "a", 1.0, "{}") for i, t in items], "event_id long, ts string, user_id long, event_type string, value double, props string").withColumn("ts", F.col("ts").cast("timestamp_ntz"))
+    folder = str(tmp_path / "late")
+    rows([(1, "2024-01-01 00:00:00"), (2, "2024-01-01 12:00:00")]).coalesce(1).write.mode("append").parquet(folder)
+    stream = S.without_repeats(S.stream_edges(S.event_stream(spark, folder)))
+    query = stream.writeStream.format("memory").queryName("late").outputMode("append").option("checkpointLocation", str(tmp_path / "cp")).start()
+    query.processAllAvailable()
+    # one is a repeat, one comes days after the watermark has passed it
+    rows([(2, "2024-01-01 12:00:00"), (3, "2024-01-01 01:00:00"), (4, "2024-01-01 12:30:00")]).coalesce(1).write.mode("append").parquet(folder)
+    query.processAllAvailable()
+    query.stop()
+    assert sorted(r.event_id for r in spark.table("late").collect()) == [1, 2, 4]
+
+
+def test_running_degree(spark, tmp_path):
+    from vertexalg.streaming import edges as S
+
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        folder = str(tmp_path / "edges")
+        frame = lambda r: spark.createDataFrame(r, "src long, dst long")
+        frame([(1, 2), (3, 2)]).coalesce(1).write.parquet(folder)
+        stream = S.running_degree(spark.readStream.schema("src long, dst long").option("maxFilesPerTrigger", 1).parquet(folder))
+        query = stream.writeStream.format("memory").queryName("running").outputMode("update").option("checkpointLocation", str(tmp_path / "cp")).start()
+        query.processAllAvailable()
+        frame([(4, 2), (4, 5)]).coalesce(1).write.mode("append").parquet(folder)
+        query.processAllAvailable()
+        query.stop()
+        assert sorted(tuple(r) for r in spark.table("running").collect()) == [(2, 2), (2, 3), (5, 1)]
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+
+
+def test_stream_joins(spark, sf, tmp_path):
+    from vertexalg.streaming import edges as S
+
+    rows = spark.read.parquet(f"{sf}/events.parquet")
+    rows.write.parquet(str(tmp_path / "in"))
+    events = S.event_stream(spark, str(tmp_path / "in"))
+    names = spark.createDataFrame([("click", 1), ("view", 2)], "event_type string, code int")
+    query = events.join(names, "event_type").writeStream.format("memory").queryName("static").outputMode("append").start()
+    query.processAllAvailable()
+    query.stop()
+    assert spark.table("static").count() == rows.join(names, "event_type").count()
+    a = events.withWatermark("ts", "1 hour").select(F.col("ts").alias("ta"), "user_id", F.col("event_id").alias("a"))
+    b = S.event_stream(spark, str(tmp_path / "in")).withWatermark("ts", "1 hour").select(F.col("ts").alias("tb"), F.col("user_id").alias("u"), F.col("event_id").alias("b"))
+    near = (F.col("user_id") == F.col("u")) & F.expr("tb > ta and tb <= ta + interval 1 hour")
+    query = a.join(b, near).writeStream.format("memory").queryName("near").outputMode("append").start()
+    query.processAllAvailable()
+    query.stop()
+    ts = rows.select(F.col("ts").cast("timestamp").alias("ta"), "user_id", F.col("event_id").alias("a"))
+    batch = ts.join(ts.toDF("tb", "u", "b"), near)
+    assert spark.table("near").count() == batch.count()

@@ -10,8 +10,10 @@ from pyspark.sql import DataFrame
 
 def operators(df: DataFrame) -> Counter:
     """Names of physical operators and how often they stand in the plan (before adaptive changes)."""
-    text = df._jdf.queryExecution().executedPlan().toString()
-    text = text.split("== Initial Plan ==")[-1]
+    plan = df._jdf.queryExecution().executedPlan()
+    if plan.getClass().getSimpleName() == "AdaptiveSparkPlanExec":
+        plan = plan.initialPlan()
+    text = plan.toString()
     # what a cached relation was made from has run already
     kept, depth = [], None
     for line in text.split("\n"):

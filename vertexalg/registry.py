@@ -317,6 +317,12 @@ def _products() -> None:
 
     for kind in ("udf", "arrow"):
         add(f"mode_{kind}_sssp", rooted(lambda g, r, how=kind: run_program(g, opaque(SsspProgram(r), how)).state.select("vid", "dist"), "handoff"), sssp_sql("handoff"))
+    from vertexalg.measures import experiments
+
+    add("bench_table2", experiments.against_frameworks)
+    add("bench_table3", experiments.against_native)
+    add("bench_ablation", experiments.ablation_rows)
+    add("bench_counters", experiments.counter_rows)
     add("effort", lambda s, d: _effort(s))
     for name, query, sql in OPERATORS:
         add(name, query, sql)
