@@ -166,7 +166,7 @@ def _factors() -> None:
     add("cf_objective_per_rating", lambda s, d: rounded(cf.objective(*pairs(s, d)), "objective"), f"with {sql} select round(sum((rating - prediction) ** 2 + 0.05 * list_dot_product(p, p) + 0.05 * list_dot_product(q, q)), 4) as objective from ({S.PREDICTED})")
     add("cf_objective_per_vertex", lambda s, d: rounded(cf.objective(*pairs(s, d), form="per_vertex"), "objective"), f"with {sql} select round((select sum((rating - prediction) ** 2) from ({S.PREDICTED})) + 0.05 * (select sum(list_dot_product(l, l)) from f), 4) as objective")
     add("cf_predict", lambda s, d: cf.predict(*pairs(s, d)).withColumn("prediction", F.round("prediction", 4)), f"with {sql} select \"user\", item, rating, round(prediction, 4) as prediction from ({S.PREDICTED})")
-    add("cf_error", lambda s, d: cf.rating_error(*pairs(s, d)).withColumn("error", F.round("error", 4)), f"with {sql} select \"user\", item, rating, round(rating - prediction, 4) as error from ({S.PREDICTED})")
+    add("cf_error", lambda s, d: cf.rating_error(*pairs(s, d)).withColumn("error", F.round("error", 4) + F.lit(0.0)), f"with {sql} select \"user\", item, rating, round(rating - prediction, 4) + 0.0 as error from ({S.PREDICTED})")
 
     def recommended(s: SparkSession, d: str) -> DataFrame:
         rows, m = pairs(s, d)
