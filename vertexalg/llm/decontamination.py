@@ -186,3 +186,15 @@ def keep_clean(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int
 
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination_report(C.table(spark, sf_dir, "documents"), C.table(spark, sf_dir, "benchmark"))
+
+
+#: Windows of documents and items as text, joined; one row per document.
+OP5_SQL = r"""with d as materialized (select row_number() over () as r, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') as w from documents),
+b as materialized (select item_id, w, least(len(w), 10) as n from (select distinct item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') as w from benchmark where item_id is not null)),
+p as materialized (select distinct item_id, n, array_to_string(w[i : i + n - 1], ' ') as shown from b, unnest(generate_series(1, len(w) - n + 1)) u(i) where n > 0),
+x as materialized (select r, i, n, array_to_string(w[i : i + n - 1], ' ') as shown from d, (select distinct n from p), unnest(generate_series(1, len(w) - n + 1)) u(i)),
+o as materialized (select r, i, n, item_id from x join p using (n, shown)),
+h as (select r, count(distinct k) as n_hit from o, unnest(generate_series(i, i + n - 1)) u(k) group by r),
+t as (select r, count(distinct item_id) as n_items, array_to_string(list_sort(list(distinct item_id::varchar)), ',') as items from o group by r)
+select doc_id, len(w)::bigint as n_words, coalesce(n_hit, 0)::bigint as n_hit, coalesce(n_items, 0)::bigint as n_items, sha256(coalesce(items, '')) as items_sha256, n_hit is not null as contaminated
+from d left join h using (r) left join t using (r)"""

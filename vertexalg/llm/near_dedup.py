@@ -296,3 +296,17 @@ def keep_first(docs: DataFrame, **options) -> DataFrame:
 
 def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(C.table(spark, sf_dir, "documents"))
+
+
+#: All pairs that share a shingle, judged exactly, and the least id of each connected group.
+OP7_SQL = r"""with recursive d as materialized (select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as w from documents),
+s as materialized (select distinct doc_id, array_to_string(w[i : i + 4], ' ') as shown from d, unnest(generate_series(1, greatest(len(w) - 4, 1))) u(i) where len(w) > 0),
+n as materialized (select doc_id, count(*) as n from s group by doc_id),
+c as materialized (select a.doc_id as x, b.doc_id as y, count(*) as shared from s a join s b on a.shown = b.shown and a.doc_id < b.doc_id group by all),
+l as materialized (select x, y from c join n p on p.doc_id = x join n q on q.doc_id = y where 5 * shared >= 4 * (p.n + q.n - shared)),
+e as materialized (select x, y from l union all select y, x from l),
+k(doc_id, class_id) using key (doc_id) as (
+ select doc_id, doc_id from documents
+ union
+ select e.y, min(k.class_id) from k join e on e.x = k.doc_id join recurring.k as old on old.doc_id = e.y where k.class_id < old.class_id group by e.y)
+select doc_id, class_id from k"""

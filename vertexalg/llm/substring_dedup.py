@@ -223,3 +223,13 @@ def remove_repeats(docs: DataFrame, size: int = WINDOW, digest: bool = False) ->
 
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(C.table(spark, sf_dir, "documents"), digest=True).withColumnRenamed("kept", "kept_sha256")
+
+
+#: Every window of 20 words by itself; those that stand earlier too cover the words that go.
+OP3_SQL = r"""with d as materialized (select doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as w from documents),
+x as materialized (select doc_id, i, array_to_string(w[i : i + 19], ' ') as shown from d, unnest(generate_series(1, len(w) - 19)) u(i)),
+again as (select doc_id, i from (select doc_id, i, row_number() over (partition by shown order by doc_id, i) as k from x) where k > 1),
+gone as (select distinct doc_id, p from again, unnest(generate_series(i, i + 19)) u(p)),
+words as (select doc_id, unnest(w) as word, generate_subscripts(w, 1) as p from d),
+kept as (select doc_id, count(*) as n, string_agg(word, ' ' order by p) as text from words anti join gone using (doc_id, p) group by doc_id)
+select doc_id, len(w)::bigint as n_words, (len(w) - coalesce(n, 0))::bigint as n_removed, sha256(coalesce(kept.text, '')) as kept_sha256 from d left join kept using (doc_id)"""
