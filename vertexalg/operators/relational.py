@@ -440,17 +440,33 @@ def knn(s, d):
     return pairs.withColumn("r", F.row_number().over(order)).where("r <= 8").select("src", "dst", F.round("c", 6).alias("value"))
 
 
-@operator("benchmark_hits", "select doc_id, item_id from documents d join (select item_id, array_to_string(string_split(text, ' ')[1:5], ' ') as head from benchmark) b on contains(d.text, b.head)")
+_PIECES = "' ' || replace({}.text, chr(10), ' ') || ' '"
+
+
+def _runs(pieces: str, n: int):
+    """All runs of n pieces, each as one text."""
+    return F.transform(F.sequence(F.lit(1), F.size(pieces) - (n - 1)), lambda i: F.array_join(F.slice(pieces, i, n), " "))
+
+
+@operator("benchmark_hits", f"select doc_id, item_id from documents d join benchmark b on length(b.text) > 0 and contains({_PIECES.format('d')}, {_PIECES.format('b')})")
 def benchmark_hits(s, d):
-    """Documents that hold the first five words of a passage: shingles of five words are joined on, then checked."""
-    items = table(s, d, "benchmark").select("item_id", F.array_join(F.slice(F.split("text", " "), 1, 5), " ").alias("head"))
-    # the last word of a head may go on in the text, the first may end an earlier word: the middle ones must be equal
-    middle = F.array_join(F.slice(F.split("head", " "), 2, 3), " ")
+    """Documents that hold a whole passage, piece by piece (pieces are parted by spaces or ends of lines).
+
+    A passage's first three pieces (or all, if fewer) are joined with the documents' runs of as many, then all of it is checked."""
+    padded = F.concat(F.lit(" "), F.translate("text", "\n", " "), F.lit(" "))
+    pieces = F.split(F.translate("text", "\n", " "), " ")
+    items = table(s, d, "benchmark").where("length(text) > 0").select("item_id", padded.alias("passage"), pieces.alias("p"))
+    items = items.withColumn("n", F.least(F.size("p"), F.lit(3))).select("item_id", "passage", "n", F.array_join(F.slice("p", F.lit(1), F.col("n")), " ").alias("key"))
     docs = table(s, d, "documents").where("text is not null").select("doc_id", "text")
-    words = F.split("text", " ")
-    keys = docs.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(words) - 2, F.lit(1))), lambda i: F.array_join(F.slice(words, i, 3), " ")))).alias("key"))
-    near = keys.join(items.withColumn("key", middle), "key").select("doc_id", "item_id", "head").distinct()
-    return near.join(docs, "doc_id").where(F.contains("text", "head")).select("doc_id", "item_id")
+    # the pieces are a column of their own: inside the lambda they would be split anew for every place
+    cut = docs.select("doc_id", pieces.alias("w"))
+    found = None
+    for n in sorted(r[0] for r in items.select("n").distinct().collect()):  # three numbers at most
+        keys = cut.where(F.size("w") >= n).select("doc_id", F.explode(F.array_distinct(_runs("w", n))).alias("key"))
+        near = keys.join(items.where(F.col("n") == n), "key").select("doc_id", "item_id", "passage").distinct()
+        hits = near.join(docs, "doc_id").where(F.contains(padded, F.col("passage"))).select("doc_id", "item_id")
+        found = hits if found is None else found.unionByName(hits)
+    return docs.join(items, F.lit(False)).select("doc_id", "item_id") if found is None else found
 
 
 _GOOD = "select doc_id from labels where quality = 1"
