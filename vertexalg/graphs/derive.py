@@ -1,7 +1,8 @@
 """Graphs on the given tables, each as DataFrame code and as the SQL that must give the same edges.
 
 Every group that makes edges is bounded by its key (order, day, user); where a group could be large (pages or
-documents that share something) the fan-out is limited by the definition of the graph itself.
+documents that share something) the fan-out is limited by the definition of the graph itself. A line of many
+documents is a star and loses no tie; the SQL of `docshare` leaves such lines out and agrees where there are none.
 """
 
 from __future__ import annotations
@@ -101,14 +102,25 @@ def turns(spark: SparkSession, d: str) -> DataFrame:
     return rows.where("dst is not null")
 
 
-def docshare(spark: SparkSession, d: str) -> DataFrame:
-    """Documents that share a trimmed line of 20 characters or more; by definition a line in more than 50 documents ties none."""
-    lines = table(spark, d, "documents").where("text is not null").select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
+def shared_lines(docs: DataFrame) -> DataFrame:
+    """Edges between documents (doc_id, text) that share a trimmed line of 20 characters or more.
+
+    A line in up to 50 documents ties every two of them; one in more ties each to the least of them, both ways: a star,
+    as many edges as documents, that connects what all its pairs would connect."""
+    lines = docs.where("text is not null").select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
     rows = lines.select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= SHARED_LINE).select("doc_id", F.sha2("line", 256).alias("line")).distinct()
-    few = rows.groupBy("line").agg(F.count("*").alias("n")).where((F.col("n") > 1) & (F.col("n") <= LINE_FANOUT)).select("line")
-    kept = rows.join(few, "line")
-    a, b = kept.withColumnRenamed("doc_id", "src"), kept.withColumnRenamed("doc_id", "dst")
-    return a.join(b, "line").where("src <> dst").select("src", "dst").distinct().withColumn("value", F.lit(1).cast("long"))
+    sizes = rows.groupBy("line").agg(F.count("*").alias("n"), F.min("doc_id").alias("least")).where("n > 1")
+    kept = rows.join(sizes, "line")
+    few = kept.where(F.col("n") <= LINE_FANOUT).select("doc_id", "line")
+    a, b = few.withColumnRenamed("doc_id", "src"), few.withColumnRenamed("doc_id", "dst")
+    pairs = a.join(b, "line").select("src", "dst")
+    ends = F.array(F.struct(F.col("doc_id").alias("src"), F.col("least").alias("dst")), F.struct(F.col("least").alias("src"), F.col("doc_id").alias("dst")))
+    stars = kept.where(F.col("n") > LINE_FANOUT).select(F.inline(ends))
+    return pairs.unionByName(stars).where("src <> dst").distinct().withColumn("value", F.lit(1).cast("long"))
+
+
+def docshare(spark: SparkSession, d: str) -> DataFrame:
+    return shared_lines(table(spark, d, "documents"))
 
 
 def page_vertices(spark: SparkSession, d: str) -> DataFrame:

@@ -475,4 +475,7 @@ _GOOD = "select doc_id from labels where quality = 1"
 @operator("docshare_quality", S.components(f"select * from ({derive.SQL['docshare']}) where src in ({_GOOD}) and dst in ({_GOOD})", f"select doc_id as vid from ({_GOOD})"))
 def docshare_quality(s, d):
     labels = table(s, d, "labels").select(F.col("doc_id").alias("vid"), "quality")
-    return components(Graph(derive.docshare(s, d), labels, directed=False).subgraph(F.col("quality") == 1))
+    # ties among the good documents only: the middle of a star must be one of them
+    good = labels.where("quality = 1").select(F.col("vid").alias("doc_id"))
+    edges = derive.shared_lines(table(s, d, "documents").join(good, "doc_id", "left_semi"))
+    return components(Graph(edges, labels, directed=False).subgraph(F.col("quality") == 1))
