@@ -1,10 +1,12 @@
 """Queries that leave nothing out: frequent lines, every vector."""
 
+import numpy as np
 import pytest
 
 from vertexalg.algorithms.components import components
 from vertexalg.graphs import derive
 from vertexalg.operators import relational
+from vertexalg.operators.knn import nearest_vectors
 
 
 @pytest.fixture
@@ -25,3 +27,29 @@ def test_frequent_lines(spark, lines):
     assert whole == {(i, 0) for i in range(60)} | {(100, 100), (101, 101)}
     good = {tuple(r) for r in relational.docshare_quality(spark, lines).collect()}
     assert good == {(i, 1) for i in range(1, 60)} | {(100, 100)}
+
+
+def test_every_vector(spark, sf):
+    rows = spark.read.parquet(f"{sf}/embeddings.parquet").collect()
+    ids, x = np.array([r.vec_id for r in rows]), np.array([r.embedding for r in rows], float)
+    unit = x / np.sqrt((x * x).sum(axis=1))[:, None]
+    c = np.round(unit @ unit.T, 9)
+    c[ids[:, None] == ids[None]] = -9
+    want = {(int(ids[i]), int(ids[j])): c[i, j] for i in range(len(ids)) for j in np.lexsort((ids, -c[i]))[:8]}
+    got = {(r.src, r.dst): r.value for r in relational.knn(spark, sf).collect()}
+    assert got.keys() == want.keys() and len(got) == 8 * len(ids)
+    assert all(got[k] == pytest.approx(want[k], abs=2e-6) for k in got)
+
+
+def test_vector_grid(spark):
+    rng = np.random.default_rng(4)
+    x = rng.integers(-2, 3, (70, 4)).astype(float)  # many ties and some zero vectors
+    rows = [(i, [float(v) for v in x[i]]) for i in range(70)] + [(3, [float(v) for v in x[3]]), (80, None), (81, [1.0, None, 1.0, 1.0]), (82, [float("nan")] * 4), (None, [1.0] * 4), (83, [1.0]), (84, [2.0])]
+    length = np.sqrt((x * x).sum(axis=1))
+    want = {(83, 84), (84, 83)}
+    for i in np.flatnonzero(length):
+        c = np.round(x @ x[i] / np.where(length > 0, length, 1) / length[i], 9)
+        c[(length == 0) | (np.arange(70) == i)] = -9
+        want |= {(int(i), int(j)) for j in np.lexsort((np.arange(70), -c))[:8]}
+    got = [(r.src, r.dst) for r in nearest_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), 8, block=16).collect()]
+    assert len(got) == len(want) and set(got) == want

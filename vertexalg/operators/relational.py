@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from vertexalg.algorithms.bfs import bfs
 from vertexalg.algorithms.components import components
 from vertexalg.algorithms.pagerank import pagerank
-from vertexalg.functions.vectors import cosine, wide
+from vertexalg.functions.vectors import wide
 from vertexalg.graphs import derive
 from vertexalg.graphs.graph import Graph
 from vertexalg.oracles import methods as S
@@ -430,14 +430,10 @@ def dot_product(s, d):
 
 @operator("knn", "with v as (select vec_id, embedding::double[] as x from embeddings), p as (select a.vec_id as src, b.vec_id as dst, list_cosine_similarity(a.x, b.x) as c from v a join v b on a.vec_id <> b.vec_id where a.vec_id % 25 = 0), r as (select *, row_number() over (partition by src order by round(c, 9) desc, dst) as r from p) select src, dst, round(c, 6) as value from r where r <= 8")
 def knn(s, d):
-    """The mesh of nearest vectors from every 25th one: a stated query set, small enough to go to every task after a check."""
-    v = table(s, d, "embeddings").select(F.col("vec_id"), wide("embedding").alias("x"))
-    queries = v.where("vec_id % 25 = 0").select(F.col("vec_id").alias("src"), F.col("x").alias("q"))
-    if queries.count() > 20_000:
-        raise ValueError("too many queries for one broadcast")
-    pairs = v.join(F.broadcast(queries), F.col("vec_id") != F.col("src")).select("src", F.col("vec_id").alias("dst"), cosine(F.col("q"), F.col("x")).alias("c"))
-    order = W.partitionBy("src").orderBy(F.desc(F.round("c", 9)), "dst")
-    return pairs.withColumn("r", F.row_number().over(order)).where("r <= 8").select("src", "dst", F.round("c", 6).alias("value"))
+    """The mesh of the 8 nearest vectors of every vector; the SQL has the rows of every 25th source."""
+    from vertexalg.operators.knn import nearest_vectors
+
+    return nearest_vectors(table(s, d, "embeddings").select("vec_id", "embedding"), 8)
 
 
 _PIECES = "' ' || replace({}.text, chr(10), ' ') || ' '"
