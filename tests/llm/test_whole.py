@@ -1,0 +1,16 @@
+"""Text operators on rows whose ids repeat or are null, and on benchmark items without an id."""
+
+import hashlib
+
+from vertexalg.llm import decontamination
+from tests.llm.test_operators import ODD, odd, plain  # noqa: F401
+
+
+def test_passes_keep_rows(spark, odd):  # noqa: F811
+    items = spark.createDataFrame([(1, "B c"), (2, None), (3, "é x"), (4, "a b c a b c a b c a"), (5, "x y")], "item_id long, text string")
+    more = spark.createDataFrame([(None, "x y", 7, "x"), (1, "q x y", 7, "x"), (None, "nothing", 7, "x")], odd.schema)
+    frame = odd.union(more)
+    one, many = (decontamination.contamination_report(frame, items, limit=limit).collect() for limit in (1 << 20, 8))
+    assert plain(many) == plain(one) and len(many) == len(ODD) + 3
+    digest = lambda *x: hashlib.sha256(",".join(x).encode()).hexdigest()
+    assert {tuple(r) for r in many if r.doc_id is None} == {(None, 90, 90, 2, digest("1", "4"), True), (None, 2, 2, 1, digest("5"), True), (None, 1, 0, 0, digest(), False)}

@@ -6,7 +6,7 @@ hits are mapped back through the numbers of the words, whose byte places in the
 
 Scale: the text is scanned where it lies and never shuffled. The automaton is shipped with the task,
 so its size is checked: patterns beyond ``limit`` bytes go to further automata, each with a scan of
-its own, and the hits are merged by document.
+its own over the texts, written once with a number for each row, by which the hits are merged.
 """
 
 from __future__ import annotations
@@ -76,7 +76,7 @@ def _normalise(part: np.ndarray, off: np.ndarray):
     return text, start, end, first
 
 
-_HIT = "doc_id long, n_words long, hits array<struct<start: int, length: int>>, items array<string>"
+_HIT = "{} long, n_words long, hits array<struct<start: int, length: int>>, items array<string>"
 
 
 def _automaton(patterns: dict[bytes, tuple[int, list[str]]]):
@@ -89,7 +89,7 @@ def _automaton(patterns: dict[bytes, tuple[int, list[str]]]):
     return machine
 
 
-def _scan(patterns: dict[bytes, tuple[int, list[str]]]):
+def _scan(patterns: dict[bytes, tuple[int, list[str]]], key: str = "doc_id"):
     built = []
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -120,10 +120,10 @@ def _scan(patterns: dict[bytes, tuple[int, list[str]]]):
                     for r, s, n, owners in zip(row.tolist(), (last - length + 1 - first[row]).tolist(), lengths, which, strict=True):
                         hits[r].append({"start": s, "length": n})
                         items[r].update(owners)
-                columns = [batch.column("doc_id").slice(i, j - i), pa.array(np.diff(first), pa.int64())]
+                columns = [batch.column(key).slice(i, j - i), pa.array(np.diff(first), pa.int64())]
                 columns.append(pa.array(hits, pa.list_(pa.struct([("start", pa.int32()), ("length", pa.int32())]))))
                 columns.append(pa.array([sorted(x) for x in items], pa.list_(pa.string())))
-                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_words", "hits", "items"])
+                yield pa.RecordBatch.from_arrays(columns, names=[key, "n_words", "hits", "items"])
 
     return run
 
@@ -134,14 +134,17 @@ def find_contamination(docs: DataFrame, items: DataFrame, size: int = WINDOW, li
     window, an item of fewer words than size is one window; repeated item rows count as one item."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     passages = items.select(F.col("item_id").cast("string"), F.col("text").cast("string")).where("item_id is not null")
-    passes = [texts.mapInArrow(_scan(block), _HIT) for block in _blocks(passages, size, limit)]
-    if len(passes) == 1:
-        return passes[0]
-    every = passes[0]
-    for more in passes[1:]:
-        every = every.unionByName(more.where("size(hits) > 0"))
-    merged = every.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("hits")).alias("hits"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
-    return merged
+    blocks = _blocks(passages, size, limit)
+    first, second = next(blocks), next(blocks, None)
+    if second is None:
+        return texts.mapInArrow(_scan(first), _HIT.format("doc_id"))
+    # ids can repeat or be null: a written number names the row
+    rows = C.materialise(texts.withColumn("row", F.monotonically_increasing_id()), "texts")
+    every = rows.select("row", "text").mapInArrow(_scan(first, "row"), _HIT.format("row"))
+    for block in (second, *blocks):
+        every = every.unionByName(rows.select("row", "text").mapInArrow(_scan(block, "row"), _HIT.format("row")).where("size(hits) > 0"))
+    merged = every.groupBy("row").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("hits")).alias("hits"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
+    return rows.select("row", "doc_id").join(merged, "row").select("doc_id", "n_words", "hits", "items")
 
 
 def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
