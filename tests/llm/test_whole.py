@@ -14,3 +14,13 @@ def test_passes_keep_rows(spark, odd):  # noqa: F811
     assert plain(many) == plain(one) and len(many) == len(ODD) + 3
     digest = lambda *x: hashlib.sha256(",".join(x).encode()).hexdigest()
     assert {tuple(r) for r in many if r.doc_id is None} == {(None, 90, 90, 2, digest("1", "4"), True), (None, 2, 2, 1, digest("5"), True), (None, 1, 0, 0, digest(), False)}
+
+
+def test_items_without_id(spark):
+    items = spark.createDataFrame([(None, "x y"), (7, "b c"), (7, "x y z")], "item_id long, text string")
+    docs = spark.createDataFrame([(1, "q x y"), (2, "x y z"), (3, "y x"), (4, "a b c")], "doc_id long, text string")
+    digest = lambda *x: hashlib.sha256(",".join(x).encode()).hexdigest()
+    for limit in (1 << 20, 8):
+        got = {tuple(r) for r in decontamination.contamination_report(docs, items, limit=limit).collect()}
+        assert got == {(1, 3, 2, 0, digest(), True), (2, 3, 3, 1, digest("7"), True), (3, 2, 0, 0, digest(), False), (4, 3, 2, 1, digest("7"), True)}
+        assert [r.doc_id for r in decontamination.keep_clean(docs, items, limit=limit).collect()] == [3]

@@ -32,13 +32,15 @@ def normal_words(text: str | None) -> list[bytes]:
 
 
 def patterns_of(items: Iterator[tuple[object, str | None]], size: int = WINDOW) -> dict[bytes, tuple[int, list[str]]]:
-    """Window text -> (its words, the items that have it)."""
+    """Window text -> (its words, the items that have it; one without an id has no name here)."""
     found: dict[bytes, tuple[int, list[str]]] = {}
     for item, text in items:
         words = normal_words(text)
         n = min(size, len(words))
         for window in {b" " + b" ".join(words[i : i + n]) + b" " for i in range(len(words) - n + 1)} if n else ():
-            found.setdefault(window, (n, []))[1].append(str(item))
+            owners = found.setdefault(window, (n, []))[1]
+            if item is not None:
+                owners.append(str(item))
     return found
 
 
@@ -131,9 +133,10 @@ def _scan(patterns: dict[bytes, tuple[int, list[str]]], key: str = "doc_id"):
 def find_contamination(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int = LIMIT) -> DataFrame:
     """(doc_id, n_words, hits, items) per document: hits are word ranges that a benchmark window covers, items
     the sorted ids of the items that have one. Null and empty texts have no words, an item without words no
-    window, an item of fewer words than size is one window; repeated item rows count as one item."""
+    window, an item of fewer words than size is one window; repeated item rows count as one item. An item with a null id makes hits like any other, but no name
+    in items: it counts for n_hit and contaminated, not for n_items and items_sha256."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    passages = items.select(F.col("item_id").cast("string"), F.col("text").cast("string")).where("item_id is not null")
+    passages = items.select(F.col("item_id").cast("string"), F.col("text").cast("string"))
     blocks = _blocks(passages, size, limit)
     first, second = next(blocks), next(blocks, None)
     if second is None:
@@ -168,7 +171,7 @@ def contamination_report(docs: DataFrame, items: DataFrame, size: int = WINDOW,
 
 def keep_clean(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int = LIMIT) -> DataFrame:
     """The rows of docs (text, any other columns) that hold no window of items (item_id, text); one filter per automaton."""
-    passages = items.select(F.col("item_id").cast("string"), F.col("text").cast("string")).where("item_id is not null")
+    passages = items.select(F.col("item_id").cast("string"), F.col("text").cast("string"))
 
     def clean(patterns):
         scan = _scan(patterns)
