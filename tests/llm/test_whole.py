@@ -2,7 +2,9 @@
 
 import hashlib
 
-from vertexalg.llm import decontamination
+import pytest
+
+from vertexalg.llm import decontamination, near_dedup
 from tests.llm.test_operators import ODD, odd, plain  # noqa: F401
 
 
@@ -24,3 +26,24 @@ def test_items_without_id(spark):
         got = {tuple(r) for r in decontamination.contamination_report(docs, items, limit=limit).collect()}
         assert got == {(1, 3, 2, 0, digest(), True), (2, 3, 3, 1, digest("7"), True), (3, 2, 0, 0, digest(), False), (4, 3, 2, 1, digest("7"), True)}
         assert [r.doc_id for r in decontamination.keep_clean(docs, items, limit=limit).collect()] == [3]
+
+
+@pytest.mark.parametrize("options", [{}, {"small": 2, "block": 3}])
+def test_repeated_ids(spark, odd, options):  # noqa: F811
+    got = plain(near_dedup.near_duplicates(odd, **options).collect())
+    assert got == plain([(1, None), (1, None), (None, None), (6, None), (2, 2), (3, 3), (4, 4), (5, 5)])
+    kept = near_dedup.keep_first(odd, **options)
+    assert kept.columns == odd.columns and plain(r[:1] for r in kept.collect()) == plain([(None,), (2,), (3,), (4,), (5,)])
+
+    def text(name, edits=0):
+        return " ".join(f"{name}{i}" if i >= edits else f"{name}e{edits}" for i in range(100))
+
+    # the texts of id 1 and those without an id have partners of their own: none is tied to another's
+    rows = [(i, text(name)) for i, name in ((1, "a"), (1, "b"), (1, "c"), (None, "d"), (None, "e"), (None, "f"))]
+    rows += [(10 + k, text(name, e)) for k, (name, e) in enumerate((n, e) for n in "abcdef" for e in (1, 3, 5))]
+    frame = spark.createDataFrame([*rows, *rows[3:5], (40, "x" * 5), (40, "x" * 5), (40, None), (40, None)], "doc_id long, text string").repartition(3)
+    got = plain(near_dedup.near_duplicates(frame, **options).collect())
+    want = [(i, 1 if t[0] in "abc" else None) for i, t in rows] + [(None, None)] * 2 + [(40, 40)] * 4
+    assert got == plain(want)
+    kept = plain(near_dedup.keep_first(frame, **options).collect())
+    assert kept == plain([*rows[:6], (40, "x" * 5), (40, None), (40, None)])

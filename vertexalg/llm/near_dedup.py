@@ -9,7 +9,8 @@ Equal coordinates have the probability of the weighted Jaccard similarity. Cost:
 Candidates share one of ``bands`` bands of ``rows`` coordinates: at similarity 0.8 a pair is missed with
 probability (1 - 0.8**6)**32 < 1e-4. All candidates are then judged on their whole shingle sets.
 
-Linking: documents of one shingle set are one node. Every bucket is first a star: all its nodes are compared with
+Linking: documents of one shingle set are one node, named by the least written row number among them and read from that
+row's text, as ids can repeat or be null. Every bucket is first a star: all its nodes are compared with
 the most central one (that meets most others in its buckets), which costs one comparison per copy and not
 one per pair. Buckets that are not one component then have the rest compared: up to ``small`` nodes by pairs,
 larger ones inside tasks: buckets that overlap form a family, its nodes outside the largest component
@@ -123,7 +124,7 @@ def dart_signatures(element: np.ndarray, weight: np.ndarray, first: np.ndarray,
     return out
 
 
-_SKETCH = "doc_id long, set_a long, set_b long, n int, bands array<long>"
+_SKETCH = "row long, doc_id long, set_a long, set_b long, n int, bands array<long>"
 
 
 def _sketch(size: int, bands: int, rows: int, weighted: bool):
@@ -144,8 +145,8 @@ def _sketch(size: int, bands: int, rows: int, weighted: bool):
                 a, b = (s[first[1:]] - s[first[:-1]] for s in sums)
                 at = np.arange(0, (j - i + 1) * bands, bands, dtype=np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(at), pa.array(keys.reshape(-1).view(np.int64)))
-                columns = [batch.column("doc_id").slice(i, j - i), pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), pa.array(n, pa.int32()), lists]
-                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "set_a", "set_b", "n", "bands"])
+                columns = [*(batch.column(k).slice(i, j - i) for k in ("row", "doc_id")), pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), pa.array(n, pa.int32()), lists]
+                yield pa.RecordBatch.from_arrays(columns, names=["row", "doc_id", "set_a", "set_b", "n", "bands"])
 
     return run
 
@@ -196,7 +197,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, size: int, similarity: float,
     many = pairs.groupBy("pivot").agg(F.greatest(F.lit(1), F.ceil(F.count("*") / SALT_ROWS)).cast("int").alias("salts"))
     salted = pairs.join(many, "pivot").select("pivot", "doc", F.pmod(F.hash("doc"), "salts").alias("salt"), F.lit(1).alias("later"))
     wanted = salted.union(many.select("pivot", F.col("pivot").alias("doc"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0)))
-    sets = wanted.join(texts.withColumnRenamed("doc_id", "doc"), "doc").select("doc", "pivot", "salt", "text").mapInArrow(_read_sets(size), "pivot long, salt int, doc long, shingles binary")
+    sets = wanted.join(texts.withColumnRenamed("row", "doc"), "doc").select("doc", "pivot", "salt", "text").mapInArrow(_read_sets(size), "pivot long, salt int, doc long, shingles binary")
     sets = sets.withColumn("later", F.col("doc") != F.col("pivot"))
     grouped = sets.repartition("pivot", "salt").sortWithinPartitions("pivot", "salt", "later").drop("later")
     return grouped.mapInArrow(_compare(similarity, weighted), "pivot long, doc long")
@@ -246,7 +247,7 @@ def _rest(large: DataFrame, found: DataFrame, sets: DataFrame, texts: DataFrame,
     facts = parts.groupBy("family").agg(F.sum("n").alias("all"), F.max(F.struct("n", (-F.col("component")).alias("c"))).alias("m"))
     facts = facts.select("family", (-F.col("m.c")).alias("main"), F.ceil(F.col("all") / block).cast("int").alias("blocks"), F.greatest(F.lit(1), F.ceil((F.col("all") - F.col("m.n")) / block)).cast("int").alias("askers"))
     rows = members.join(facts, "family").join(sets.select("doc", "bands"), "doc")
-    told = rows.join(texts.withColumnRenamed("doc_id", "doc"), "doc").select("doc", F.col("family").alias("pivot"), F.lit(0).alias("salt"), "text").mapInArrow(_read_sets(size), "pivot long, salt int, doc long, shingles binary")
+    told = rows.join(texts.withColumnRenamed("row", "doc"), "doc").select("doc", F.col("family").alias("pivot"), F.lit(0).alias("salt"), "text").mapInArrow(_read_sets(size), "pivot long, salt int, doc long, shingles binary")
     full = C.materialise(rows.join(told.select("doc", "shingles"), "doc"), "family_sets")
     part = lambda n: F.pmod(F.xxhash64("doc"), F.col(n)).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
@@ -257,15 +258,13 @@ def _rest(large: DataFrame, found: DataFrame, sets: DataFrame, texts: DataFrame,
     return asking.groupBy(*cell).cogroup(partners.groupBy(*cell)).applyInArrow(_compare_block(similarity, weighted, bands), "pivot long, doc long")
 
 
-def near_duplicates(docs: DataFrame, size: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, weighted: bool = False, small: int = SMALL, block: int = BLOCK) -> DataFrame:
-    """(doc_id, class_id) per row of docs (doc_id, text): class_id is the least doc_id of the connected group of
-    documents tied by similarity of their word shingles (as sets, or with weighted by counts).
-
-    Null and empty texts have no shingle and are each their own class. Rows that repeat an id get
-    one class each by their text. A null id counts as the least id; an empty table gives no row."""
-    texts = docs.select(C.known_id().alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sketch = C.materialise(texts.mapInArrow(_sketch(size, bands, rows, weighted), _SKETCH), "sketch")
-    sets = sketch.where("n > 0").groupBy("set_a", "set_b").agg(F.min("doc_id").alias("doc"), F.first("bands").alias("bands"))
+def _classes(numbered: DataFrame, size: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, weighted: bool = False, small: int = SMALL, block: int = BLOCK) -> DataFrame:
+    """(row, doc_id, group, class_id) per row of numbered (row, doc_id, text), whose numbers are unique and written:
+    rows of one class have one group, class_id is its least doc_id; null ids stand as the least."""
+    texts = numbered.select("row", F.col("text").cast("string").alias("text"))
+    named = numbered.select("row", C.known_id().alias("doc_id"), F.col("text").cast("string").alias("text"))
+    sketch = C.materialise(named.mapInArrow(_sketch(size, bands, rows, weighted), _SKETCH), "sketch")
+    sets = sketch.where("n > 0").groupBy("set_a", "set_b").agg(F.min("row").alias("doc"), F.min("doc_id").alias("least"), F.first("bands").alias("bands"))
     keys = sets.select("doc", F.explode("bands").alias("key")).distinct()
     shared = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     bucket = C.materialise(keys.join(shared, "key").select("key", "doc", "n"), "buckets")
@@ -282,16 +281,34 @@ def near_duplicates(docs: DataFrame, size: int = SHINGLE, similarity: float = SI
     more = C.materialise(_verified(left, texts, size, similarity, weighted), "links")
     rest = C.materialise(_rest(starred.where(F.col("n") > small), found, sets, texts, size, similarity, weighted, bands, block), "links")
     found = components(links.union(more).union(rest), "pivot", "doc")
-    classes = sets.select("set_a", "set_b", "doc").join(found.withColumnRenamed("node", "doc"), "doc", "left").select("set_a", "set_b", F.coalesce("component", "doc").alias("class_id"))
-    tied = sketch.select("doc_id", "n", "set_a", "set_b").join(classes, ["set_a", "set_b"], "left")
-    class_id = F.when(F.col("n") > 0, F.col("class_id")).otherwise(F.col("doc_id"))
-    return tied.select("doc_id", class_id.alias("class_id")).select(C.original_id().alias("doc_id"), C.original_id("class_id").alias("class_id"))
+    nodes = sets.select("set_a", "set_b", "least", "doc").join(found.withColumnRenamed("node", "doc"), "doc", "left").select("set_a", "set_b", "least", F.coalesce("component", "doc").alias("group"))
+    classes = nodes.join(nodes.groupBy("group").agg(F.min("least").alias("class_id")), "group").select("set_a", "set_b", "group", "class_id")
+    tied = sketch.select("row", "doc_id", "n", "set_a", "set_b").join(classes, ["set_a", "set_b"], "left")
+    own = lambda x, y: F.when(F.col("n") > 0, F.col(x)).otherwise(F.col(y)).alias(x)
+    return tied.select("row", "doc_id", own("group", "row"), own("class_id", "doc_id"))
+
+
+def _numbered(docs: DataFrame, name: str) -> DataFrame:
+    return C.materialise(docs.withColumn(name, F.monotonically_increasing_id()), "numbered")
+
+
+def near_duplicates(docs: DataFrame, **options) -> DataFrame:
+    """(doc_id, class_id) per row of docs (doc_id, text): class_id is the least doc_id of the connected group of
+    documents tied by similarity of their word shingles (as sets, or with weighted by counts). Options: those of _classes.
+
+    Null and empty texts have no shingle and are each their own class. Rows that repeat an id get
+    one class each by their text. A null id counts as the least id; an empty table gives no row."""
+    found = _classes(_numbered(docs.select("doc_id", "text"), "row"), **options)
+    return found.select(C.original_id().alias("doc_id"), C.original_id("class_id").alias("class_id"))
 
 
 def keep_first(docs: DataFrame, **options) -> DataFrame:
-    """The rows of docs (doc_id, text, any other columns) that are the least id of their class."""
-    first = near_duplicates(docs.select("doc_id", "text"), **options).where("doc_id <=> class_id").select(C.known_id().alias("kept_id")).distinct()
-    return docs.join(first, C.known_id() == F.col("kept_id"), "left_semi")
+    """One row of docs (doc_id, text, any other columns) for each class: that of its least id, of rows of one id the first
+    as they were numbered. Texts without a shingle all stay."""
+    numbered = _numbered(docs, "_row")
+    found = _classes(numbered.select(F.col("_row").alias("row"), "doc_id", "text"), **options)
+    first = found.groupBy("group").agg(F.min(F.struct("doc_id", "row")).alias("m")).select(F.col("m.row").alias("_row"))
+    return numbered.join(first, "_row", "left_semi").select(*docs.columns)
 
 
 def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
