@@ -1,7 +1,10 @@
 """Text operators on rows whose ids repeat or are null, and on benchmark items without an id."""
 
 import hashlib
+import itertools
 
+import numpy as np
+import pyarrow as pa
 import pytest
 
 from vertexalg.llm import decontamination, near_dedup
@@ -47,3 +50,17 @@ def test_repeated_ids(spark, odd, options):  # noqa: F811
     assert got == plain(want)
     kept = plain(near_dedup.keep_first(frame, **options).collect())
     assert kept == plain([*rows[:6], (40, "x" * 5), (40, None), (40, None)])
+
+
+def _judged(texts, weighted, size=5):
+    batch = pa.RecordBatch.from_pydict({"pivot": [0] * len(texts), "salt": [0] * len(texts), "doc": list(range(len(texts))), "text": texts})
+    return list(itertools.chain(*(b.column("doc").to_pylist() for b in near_dedup._compare(0.8, weighted)(near_dedup._read_sets(size)(iter([batch]))))))
+
+
+def test_whole_hashes_and_counts():
+    # 70,000 against 100,000 repeats of one word: 0.7, but 65,535 of either once counts are cut
+    assert _judged(["w " * 100_000, "w " * 70_000, "w " * 90_000], weighted=True, size=1) == [2]
+    # sets that agree in the upper 32 bits of every hash only
+    sets = [np.array([(5 << 32 | k, 1), (9 << 32 | k, 1)], near_dedup._ENTRY).tobytes() for k in (1, 2, 1)]
+    batch = pa.RecordBatch.from_pydict({"pivot": [0] * 3, "salt": [0] * 3, "doc": [0, 1, 2], "shingles": sets})
+    assert [b.column("doc").to_pylist() for b in near_dedup._compare(0.8, False)(iter([batch]))] == [[2]]

@@ -35,6 +35,7 @@ from vertexalg.llm.components import components
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS, SMALL, SALT_ROWS, BLOCK = 32, 6, 8, 2000, 2000
 _CELLS = 200_000  # at a time
+_ENTRY = [("h", "<u8"), ("n", "<u4")]  # of a compared set: hash and count
 _POISSON = np.cumsum(np.exp(-1) / np.array([1.0, *np.cumprod(np.arange(1.0, 20.0))]))
 _U = np.uint64
 
@@ -159,8 +160,8 @@ def _read_sets(size: int):
             body, offsets = C.utf8(batch.column("text"))
             for i, j in C.row_slices(offsets, 1 << 20):
                 value, count, first = shingles(body[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], size)
-                raw = np.empty(len(value), [("h", "<u4"), ("n", "<u2")])
-                raw["h"], raw["n"] = (value >> _U(32)).astype(np.uint32), np.minimum(count, 65535)
+                raw = np.empty(len(value), _ENTRY)
+                raw["h"], raw["n"] = value, count
                 edge = pa.py_buffer((first * raw.itemsize).astype(np.int32))
                 sets = pa.Array.from_buffers(pa.binary(), j - i, [None, edge, pa.py_buffer(raw.tobytes())])
                 yield pa.RecordBatch.from_arrays([batch.column(k).slice(i, j - i) for k in ("pivot", "salt", "doc")] + [sets], names=["pivot", "salt", "doc", "shingles"])
@@ -170,7 +171,7 @@ def _read_sets(size: int):
 
 def _compare(similarity: float, weighted: bool):
     def load(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
-        rows = np.frombuffer(raw, [("h", "<u4"), ("n", "<u2")])
+        rows = np.frombuffer(raw, _ENTRY)
         return rows["h"], (rows["n"].astype(np.int64) if weighted else np.ones(len(rows), np.int64))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -212,7 +213,7 @@ def _compare_block(similarity: float, weighted: bool, bands: int):
             side = []
             for rows in (asking, partners):
                 raw, offsets = C.utf8(rows.column("shingles"))
-                flat = raw.view([("h", "<u4"), ("n", "<u2")])
+                flat = raw.view(_ENTRY)
                 keys = rows.column("bands").combine_chunks().flatten().to_numpy().reshape(-1, bands)
                 side.append((rows.column("doc").to_numpy(), rows.column("component").to_numpy(), keys, flat["h"], flat["n"].astype(np.int64) if weighted else np.ones(len(flat), np.int64), offsets // flat.itemsize))
             (a_doc, a_part, a_keys, a_hash, a_count, a_at), (b_doc, b_part, b_keys, b_hash, b_count, b_at) = side
