@@ -5,6 +5,7 @@ import pytest
 
 from vertexalg.algorithms.components import components
 from vertexalg.graphs import derive
+from vertexalg.measures import experiments
 from vertexalg.operators import relational
 from vertexalg.operators.knn import nearest_vectors
 
@@ -53,3 +54,7 @@ def test_vector_grid(spark):
         want |= {(int(i), int(j)) for j in np.lexsort((np.arange(70), -c))[:8]}
     got = [(r.src, r.dst) for r in nearest_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), 8, block=16).collect()]
     assert len(got) == len(want) and set(got) == want
+
+
+def test_engine_is_not_its_own_rival(spark, sf):
+    assert {a for s, a in experiments.runs(spark, sf, 0) if s == "worklist"} == {"pr", "bfs", "sssp"}

@@ -114,9 +114,10 @@ def pagerank_residual(g: Graph, r: float = 0.15, eps: float = 1e-4, max_superste
 
 
 def triangles(g: Graph) -> DataFrame:
-    """Lists of the smaller-degree ends alone are intersected."""
+    """Lists of the smaller-degree ends alone are intersected: the engine's own count, under another name."""
     return triangle_count(g, order="degree")
 
 
 def cf(ratings: DataFrame, **options) -> factorisation.CFModel:
+    """The engine's own SGD, under another name."""
     return factorisation.cf_sgd(ratings, **options)
