@@ -25,9 +25,12 @@ class EngineConf:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: the session's, or a temporary one where none is set."""
+    """The folder that all executors share: the session's. Only a local session without one gets a temporary folder; elsewhere
+    its executors would not see it, so that is an error."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="vertexalg-"))
         found = spark.sparkContext.getCheckpointDir()
     return found
