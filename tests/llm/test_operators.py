@@ -28,18 +28,16 @@ def docs(sf):
 
 
 def repeats(rows, size):
-    """Expected (words, removed, kept text) per row; rows of one id are one document."""
+    """Expected (words, removed, kept text) per row; rows are documents in the order of ids and then as listed."""
     first, out = {}, []
-    order = sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0))
-    for i, t in order:
-        w = WORD.findall(t or "")
+    words = [WORD.findall(t or "") for _, t in rows]
+    for r in sorted(range(len(rows)), key=lambda r: (rows[r][0] is not None, rows[r][0] or 0, r)):
+        for p in range(len(words[r]) - size + 1):
+            first.setdefault(tuple(words[r][p : p + size]), (r, p))
+    for r, (i, _) in enumerate(rows):
+        w, gone = words[r], set()
         for p in range(len(w) - size + 1):
-            first.setdefault(tuple(w[p : p + size]), (i, p))
-    for i, t in rows:
-        w = WORD.findall(t or "")
-        gone = set()
-        for p in range(len(w) - size + 1):
-            if first[tuple(w[p : p + size])] != (i, p):
+            if first[tuple(w[p : p + size])] != (r, p):
                 gone.update(range(p, p + size))
         out.append((i, len(w), len(gone), " ".join(x for k, x in enumerate(w) if k not in gone)))
     return out
@@ -55,7 +53,7 @@ def test_substring_dedup(spark, sf, docs, odd):
     assert plain(substring_dedup.remove_repeats(odd).collect()) == plain(repeats(ODD, 20))
     assert substring_dedup.remove_repeats(odd.where("doc_id > 99")).collect() == []
     spans = substring_dedup.factors(spark.createDataFrame([(1, "a b c d e f g"), (2, "x b c d e y")], "doc_id long, text string"), 3)
-    assert [tuple(r) for r in spans.collect()] == [(2, 1, 2, 1, 1)]
+    assert [tuple(r) for r in spans.select("doc_id", "start", "n", "from_doc", "from_start").collect()] == [(2, 1, 2, 1, 1)]
 
 
 def test_packing(spark, odd, docs):

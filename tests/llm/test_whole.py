@@ -7,8 +7,8 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from vertexalg.llm import decontamination, near_dedup
-from tests.llm.test_operators import ODD, odd, plain  # noqa: F401
+from vertexalg.llm import common, decontamination, near_dedup, substring_dedup
+from tests.llm.test_operators import ODD, odd, plain, repeats  # noqa: F401
 
 
 def test_passes_keep_rows(spark, odd):  # noqa: F811
@@ -64,3 +64,37 @@ def test_whole_hashes_and_counts():
     sets = [np.array([(5 << 32 | k, 1), (9 << 32 | k, 1)], near_dedup._ENTRY).tobytes() for k in (1, 2, 1)]
     batch = pa.RecordBatch.from_pydict({"pivot": [0] * 3, "salt": [0] * 3, "doc": [0, 1, 2], "shingles": sets})
     assert [b.column("doc").to_pylist() for b in near_dedup._compare(0.8, False)(iter([batch]))] == [[2]]
+
+
+def colliding(length=1024):
+    """Two different words of letters that every sum of bytes times powers modulo 2**64 takes for one."""
+    bits = [0]
+    while len(bits) < length:
+        bits += [1 - b for b in bits]
+    return "".join("ab"[b] for b in bits), "".join("ba"[b] for b in bits)
+
+
+def test_colliding_words(spark):
+    x, y = colliding()
+    body, offsets = common.utf8(pa.array([f"{x} {y}"]))
+    a, b = common.word_hashes(body, *common.spans(common.SPACE_WORD, body, offsets)[:2])
+    assert a != b
+    rest = " ".join(f"w{i}" for i in range(19))
+    frame = spark.createDataFrame([(1, f"{x} {rest}"), (2, f"{y} {rest}"), (3, f"{x} {rest}")], "doc_id long, text string")
+    assert plain(tuple(r)[:3] for r in substring_dedup.remove_repeats(frame).collect()) == [(1, 20, 0), (2, 20, 0), (3, 20, 20)]
+    assert not {a, b} & set(common.window_hashes(np.array([a, b], np.uint64), 2).tolist())
+    short = spark.createDataFrame([(1, f"{x} a b c d"), (2, f"{y} a b c d"), (3, f"{x} a b c d")], "doc_id long, text string")
+    assert {r.doc_id: r.class_id for r in near_dedup.near_duplicates(short).collect()} == {1: 1, 2: 2, 3: 1}
+
+
+@pytest.mark.parametrize("partitions", [1, 5])
+def test_substring_rows(spark, partitions, monkeypatch):
+    """Rows that repeat an id, rows without one, and short rows beside long ones are documents of their own."""
+    monkeypatch.setattr(substring_dedup, "_AT_ONCE", 40)
+    text = lambda name, n=60: " ".join(f"{name}{i}" for i in range(n))
+    rows = [(None, text("n")), (None, "z " * 45), (None, "x"), (None, text("n")), (0, text("a")), (1, text("a")), (1, text("b")), (1, "x y"), (1, None), (2, text("b", 30) + " " + text("n", 25)), (2, text("b", 30) + " " + text("n", 25)), (3, text("c") + " " + text("c"))]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).repartition(partitions) if partitions > 1 else spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    got = plain(substring_dedup.remove_repeats(frame).collect())
+    # rows of one id are ordered as they are numbered; equal texts of one id make that order invisible here
+    assert got == plain(repeats(rows, 20))
+    assert plain(substring_dedup.remove_repeats(frame.limit(0)).collect()) == []

@@ -3,14 +3,13 @@ vectorised work on the UTF-8 bytes of Arrow string columns."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from vertexalg.conf import Table
+
 NULL_ID = -(2**63)
 SLICE_BYTES = 4 << 20
 _U64 = np.uint64
@@ -20,22 +19,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: the session's, or a temporary one where none is set."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="vertexalg-"))
-        found = spark.sparkContext.getCheckpointDir()
-    return found
-
-
 def materialise(df: DataFrame, name: str = "step") -> DataFrame:
     """Write df once to the shared folder and read it back: cuts lineage, survives lost executors,
     and fixes what a non-deterministic step (row order inside a partition) decided."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return Table(df, name).df
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df doesn't have (names are compared without case, as Spark does)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
 
 
 def known_id(column: str = "doc_id") -> Column:
@@ -108,22 +103,9 @@ ALNUM_WORD = table_of((0x30, 0x39), (0x61, 0x7A), (0x80, 0xFF))  # after LOWER
 
 # ---------------------------------------------------------------- hashing
 
-_BYTE_BASE, _WORD_BASE = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93
-_powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-
-
-def _power(base: int, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """base^i and base^-i modulo 2^64, for i < n at least."""
-    have = _powers.get(base)
-    if have is None or len(have[0]) < n:
-        n = max(n, 1 << 16)
-        pair = []
-        for b in (base, pow(base, -1, 1 << 64)):
-            p = np.full(n, b, _U64)
-            p[0] = 1
-            pair.append(np.cumprod(p, dtype=_U64))
-        have = _powers[base] = tuple(pair)
-    return have
+#: Of the first n bytes of a little-endian word of eight.
+_MASK = np.array([(1 << 8 * n) - 1 for n in range(9)], _U64)
+_ODD = _U64(0xD6E8FEB86659FD93)
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -136,33 +118,43 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def word_hashes(body: np.ndarray, start: np.ndarray, end: np.ndarray, chunk: int = 1 << 19) -> np.ndarray:
-    """A 64-bit hash of each word: a polynomial over its bytes, from differences of prefix sums.
-    The sums are taken over about chunk bytes at a time, so that they stay in cache."""
+def word_hashes(body: np.ndarray, start: np.ndarray, end: np.ndarray, chunk: int = 1 << 16) -> np.ndarray:
+    """A 64-bit hash of each word, chunk words at a time: of its length and first eight bytes, and of a sum over
+    further eights, each mixed with its place (no sum of powers, which texts can be built to collide under)."""
     out = np.empty(len(start), _U64)
-    a = 0
-    while a < len(start):
-        b = max(a + 1, int(np.searchsorted(end, start[a] + chunk, side="right")))
-        base = start[a]
-        n = int(end[b - 1] - base)
-        up, down = _power(_BYTE_BASE, n + 1)
-        total = np.zeros(n + 1, _U64)
-        np.cumsum((body[base : base + n].astype(_U64) + _U64(1)) * up[:n], dtype=_U64, out=total[1:])
-        i, j = start[a:b] - base, end[a:b] - base
-        out[a:b] = mix((total[j] - total[i]) * down[i] + (j - i).astype(_U64))
-        a = b
+    if not len(start):
+        return out
+    padded = np.append(body, np.zeros(8, np.uint8))
+    eight = np.ndarray((len(body) + 1,), "<u8", padded, strides=(1,))  # the eight bytes from every place
+    for a in range(0, len(start), chunk):
+        s, e = start[a : a + chunk], end[a : a + chunk]
+        size = e - s
+        h = mix((eight[s] & _MASK[np.minimum(size, 8)]) + size.astype(_U64) * _ODD)
+        if len(long := np.flatnonzero(size > 8)):
+            more = (size[long] - 1) // 8
+            place = ranges(np.ones(len(long), np.int64), more)
+            at = np.repeat(s[long], more) + 8 * place
+            part = mix((eight[at] & _MASK[np.minimum(np.repeat(e[long], more) - at, 8)]) ^ mix(place.astype(_U64) * _ODD))
+            h[long] = mix(h[long] + mix(np.add.reduceat(part, np.cumsum(more) - more)))
+        out[a : a + chunk] = h
     return out
 
 
 def window_hashes(words: np.ndarray, size: int) -> np.ndarray:
-    """A hash of each run of size words of the flat array (across rows too: callers mask those)."""
-    n = len(words)
-    if n < size:
+    """A hash of each run of size words of the flat array (across rows too: callers mask those). Runs of 1, 2, 4, ...
+    words are mixed from their halves, and a run of size from those of its binary digits."""
+    n = len(words) - size + 1
+    if n <= 0:
         return np.zeros(0, _U64)
-    up, down = _power(_WORD_BASE, n + 1)
-    total = np.zeros(n + 1, _U64)
-    np.cumsum(words * up[:n], dtype=_U64, out=total[1:])
-    return mix((total[size:] - total[: n - size + 1]) * down[: n - size + 1])
+    out, at, span, run = None, 0, 1, words
+    while True:
+        if size & span:
+            part = run[at : at + n]
+            out = part if out is None else mix(out * _ODD + part)
+            at += span
+        if span * 2 > size:
+            return out
+        run, span = mix(run[:-span] * _ODD + run[span:]), span * 2
 
 
 def ranges(start: np.ndarray, length: np.ndarray) -> np.ndarray:

@@ -7,9 +7,12 @@ block indexes: a factor goes on while the next window continues the same earlier
 its boundary the window is looked up afresh among all sources. A factor holds one window or more,
 so every factor is a duplicate span of ``size`` words at least.
 
-Scale: one pass over the text, one shuffle of phrases (about a byte per byte of text), one of
-factors, one of text. Each task first parses against its own slice of rows and sends only the
-windows that are first there, so a passage that a third of all rows hold arrives once per slice.
+A row is a document of its own, whatever its id: rows are numbered before anything else, and dealt by number in one
+shuffle that the parse and the cut both read. Rows are ordered by id (null first) and then by number.
+
+Scale: one shuffle of text, one of phrases (about a byte per byte of text), one of factors. Each task first parses
+against its own slice of rows and sends only the windows that are first there, so a passage that a third of all rows
+hold arrives once per slice. Phrases come sorted by block, so a task holds some whole blocks at a time.
 """
 
 from __future__ import annotations
@@ -27,9 +30,9 @@ from vertexalg.llm import common as C
 
 WINDOW, ANCHOR = 20, 8
 SLICE = 8 << 20
-_PHRASE = "block long, doc_id long, start int, n int, hashes binary, from_doc long, from_start int"
-_FACTOR = "doc_id long, start int, n int, from_doc long, from_start int"
-_AT_ONCE = 400_000  # windows of whole keys that are compared at a time
+_PHRASE = "block long, row long, doc_id long, start int, n int, hashes binary, from_row long, from_doc long, from_start int"
+_FACTOR = "row long, doc_id long, start int, n int, from_row long, from_doc long, from_start int"
+_AT_ONCE = 400_000  # windows of whole blocks that are compared at a time
 _KEPT_BYTES = 5  # of a window's hash, beside the 8 bytes of the phrase's
 
 
@@ -43,14 +46,14 @@ def _least(values: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(out[:-rest], out[rest:]) if rest else out
 
 
-def _factors(doc, start, from_doc, from_start, duplicate):
+def _factors(row, start, from_row, from_start, duplicate):
     """Greedy factors among windows in document order: [first, count] of windows that go on in one source."""
     at = np.flatnonzero(duplicate)
     if not len(at):
         return at, at
     a, b = at[1:], at[:-1]
     new = np.ones(len(at), bool)
-    new[1:] = (doc[a] != doc[b]) | (start[a] != start[b] + 1) | (from_doc[a] != from_doc[b]) | (from_start[a] != from_start[b] + 1)
+    new[1:] = (row[a] != row[b]) | (start[a] != start[b] + 1) | (from_row[a] != from_row[b]) | (from_start[a] != from_start[b] + 1)
     first = np.flatnonzero(new)
     return at[first], np.diff(np.append(first, len(at)))
 
@@ -72,8 +75,8 @@ def _parse(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         anchor = min(ANCHOR, size)
         for batch in batches:
-            batch = batch.take(pc.sort_indices(batch.column("doc_id")))
-            ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
+            batch = pa.Table.from_batches([batch]).sort_by([("doc_id", "ascending"), ("row", "ascending")]).combine_chunks()
+            numbers, ids = (batch.column(k).to_numpy() for k in ("row", "doc_id"))
             body, offsets = C.utf8(batch.column("text"))
             for i, j in C.row_slices(offsets, SLICE):
                 off = offsets[i : j + 1] - offsets[i]
@@ -86,77 +89,80 @@ def _parse(size: int):
                 place = np.flatnonzero(ok)
                 if not len(place):
                     continue
-                row = np.repeat(np.arange(j - i), count)[place]
-                doc, pos = ids[i:j][row], (place - first[row]).astype(np.int32)
+                line = np.repeat(np.arange(j - i), count)[place]
+                row, doc, pos = numbers[i:j][line], ids[i:j][line], (place - first[line]).astype(np.int32)
                 window = C.window_hashes(words, size)[place]
                 block = _least(C.window_hashes(words, anchor), size - anchor + 1)[place]
-                # the earliest place of each window in this slice (rows are in id order)
+                # the earliest place of each window in this slice (rows are in order)
                 order = np.argsort(window, kind="stable")
                 same = np.zeros(len(order), bool)
                 same[1:] = window[order[1:]] == window[order[:-1]]
                 lead = np.maximum.accumulate(np.where(same, 0, np.arange(len(order))))
                 source = np.empty(len(order), np.int64)
                 source[order] = order[lead]
-                # rows of one id are one document: its equal starts are no earlier ones
-                later = (source != np.arange(len(order))) & ~((doc == doc[source]) & (pos == pos[source]))
-                f, n = _factors(doc, pos, doc[source], pos[source], later)
+                later = source != np.arange(len(order))
+                f, n = _factors(row, pos, row[source], pos[source], later)
                 if len(f):
                     # settled: any block will do
-                    yield _batch(_PHRASE, block=C.mix(doc[f].view(np.uint64) + pos[f].astype(np.uint64)).view(np.int64), doc_id=doc[f], start=pos[f], n=n, hashes=pa.nulls(len(f), pa.binary()), from_doc=doc[source][f], from_start=pos[source][f])
+                    g = source[f]
+                    yield _batch(_PHRASE, block=C.mix(row[f].view(np.uint64) + pos[f].astype(np.uint64)).view(np.int64), row=row[f], doc_id=doc[f], start=pos[f], n=n, hashes=pa.nulls(len(f), pa.binary()), from_row=row[g], from_doc=doc[g], from_start=pos[g])
                 keep = np.flatnonzero(~later)
                 new = np.ones(len(keep), bool)
                 a, b = keep[1:], keep[:-1]
-                new[1:] = (doc[a] != doc[b]) | (pos[a] != pos[b] + 1) | (block[a] != block[b])
+                new[1:] = (row[a] != row[b]) | (pos[a] != pos[b] + 1) | (block[a] != block[b])
                 head = np.flatnonzero(new)
                 length = np.diff(np.append(head, len(keep)))
                 p = keep[head]
                 raw = window[keep].view(np.uint8).reshape(-1, 8)[:, :_KEPT_BYTES]
                 zero = np.zeros(len(p), np.int64)
-                yield _batch(_PHRASE, block=block[p].view(np.int64), doc_id=doc[p], start=pos[p], n=length, hashes=_binary(raw, length), from_doc=zero, from_start=zero)
+                yield _batch(_PHRASE, block=block[p].view(np.int64), row=row[p], doc_id=doc[p], start=pos[p], n=length, hashes=_binary(raw, length), from_row=zero, from_doc=zero, from_start=zero)
 
     return run
 
 
 def _resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One reference block after the other: which windows of the phrases stand earlier elsewhere."""
-    kept: list[pa.RecordBatch] = []
+    """Phrases sorted by block to factors: which of their windows stand earlier elsewhere. Holds whole blocks of about
+    _AT_ONCE windows; the last block of a batch may go on in the next."""
+    held: list[pa.RecordBatch] = []
+    weight = 0
+
+    def flush(last: bool) -> Iterator[pa.RecordBatch]:
+        nonlocal held, weight
+        data = pa.Table.from_batches(held).combine_chunks()
+        key = data.column("block").to_numpy()
+        cut = len(key) if last else int(np.searchsorted(key, key[-1]))
+        held = data.slice(cut).to_batches() if cut < len(key) else []
+        weight = int(data.column("n").to_numpy()[cut:].sum())
+        data, key = data.slice(0, cut), key[:cut]
+        # phrases whose block stands alone can have no earlier source
+        edge = np.flatnonzero(np.append(True, key[1:] != key[:-1]))
+        size = np.diff(np.append(edge, len(key)))
+        if (size > 1).any() and (found := _resolve_blocks(data.take(pa.array(np.flatnonzero(np.repeat(size > 1, size)))))) is not None:
+            yield found
+
     for batch in batches:
         known = pc.is_null(batch.column("hashes"))
         if len(found := batch.filter(known)):
-            yield found.select(["doc_id", "start", "n", "from_doc", "from_start"])
+            yield found.select([k.split()[0] for k in _FACTOR.split(", ")])
         if len(rest := batch.filter(pc.invert(known))):
-            kept.append(rest.select(["block", "doc_id", "start", "n", "hashes"]))
-    if not kept:
-        return
-    data = pa.Table.from_batches(kept).combine_chunks()
-    kept.clear()
-    # phrases whose block key stands alone can have no earlier source
-    key = data.column("block").to_numpy()
-    order = np.argsort(key, kind="stable")
-    ranked = key[order]
-    edge = np.flatnonzero(np.append(True, ranked[1:] != ranked[:-1]))
-    size = np.diff(np.append(edge, len(key)))
-    order = order[np.repeat(size > 1, size)]
-    size = size[size > 1]
-    weight = np.cumsum(np.add.reduceat(data.column("n").to_numpy()[order], np.cumsum(size) - size)) if len(size) else size
-    done = rows = 0
-    while done < len(size):
-        more = max(done + 1, int(np.searchsorted(weight, (weight[done - 1] if done else 0) + _AT_ONCE, side="right")))
-        take = int(size[done:more].sum())
-        if (found := _resolve_blocks(data.take(pa.array(order[rows : rows + take])))) is not None:
-            yield found
-        done, rows = more, rows + take
+            held.append(rest.select(["block", "row", "doc_id", "start", "n", "hashes"]))
+            weight += pc.sum(rest.column("n")).as_py()
+            # nothing is whole yet while all that is held is of one block
+            if weight > _AT_ONCE and held[0].column("block")[0] != rest.column("block")[-1]:
+                yield from flush(False)
+    if held:
+        yield from flush(True)
 
 
 def _resolve_blocks(data: pa.Table) -> pa.RecordBatch | None:
-    data = data.sort_by([("doc_id", "ascending"), ("start", "ascending")]).combine_chunks()
-    key, doc0, start0, n = (data.column(k).to_numpy() for k in ("block", "doc_id", "start", "n"))
+    data = data.sort_by([("doc_id", "ascending"), ("row", "ascending"), ("start", "ascending")]).combine_chunks()
+    key, row0, doc0, start0, n = (data.column(k).to_numpy() for k in ("block", "row", "doc_id", "start", "n"))
     raw, _ = C.utf8(data.column("hashes"))
     wide = np.zeros((len(raw) // _KEPT_BYTES, 8), np.uint8)
     wide[:, :_KEPT_BYTES] = raw.reshape(-1, _KEPT_BYTES)
     short = wide.reshape(-1).view(np.uint64)
-    key = np.repeat(key, n).view(np.uint64)
-    doc = np.repeat(doc0, n)
+    key, row, doc = (np.repeat(x, n) for x in (key, row0, doc0))
+    key = key.view(np.uint64)
     pos = C.ranges(start0.astype(np.int64), n)
     joint = C.mix(key ^ (short << np.uint64(16)))
     order = np.argsort(joint, kind="stable")
@@ -166,19 +172,30 @@ def _resolve_blocks(data: pa.Table) -> pa.RecordBatch | None:
     lead = np.maximum.accumulate(np.where(same, 0, np.arange(len(order))))
     source = np.empty(len(order), np.int64)
     source[order] = order[lead]
-    later = (doc != doc[source]) | (pos != pos[source])
-    f, n = _factors(doc, pos, doc[source], pos[source], later)
+    later = source != np.arange(len(order))
+    f, n = _factors(row, pos, row[source], pos[source], later)
     if not len(f):
         return None
-    return _batch(_FACTOR, doc_id=doc[f], start=pos[f].astype(np.int32), n=n, from_doc=doc[source][f], from_start=pos[source][f].astype(np.int32))
+    g = source[f]
+    return _batch(_FACTOR, row=row[f], doc_id=doc[f], start=pos[f].astype(np.int32), n=n, from_row=row[g], from_doc=doc[g], from_start=pos[g].astype(np.int32))
+
+
+def _numbered(docs: DataFrame) -> DataFrame:
+    """(row, doc_id, text), dealt by row. Each use plans the same shuffle, which Spark then writes once."""
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), C.known_id().alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return rows.repartition("row")
+
+
+def _found(numbered: DataFrame, size: int) -> DataFrame:
+    phrases = numbered.mapInArrow(_parse(size), _PHRASE)
+    return phrases.repartition("block").sortWithinPartitions("block").mapInArrow(_resolve, _FACTOR)
 
 
 def factors(docs: DataFrame, size: int = WINDOW) -> DataFrame:
-    """Duplicate spans of documents (doc_id, text): words start .. start+n+size-2 of doc_id also begin
-    at from_start of from_doc, which is earlier. Null ids count as one smallest id; null and
-    empty texts and those under size words have none; rows that repeat an id are one document."""
-    phrases = docs.select(C.known_id().alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_parse(size), _PHRASE)
-    return phrases.repartition("block").mapInArrow(_resolve, _FACTOR)
+    """Duplicate spans of documents (doc_id, text): words start .. start+n+size-2 of a row also begin at from_start of an
+    earlier row (from_row, of id from_doc) or earlier in the same. Every row is a document, in the order of ids (null first), rows
+    of one id in that of their numbers (row, as Spark numbers them). Null and empty texts and those under size words have no span."""
+    return _found(_numbered(docs), size).withColumn("doc_id", C.original_id()).withColumn("from_doc", C.original_id("from_doc"))
 
 
 def _cut(size: int, with_text: bool):
@@ -212,12 +229,12 @@ def _cut(size: int, with_text: bool):
 
 def remove_repeats(docs: DataFrame, size: int = WINDOW, digest: bool = False) -> DataFrame:
     """(doc_id, n_words, n_removed, kept): kept are the words outside all duplicate spans, joined by
-    one space, or with digest the SHA-256 of that. One row per input row."""
-    found = factors(docs, size).groupBy("doc_id").agg(F.collect_list(F.struct("start", "n")).alias("x"))
-    found = found.select("doc_id", F.col("x.start").alias("starts"), F.col("x.n").alias("lengths"))
-    texts = docs.select(C.known_id().alias("doc_id"), F.col("text").cast("string").alias("text"))
-    joined = texts.join(found, "doc_id", "left")
-    out = joined.mapInArrow(_cut(size, not digest), "doc_id long, n_words long, n_removed long, kept string")
+    one space, or with digest the SHA-256 of that. One row per input row; of rows with equal texts the first keeps them.
+    Null and empty texts have no words; an empty table gives no row; other columns of docs are left out."""
+    numbered = _numbered(docs)
+    found = _found(numbered, size).groupBy("row").agg(F.collect_list(F.struct("start", "n")).alias("x"))
+    found = found.select("row", F.col("x.start").alias("starts"), F.col("x.n").alias("lengths"))
+    out = numbered.join(found, "row", "left").mapInArrow(_cut(size, not digest), "doc_id long, n_words long, n_removed long, kept string")
     return out.withColumn("doc_id", C.original_id())
 
 
