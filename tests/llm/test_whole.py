@@ -7,7 +7,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from vertexalg.llm import common, decontamination, near_dedup, substring_dedup
+from vertexalg.llm import common, decontamination, near_dedup, packing, substring_dedup
 from tests.llm.test_operators import ODD, odd, plain, repeats  # noqa: F401
 
 
@@ -98,3 +98,23 @@ def test_substring_rows(spark, partitions, monkeypatch):
     # rows of one id are ordered as they are numbered; equal texts of one id make that order invisible here
     assert got == plain(repeats(rows, 20))
     assert plain(substring_dedup.remove_repeats(frame.limit(0)).collect()) == []
+
+
+def test_store_compares_bytes(monkeypatch):
+    import public_tokenizers
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    x, y = colliding()
+    texts = [f"{x} {y}", "ab ba ab", f"{x * 3}{y}", "日本語" * 400, "", f" {y} ab"]
+    body, offsets = common.utf8(pa.array(texts))
+    plain_tool = packing.PieceEncoder(path)
+    want = [i for t in texts for i in plain_tool.tokenizer.encode(t, add_special_tokens=False).ids]
+    for worst in (False, True):
+        tool = packing.PieceEncoder(path)
+        if worst:  # every piece has one of two hashes, and the store is full at once
+            monkeypatch.setattr(common, "word_hashes", lambda body, start, end: ((end - start) % 2).astype(np.uint64))
+            monkeypatch.setattr(packing, "STORE", 0)
+        for _ in range(2):
+            ids, first = tool.encode(body, offsets)
+            assert ids.tolist() == want and len(first) == len(texts) + 1
+        assert len(tool.bytes) <= sum(map(len, texts)) and "日" * 3 not in tool.bytes.tobytes().decode()

@@ -2,7 +2,8 @@
 
 Tokens come from the public byte-level BPE file. A text is first cut where that tokenizer cuts in any
 case (before white space that follows other text, and after a letter that no letter follows);
-each distinct piece is then encoded once per worker, and the ids are gathered from that store.
+each distinct piece is then encoded once per worker, and the ids are gathered from that store. The store holds pieces of
+``LONGEST`` bytes at most, up to ``STORE`` bytes in all, and compares their bytes: longer ones are encoded each time.
 
 Packing: every task packs its own pieces best-fit, largest first, and emits the bins that are full but for
 ``slack`` tokens. Underfull bins go up a tree with fewer, larger groups, where whole bins are
@@ -28,7 +29,7 @@ from pyspark.sql import functions as F
 from vertexalg.llm import common as C
 
 SIZE, SLACK, FAN, GROUP = 2048, 8, 8, 50_000
-_STORE = 3_000_000  # distinct pieces that a worker remembers
+STORE, LONGEST = 96 << 20, 256  # bytes of pieces, places and ids that a worker remembers; bytes of a piece
 _SPACE = C.table_of((0x09, 0x0D), (0x20, 0x20))
 _LETTER = C.table_of((0x41, 0x5A), (0x61, 0x7A))
 
@@ -68,22 +69,22 @@ class PieceEncoder:
         self.forget()
 
     def forget(self) -> None:
+        """An empty store: hashes (ascending), and of each its bytes and its ids as (place, number) in two flat arrays."""
         self.keys = np.zeros(0, np.uint64)
-        self.at = np.zeros(0, np.int64)
-        self.count = np.zeros(0, np.int64)
-        self.ids = [np.zeros(0, np.int32)]
-        self.total = 0
+        self.at, self.count, self.byte_at, self.size = (np.zeros(0, np.int64) for _ in range(4))
+        self.ids, self.bytes = np.zeros(0, np.int32), np.zeros(0, np.uint8)
+
+    def held(self) -> int:
+        return 40 * len(self.keys) + 4 * len(self.ids) + len(self.bytes)
 
     def _encode(self, texts: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn(self, body, start, end, joinable, keys) -> None:
-        """Encode the pieces (keys ascending) and merge them into the store."""
-        count = np.zeros(len(keys), np.int64)
-        at = np.zeros(len(keys), np.int64)
-        total = self.total
-        together = np.flatnonzero(joinable)
-        if len(together):
+    def _ids_of(self, body, start, end, joinable) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of the pieces one after the other, number of each), from the tokenizer."""
+        count = np.zeros(len(start), np.int64)
+        parts, order = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)]
+        if len(together := np.flatnonzero(joinable)):
             width = end[together] - start[together]
             text = body[C.ranges(start[together], width)].tobytes().decode()
             ids = np.array(self._encode([text])[0], np.int32)
@@ -92,44 +93,57 @@ class PieceEncoder:
             if not np.array_equal(token_end[stop - 1], piece_end):
                 raise ValueError("a token reaches over a cut point")
             count[together] = np.diff(stop, prepend=0)
-            at[together] = total + stop - count[together]
-            self.ids.append(ids)
-            total += len(ids)
-        alone = np.flatnonzero(~joinable)
-        if len(alone):
+            parts.append(ids)
+            order.append(np.repeat(together, count[together]))
+        if len(alone := np.flatnonzero(~joinable)):
             each = self._encode([body[a:b].tobytes().decode() for a, b in zip(start[alone], end[alone], strict=True)])
             count[alone] = [len(x) for x in each]
-            at[alone] = total + np.cumsum(count[alone]) - count[alone]
-            self.ids.append(np.array([i for x in each for i in x], np.int32))
-            total += len(self.ids[-1])
-        self.total = total
+            parts.append(np.array([i for x in each for i in x], np.int32))
+            order.append(np.repeat(alone, count[alone]))
+        return np.concatenate(parts)[np.argsort(np.concatenate(order), kind="stable")], count
+
+    def _learn(self, body, start, end, joinable, keys) -> None:
+        """Put pieces (keys ascending, none of them held) into the store."""
+        ids, count = self._ids_of(body, start, end, joinable)
+        size = end - start
         where = np.searchsorted(self.keys, keys)
+        places = len(self.ids) + np.cumsum(count) - count, count, len(self.bytes) + np.cumsum(size) - size, size
         self.keys = np.insert(self.keys, where, keys)
-        self.at, self.count = np.insert(self.at, where, at), np.insert(self.count, where, count)
+        self.at, self.count, self.byte_at, self.size = (np.insert(old, where, new) for old, new in zip((self.at, self.count, self.byte_at, self.size), places, strict=True))
+        self.ids, self.bytes = np.append(self.ids, ids), np.append(self.bytes, body[C.ranges(start, size)])
 
     def encode(self, body: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all rows, first id of each row and the end)."""
         if not len(body):
             return np.zeros(0, np.int32), np.zeros(len(offsets), np.int64)
-        if len(self.keys) > _STORE:
+        if self.held() > STORE:
             self.forget()
         start, joinable = cut_points(body, offsets)
         end = np.append(start[1:], len(body))
-        keys, first, back = np.unique(C.word_hashes(body, start, end), return_index=True, return_inverse=True)
-        where = np.searchsorted(self.keys, keys)
-        known = where < len(self.keys)
-        known[known] = self.keys[where[known]] == keys[known]
-        if len(new := np.flatnonzero(~known)):
+        size = end - start
+        short = size <= LONGEST
+        hashes = C.word_hashes(body, start, end)
+        keys, first, back = np.unique(hashes, return_index=True, return_inverse=True)
+        where = np.minimum(np.searchsorted(self.keys, keys), max(len(self.keys) - 1, 0))
+        known = self.keys[where] == keys if len(self.keys) else np.zeros(len(keys), bool)
+        new = np.flatnonzero(~known & short[first])
+        if len(new):
             pick = first[new]
             self._learn(body, start[pick], end[pick], joinable[pick], keys[new])
-            where = np.searchsorted(self.keys, keys)
-        if len(self.ids) > 1:
-            self.ids = [np.concatenate(self.ids)]
-        slot = where[back]
-        count = self.count[slot]
-        ids = self.ids[0][C.ranges(self.at[slot], count)]
+        slot = np.minimum(np.searchsorted(self.keys, keys), max(len(self.keys) - 1, 0))[back]
+        # a piece is taken from the store if its bytes are there, not if its hash is
+        same = short & (self.size[slot] == size if len(self.keys) else False)
+        at = np.flatnonzero(same)
+        equal = body[C.ranges(start[at], size[at])] == self.bytes[C.ranges(self.byte_at[slot[at]], size[at])]
+        same[at] = np.logical_and.reduceat(equal, np.cumsum(size[at]) - size[at]) if len(at) else True
+        count, place, source = np.zeros(len(start), np.int64), np.zeros(len(start), np.int64), self.ids
+        count[same], place[same] = self.count[slot[same]], self.at[slot[same]]
+        if len(other := np.flatnonzero(~same)):
+            ids, count[other] = self._ids_of(body, start[other], end[other], np.zeros(len(other), bool))
+            place[other] = len(source) + np.cumsum(count[other]) - count[other]
+            source = np.append(source, ids)
         upto = np.append(0, np.cumsum(count))
-        return ids, upto[np.searchsorted(start, offsets)]
+        return source[C.ranges(place, count)], upto[np.searchsorted(start, offsets)]
 
 
 @lru_cache(maxsize=2)
