@@ -7,7 +7,9 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from vertexalg.llm import common, decontamination, near_dedup, packing, substring_dedup
+from pyspark.sql import functions as F
+
+from vertexalg.llm import common, decontamination, language_id, near_dedup, packing, substring_dedup
 from tests.llm.test_operators import ODD, odd, plain, repeats  # noqa: F401
 
 
@@ -118,3 +120,52 @@ def test_store_compares_bytes(monkeypatch):
             ids, first = tool.encode(body, offsets)
             assert ids.tolist() == want and len(first) == len(texts) + 1
         assert len(tool.bytes) <= sum(map(len, texts)) and "日" * 3 not in tool.bytes.tobytes().decode()
+
+
+def test_marks_are_no_letters(spark):
+    model = language_id.Model.learn([("fr", "été déjà là"), ("en", "the cat sat"), ("hi", "यह हिन्दी है")])
+    rows = [(1, "́́"), (2, "été déjà là"), (3, "12 ́ ."), (4, "हिन्दी"), (5, ""), (None, None)]
+    got = language_id.identify(spark.createDataFrame(rows, "doc_id long, text string"), model, with_spans=True).collect()
+    by = {r.doc_id: r for r in got}
+    assert [by[i].lang_pred for i in (1, 3, 5, None)] == ["und"] * 4 and all(by[i].score == 0 and not by[i].spans for i in (1, 3, 5, None))
+    assert by[4].lang_pred == "hi" and by[2].lang_pred in ("fr", "en") and sum(s.end - s.start for s in by[2].spans) == len(rows[1][1])
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_viterbi_by_brute_force(seed):
+    """The labels of every row are a best path: no other gives more, over all paths of short rows."""
+    rng = np.random.default_rng(seed)
+    names = ["aa", "bb", "cc"]
+    model = language_id.Model(names, rng.normal(size=(language_id.BUCKETS, 3)).astype(np.float32), rng.normal(size=(language_id.BUCKETS, 3)).astype(np.float32), np.ones((len(language_id._NAMES), 3), bool))
+    texts = pa.array([" ".join("".join(rng.choice(list("abcdeé"), rng.integers(1, 5))) for _ in range(n)) for n in (6, 0, 1, 7, 3)])
+    words = language_id._words(texts, 0, len(texts))
+    points, start, end, first, _ = words
+    tri, word = language_id._features(points, start, end)
+    score = np.array([[model.trigram[tri[int((end - start)[:w].sum()) : int((end - start)[: w + 1].sum())], k].sum() + model.word[word[w], k] for k in range(3)] for w in range(len(start))])
+    for switch in (0.0, 0.7, 50.0):
+        labels = model.label(*words, switch)
+        value = lambda path, at: sum(score[at + i, k] for i, k in enumerate(path)) - switch * sum(x != y for x, y in itertools.pairwise(path))
+        for a, b in itertools.pairwise(first.tolist()):
+            best = max((value(p, a) for p in itertools.product(range(3), repeat=b - a)), default=0)
+            assert value(labels[a:b].tolist(), a) == pytest.approx(best, abs=1e-4)
+
+
+def test_sample_of_languages(spark):
+    """The least hashes of a language, also where most of its rows are one text and its bound must widen."""
+    rows = [("same text of many rows", "en")] * 3000 + [(f"text {i}", "en") for i in range(60)] + [(f"texte {i}", "fr") for i in range(700)] + [("x", None), (None, "de"), ("", "es")]
+    frame = spark.createDataFrame(rows, "text string, lang string")
+    seen = {}
+
+    class Spy(language_id.Model):
+        @classmethod
+        def learn(cls, rows):
+            seen["rows"] = rows
+
+    before, language_id.Model = language_id.Model, Spy
+    try:
+        language_id.learn(frame, 50)
+    finally:
+        language_id.Model = before
+    ranked = {lang: [r.text for r in frame.where(F.col("lang") == lang).select("text").distinct().orderBy(F.xxhash64("text")).limit(50).collect()] for lang in ("en", "fr")}
+    assert seen["rows"] == sorted((lang, t) for lang, ts in ranked.items() for t in ts)
+    assert language_id.learn(frame.limit(0)) is None

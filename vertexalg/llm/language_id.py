@@ -5,9 +5,12 @@ whole known words; the script of its letters narrows the languages that may scor
 per switch then labels every word of a document, which gives spans; the document's language is
 the one with most labelled letters, and its score the share of letters that it has.
 
-Learning counts trigrams and words of a bounded sample: per language the ``sample`` rows with the
-least hash of their text, so it does not depend on partitioning. Scale: one pass, no shuffle of the text;
-the model has a fixed size (2**16 trigram buckets and 2**16 word buckets per language).
+Learning counts trigrams and words of a bounded sample: per language the ``sample`` texts of the least
+hash, so it does not depend on partitioning. Scale: one pass, no shuffle of the text; only hashes below a bound drawn
+from the counts are ranked, about four times the sample whatever the table's size; the model has a fixed size
+(2**16 trigram buckets and 2**16 word buckets per language).
+
+A word is a run of letters and combining marks of one script that holds a letter; marks alone are no word.
 """
 
 from __future__ import annotations
@@ -18,7 +21,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -32,35 +35,37 @@ _NAMES = tuple(sorted({s for _, s in _SCRIPTS}))
 
 
 @lru_cache(maxsize=1)
-def _tables() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """By code point: is it a letter; its lower case; its script's number."""
+def _tables() -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """By code point: is it a letter; is it a letter or a mark; its lower case; its script's number."""
     n = 0x110000
-    letter = np.fromiter((not 0xD800 <= i < 0xE000 and unicodedata.category(chr(i))[0] in "LM" for i in range(n)), bool, n)
+    kind = "".join(unicodedata.category(chr(i))[0] for i in range(n))
+    letter, mark = (np.frombuffer(kind.encode(), np.uint8) == ord(k) for k in "LM")
     lower = np.arange(n, dtype=np.uint32)
     for i in np.flatnonzero(letter).tolist():
         if len(c := chr(i).lower()) == 1:
             lower[i] = ord(c)
     edge = np.array([a for a, _ in _SCRIPTS])
     script = np.array([_NAMES.index(s) for _, s in _SCRIPTS], np.int8)[np.searchsorted(edge, np.arange(n), side="right") - 1]
-    return letter, lower, script
+    return letter, letter | mark, lower, script
 
 
 def _words(texts: pa.Array, i: int, j: int):
     """Letters words of rows i..j: code points of all rows, starts, ends, first word per row, script per word."""
-    letter, lower, script = _tables()
+    letter, inner, lower, script = _tables()
     body, offsets = C.utf8(texts.slice(i, j - i))
     points = np.frombuffer(body.tobytes().decode("utf-8", "replace").encode("utf-32-le", "replace"), np.uint32)
     # rows by code points: every byte but the continuations begins one
     upto = np.append(0, np.cumsum((body & 0xC0) != 0x80))
     off = upto[offsets]
-    inside = letter[points]
+    inside = inner[points]
     n = len(points)
     if not n:
         none = np.zeros(0, np.int64)
         return points, none, none, np.zeros(j - i + 1, np.int64), none
     begins, stops = inside.copy(), inside.copy()
-    # a change of script begins a word too
-    kind = script[points]
+    # a change of script begins a word too; marks go with the letter before them
+    base = np.maximum.accumulate(np.where(letter[points] | ~inside, np.arange(n), 0))
+    kind = script[points[base]]
     turn = kind[1:] != kind[:-1]
     begins[1:] &= ~inside[:-1] | turn
     stops[:-1] &= ~inside[1:] | turn
@@ -68,6 +73,9 @@ def _words(texts: pa.Array, i: int, j: int):
     begins[cut] = inside[cut]
     stops[cut - 1] = inside[cut - 1]
     start, end = np.flatnonzero(begins), np.flatnonzero(stops) + 1
+    letters = np.append(0, np.cumsum(letter[points]))
+    real = letters[end] > letters[start]
+    start, end = start[real], end[real]
     return lower[points], start, end, np.searchsorted(start, off), kind[start]
 
 
@@ -125,7 +133,7 @@ class Model:
         order = np.argsort(-count, kind="stable")
         begin, longest = first[:-1][order], count[order]
         alive = np.searchsorted(-longest, -np.arange(1, (longest[0] if len(longest) else 0) + 1), side="right")
-        back = np.empty((len(start), n_lang), np.int8)
+        back = np.empty((len(start), n_lang), np.int16)
         now = np.zeros((len(order), n_lang), np.float32)
         me = np.arange(n_lang)
         for t, m in enumerate(alive.tolist()):
@@ -135,7 +143,7 @@ class Model:
             stay = now[:m] >= jump
             back[at] = np.where(stay, me, best[:, None])
             now[:m] = np.where(stay, now[:m], jump) + score[at]
-        out = np.empty(len(start), np.int8)
+        out = np.empty(len(start), np.int16)
         state = now.argmax(axis=1)
         for t in range(len(alive) - 1, -1, -1):
             m = alive[t]
@@ -146,16 +154,28 @@ class Model:
 
 
 def learn(docs: DataFrame, sample: int = SAMPLE) -> Model | None:
-    """From rows (text, lang) with both; None if there are none. At most sample texts of SAMPLE_CHARS characters per language.
-    Hashes alone are ranked first; then only the texts at or below each language's last hash are fetched."""
+    """From rows (text, lang) with both; None if there are none. At most sample texts of SAMPLE_CHARS characters per language,
+    those of the least hashes. Only hashes below a bound are ranked: it starts at four times the share of rows that the
+    sample is, and widens for languages that have too few different texts under it."""
     rows = docs.where("lang is not null and text is not null and length(text) > 0").select("lang", "text", F.xxhash64("text").alias("h"))
-    order = W.partitionBy("lang").orderBy("h")
-    ranked = rows.select("lang", "h").distinct().withColumn("r", F.row_number().over(order)).where(F.col("r") <= sample)
-    last = ranked.groupBy("lang").agg(F.max("h").alias("h")).collect()
-    if not last:
+    counts = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}
+    if not counts:
         return None
+    share = {lang: min(1.0, 4 * sample / n) for lang, n in counts.items()}
+    last: dict[str, int] = {}
+    while open_ := {lang: x for lang, x in share.items() if lang not in last}:
+        low = F.lit(False)
+        for lang, x in open_.items():
+            bound = F.lit(True) if x >= 1 else F.col("h") < int(2**64 * x) - 2**63
+            low |= (F.col("lang") == lang) & bound
+        order = W.partitionBy("lang").orderBy("h")
+        ranked = rows.where(low).select("lang", "h").distinct().withColumn("r", F.row_number().over(order)).where(F.col("r") <= sample)
+        for r in ranked.groupBy("lang").agg(F.max("h").alias("h"), F.count("*").alias("n")).collect():
+            if r["n"] == sample or share[r["lang"]] >= 1:
+                last[r["lang"]] = r["h"]
+        share = {lang: x if lang in last else min(1.0, 16 * x) for lang, x in share.items()}
     wanted = F.lit(False)
-    for lang, h in last:
+    for lang, h in last.items():
         wanted |= (F.col("lang") == lang) & (F.col("h") <= h)
     # what is learned, not what is predicted, is bounded
     picked = rows.where(wanted).groupBy("lang", "h").agg(F.min(F.substring("text", 1, SAMPLE_CHARS)).alias("t"))
@@ -203,22 +223,23 @@ def _predict(model: Model | None, switch: float, with_spans: bool):
     return run
 
 
-def held_out(column: str, modulus: int, rest: int):
+def held_out(column: str, modulus: int, rest: int) -> Column:
     return F.coalesce(F.crc32(F.col(column).cast("string")) % modulus == rest, F.lit(False))
 
 
-def identify(docs: DataFrame, model: Model | None, switch: float = SWITCH, with_spans: bool = False) -> DataFrame:
-    """(doc_id, held_out, lang_pred, score[, spans]) per row of docs (doc_id, text[, held_out]).
+def identify(docs: DataFrame, model: Model | None, switch: float = SWITCH, with_spans: bool = False, held: Column | None = None) -> DataFrame:
+    """(doc_id, held_out, lang_pred, score[, spans]) per row of docs (doc_id, text); other columns are left out.
 
-    A null text, or one without letters, is 'und' with score 0; so is everything without a model (no labelled rows).
-    spans: lang, start and end in code points, of runs of words of one language."""
-    if "held_out" not in docs.columns:
-        docs = docs.withColumn("held_out", F.lit(False))
+    held: what held_out shall say (false if not given). A null or empty text, or one without letters (marks alone are none), is
+    'und' with score 0; so is everything without a model (no labelled rows). Of languages with equal numbers of
+    letters the first by name is told. A null id stays null, rows that repeat an id are labelled each for itself, an
+    empty table gives no row. spans: lang, start and end in code points, of runs of words of one language."""
     schema = "doc_id long, held_out boolean, lang_pred string, score double" + ", spans array<struct<lang: string, start: int, end: int>>" * with_spans
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), "held_out")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), (F.lit(False) if held is None else held).alias("held_out"))
     return texts.mapInArrow(_predict(model, switch, with_spans), schema)
 
 
 def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = C.table(spark, sf_dir, "documents").select("doc_id", "text", "lang", held_out("doc_id", 4, 2).alias("held_out"))
-    return identify(docs.drop("lang"), learn(docs.where("not held_out").select("text", "lang")))
+    docs = C.table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    held = held_out("doc_id", 4, 2)
+    return identify(docs, learn(docs.where(~held).select("text", "lang")), held=held)
