@@ -6,7 +6,8 @@ the findings back to all paths that have the blob. Only DataFrame expressions ru
 (split) and the matches (regexp_extract_all) give the places of matches by their lengths.
 
 Scale: a blob is scanned once however many paths hold it; copies are dropped before the shuffle by
-the partial aggregate; paths and findings meet on 64-byte names.
+the partial aggregate; paths and findings meet on 64-byte names. A blob of more than 1 / ``HOT`` of all paths is met in
+parts: there are fewer than ``HOT`` of those whatever the table's size, so their names may be broadcast.
 """
 
 from __future__ import annotations
@@ -34,15 +35,17 @@ class Rule:
         return f"{self.kind}@{self.version}"
 
 
+_BEGIN = r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY(?: BLOCK)?-----"
 #: The first three are the base kinds, in the order in which they rank.
 RULES = (
     Rule("assign", r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 1, 6),
     # runs are maximal, so asking for the length in the pattern finds the same matches as dropping short ones after
     Rule("access", r"AKIA[A-Z0-9]{16,}", 0, 20),
     Rule("hex", r"[0-9a-f]{24,}", 0, 24),
-    Rule("pem", r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----", 0, 1),
+    # up to the END line, or where it is missing the next lines (200 at most) that look like a key's
+    Rule("pem", _BEGIN + r"(?:[^-]*(?:-[^-]+){0,8}" + _BEGIN.replace("BEGIN", "END") + r"|(?:[ \t\r\n]+[A-Za-z0-9+/=]{16,}){0,200})", 0, 1, "2"),
 )
-BASE = 3
+BASE, HOT = 3, 1000
 _SPAN = "array<struct<start: long, rank: int, kind: string, end: long>>"
 
 
@@ -76,34 +79,59 @@ def scan_blobs(blobs: DataFrame, rules: tuple[Rule, ...] = RULES, ledger: DataFr
     return todo.select("blob", F.explode(F.array_compact(F.array(*each))).alias("x")).select("blob", "x.rule", "x.spans")
 
 
-def named(paths: DataFrame) -> DataFrame:
-    return paths.withColumn("text", F.coalesce(F.col("text").cast("string"), F.lit(""))).withColumn("blob", F.sha2("text", 256))
+def _blob(text: str = "text") -> Column:
+    """The name of a text; a null one is empty."""
+    return F.sha2(F.coalesce(F.col(text).cast("string"), F.lit("")), 256)
 
 
 def distinct_blobs(paths: DataFrame) -> DataFrame:
     """(blob, text) once per text of paths (text)."""
-    return named(paths.select("text")).groupBy("blob").agg(F.first("text").alias("text"))
+    return paths.select(_blob().alias("blob"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).groupBy("blob").agg(F.first("text").alias("text"))
+
+
+def read_ledger(spark: SparkSession, path: str) -> DataFrame | None:
+    """The ledger (blob, rule, spans) in a Parquet folder; None if there is none yet."""
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return spark.read.parquet(path) if folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder) else None
+
+
+def update_ledger(paths: DataFrame, path: str, rules: tuple[Rule, ...] = RULES) -> DataFrame:
+    """Scan what the ledger in folder path lacks of paths (text) and append it; the whole ledger. Nothing that was
+    scanned before with the same version of a rule is scanned again."""
+    scan_blobs(distinct_blobs(paths), rules, read_ledger(paths.sparkSession, path)).write.mode("append").parquet(path)
+    return read_ledger(paths.sparkSession, path)
+
+
+def _located(paths: DataFrame, rules: tuple[Rule, ...], ledger: DataFrame) -> tuple[DataFrame, str, str]:
+    """paths with two more columns, whose names are returned: the blob and its spans (null if it has none)."""
+    blob, spans = C.fresh(paths, "_blob"), C.fresh(paths, "_spans")
+    known = ledger.where(F.col("rule").isin([r.name for r in rules]) & (F.size("spans") > 0))
+    by_blob = known.groupBy("blob").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("spans")))).alias("spans"))
+    counts = paths.select(_blob().alias("blob")).groupBy("blob").agg(F.count("*").alias("n"))
+    total = max(1, paths.count())
+    hot = F.broadcast(counts.where(F.col("n") * HOT > total).select("blob", F.ceil(F.col("n") * HOT / total).cast("int").alias("salts")))
+    every = by_blob.join(hot, "blob", "left").select(F.col("blob").alias(blob), F.col("spans").alias(spans), F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1)).alias("_salt"))
+    salt, salts = C.fresh(paths, "_salt"), C.fresh(paths, "_salts")
+    keyed = paths.withColumn(blob, _blob()).join(hot.select(F.col("blob").alias(blob), F.col("salts").alias(salts)), blob, "left")
+    keyed = keyed.withColumn(salt, F.pmod(F.monotonically_increasing_id(), F.coalesce(F.col(salts), F.lit(1))).cast("int"))
+    return keyed.join(every.withColumnRenamed("_salt", salt), [blob, salt], "left").select(*(F.col(f"`{c}`") for c in paths.columns), blob, spans), blob, spans
 
 
 def findings(paths: DataFrame, rules: tuple[Rule, ...] = RULES, ledger: DataFrame | None = None, ledger_path: str | None = None) -> DataFrame:
     """(path columns but text, blob, spans): each row of paths (text, ...) with all spans of its blob, sorted by
-    start and then rank of the rule. A null text is an empty one; equal texts share one scan.
+    start and then rank of the rule. A null text is an empty one; equal texts share one scan; ids may be null or repeat, as
+    rows are met by their texts; an empty table gives no row. Columns of paths that are named blob or spans are left out.
 
-    ledger_path: a Parquet folder; its rows count as the ledger, and new ones are appended to it."""
-    spark = paths.sparkSession
+    ledger_path: a Parquet folder; its rows count as the ledger, and new ones are appended to it. ledger: rows
+    of an earlier scan, which stays as it is. Without either everything is new, and kept for this call alone."""
     if ledger_path is not None:
-        hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(ledger_path)
-        if hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(hadoop):
-            ledger = spark.read.parquet(ledger_path)
-    new = scan_blobs(distinct_blobs(paths), rules, ledger)
-    if ledger_path is not None:
-        new = C.materialise(new, "scan")
-        new.write.mode("append").parquet(ledger_path)
-    current = F.col("rule").isin([r.name for r in rules])
-    known = new if ledger is None else new.unionByName(ledger.where(current))
-    by_blob = known.where(F.size("spans") > 0).groupBy("blob").agg(F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
-    keyed = named(paths).drop("text")
-    return keyed.join(by_blob, "blob", "left").withColumn("spans", F.coalesce("spans", F.expr(f"cast(array() as {_SPAN})")))
+        known = update_ledger(paths, ledger_path, rules)
+    else:
+        known = C.materialise(scan_blobs(distinct_blobs(paths), rules, ledger), "ledger")
+        known = known if ledger is None else known.unionByName(ledger)
+    found, blob, spans = _located(paths, rules, known)
+    kept = [F.col(f"`{c}`") for c in paths.columns if c.lower() not in ("text", "blob", "spans")]
+    return found.select(*kept, F.col(blob).alias("blob"), F.coalesce(spans, F.expr(f"cast(array() as {_SPAN})")).alias("spans"))
 
 
 def _joined(spans: Column) -> Column:
@@ -111,6 +139,7 @@ def _joined(spans: Column) -> Column:
 
 
 def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Spans are read back from the ledger that the scan has written."""
     found = findings(C.table(spark, sf_dir, "documents").select("doc_id", "text"))
     base = F.filter("spans", lambda s: s["rank"] < BASE)
     count = lambda k: F.size(F.filter("spans", lambda s: s["rank"] == k)).cast("long")
@@ -118,21 +147,22 @@ def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def redact(docs: DataFrame, rules: tuple[Rule, ...] = RULES, mark: str = "[secret]") -> DataFrame:
-    """docs (doc_id, text, ...) with every maximal union of spans replaced by mark; null texts stay null, other
-    columns stay. Findings travel by blob, so the text moves to them once."""
-    blobs = scan_blobs(distinct_blobs(docs), rules).where(F.size("spans") > 0)
-    by_blob = blobs.groupBy("blob").agg(F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
+    """docs (text, ...) with every maximal union of spans replaced by mark; null texts stay null, and so do all
+    rows and other columns, whatever their names. Findings travel by blob, so the text moves to them once."""
+    known = C.materialise(scan_blobs(distinct_blobs(docs), rules), "ledger")
+    found, _, spans = _located(docs, rules, known)
+    text = F.col("text").cast("string")
     start = F.struct(F.lit("").alias("out"), F.lit(0).cast("long").alias("at"))
 
     def step(acc: Column, s: Column) -> Column:
         # text up to the span, and the mark unless the span goes on from the one before
-        gap = F.substr("text", (acc["at"] + 1).cast("int"), F.greatest(s["start"] - acc["at"], F.lit(0)).cast("int"))
+        gap = F.substr(text, (acc["at"] + 1).cast("int"), F.greatest(s["start"] - acc["at"], F.lit(0)).cast("int"))
         shown = F.when((s["start"] >= acc["at"]), F.concat(acc["out"], gap, F.lit(mark))).otherwise(acc["out"])
         return F.struct(shown.alias("out"), F.greatest(acc["at"], s["end"]).alias("at"))
 
-    clean = F.aggregate("spans", start, step, lambda acc: F.concat(acc["out"], F.substr("text", (acc["at"] + 1).cast("int"), F.length("text"))))
-    keyed = docs.withColumn("blob", F.sha2(F.coalesce("text", F.lit("")), 256)).join(by_blob, "blob", "left")
-    return keyed.withColumn("text", F.when(F.col("spans").isNotNull(), clean).otherwise(F.col("text"))).select(*docs.columns)
+    clean = F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substr(text, (acc["at"] + 1).cast("int"), F.length(text))))
+    shown = F.when(text.isNotNull() & F.col(spans).isNotNull(), clean).otherwise(text)
+    return found.select(*(shown.alias(c) if c == "text" else F.col(f"`{c}`") for c in docs.columns))
 
 
 # the SQL finds whole runs and drops short ones after, as the kinds are defined
