@@ -42,8 +42,8 @@ RULES = (
     # runs are maximal, so asking for the length in the pattern finds the same matches as dropping short ones after
     Rule("access", r"AKIA[A-Z0-9]{16,}", 0, 20),
     Rule("hex", r"[0-9a-f]{24,}", 0, 24),
-    # up to the END line, or where it is missing the next lines (200 at most) that look like a key's
-    Rule("pem", _BEGIN + r"(?:[^-]*(?:-[^-]+){0,8}" + _BEGIN.replace("BEGIN", "END") + r"|(?:[ \t\r\n]+[A-Za-z0-9+/=]{16,}){0,200})", 0, 1, "2"),
+    # up to the END line, or where it is missing the next lines (60 at most) that look like a key's
+    Rule("pem", _BEGIN + r"(?:[^-]*(?:-[^-]+){0,8}" + _BEGIN.replace("BEGIN", "END") + r"|(?:[ \t\r\n]+[A-Za-z0-9+/=]{16,}){0,60})", 0, 1, "2"),
 )
 BASE, HOT = 3, 1000
 _SPAN = "array<struct<start: long, rank: int, kind: string, end: long>>"
