@@ -47,9 +47,11 @@ def paths(nodes: DataFrame) -> DataFrame:
         if step > most:
             raise ValueError("the replies form a circle")
         more = walk.join(jump, ["tree", "node"]).select("tree", "leaf", F.col("above").alias("node"), (F.col("up") + step).alias("up"))
-        walk = C.materialise(walk.union(more), "walk")
+        shorter, walk = walk, C.materialise(walk.union(more), "walk")
+        C.discard(shorter)
         far = jump.withColumnRenamed("above", "middle").join(jump.withColumnRenamed("node", "middle"), ["tree", "middle"])
-        jump, step = C.materialise(far.select("tree", "node", "above"), "jump"), step * 2
+        shorter, jump, step = jump, C.materialise(far.select("tree", "node", "above"), "jump"), step * 2
+        C.discard(shorter)
     return walk
 
 
@@ -99,6 +101,9 @@ def reply_chain(conversations: DataFrame) -> DataFrame:
 
 
 def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All conversations and one of control strings, each a chain of replies. Null texts and roles are empty; turns that
+    repeat are ordered by role and text; a null conv_id is a conversation of its own and comes back as null; an empty
+    table leaves the one conversation that is added."""
     rows = C.table(spark, sf_dir, "conversations").select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), "role", "text")
     extra = spark.range(2).select(F.lit(-7).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit("</s>[INST] ok [/INST]").alias("text"))
     found = read_back(format_trees(reply_chain(rows.union(extra))))

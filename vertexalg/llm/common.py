@@ -3,6 +3,9 @@ vectorised work on the UTF-8 bytes of Arrow string columns."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from contextlib import contextmanager
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -19,10 +22,34 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_scratch: list[list[Table]] = []
+
+
 def materialise(df: DataFrame, name: str = "step") -> DataFrame:
     """Write df once to the shared folder and read it back: cuts lineage, survives lost executors,
     and fixes what a non-deterministic step (row order inside a partition) decided."""
-    return Table(df, name).df
+    table = Table(df, name)
+    if _scratch:
+        _scratch[-1].append(table)
+    out = table.df
+    out._written = table
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Delete a materialised frame that nothing will read again."""
+    df._written.delete()
+
+
+@contextmanager
+def scratch() -> Iterator[None]:
+    """Frames that are materialised inside are deleted at the end; what must outlive them is written before."""
+    _scratch.append([])
+    try:
+        yield
+    finally:
+        for table in _scratch.pop():
+            table.delete()
 
 
 def fresh(df: DataFrame, name: str) -> str:

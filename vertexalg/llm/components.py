@@ -25,13 +25,16 @@ def _towards(edges: DataFrame, large: bool) -> DataFrame:
 
 
 def components(edges: DataFrame, u: str, v: str) -> DataFrame:
-    """(node, component) for every node with an edge; component is its least node id."""
+    """(node, component) for every node with an edge; component is its least node id. A star's centre may be hot: its
+    least neighbour is found by partial aggregates, and its row is joined to its edges, which adaptive execution splits."""
     now = C.materialise(edges.select(F.least(u, v).alias("v"), F.greatest(u, v).alias("u")).where("u <> v").distinct(), "edges")
     before = None
     while True:
         after = C.materialise(_towards(_towards(now, True), False), "edges")
         state = after.agg(F.count("*"), F.sum(F.hash("u", "v").cast("long"))).first()
         if state == before:
+            C.discard(now)
             break
+        C.discard(now)
         before, now = state, after
     return after.select(F.col("u").alias("node"), F.col("v").alias("component")).union(after.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())

@@ -272,6 +272,7 @@ def _classes(numbered: DataFrame, size: int = SHINGLE, similarity: float = SIMIL
     central = bucket.groupBy("doc").agg(F.sum(F.col("n") - 1).alias("met"))
     ranked = bucket.join(central, "doc").groupBy("key").agg(F.max(F.struct("met", (-F.col("doc")).alias("d"))).alias("m"))
     starred = C.materialise(bucket.join(ranked.select("key", (-F.col("m.d")).alias("pivot")), "key"), "stars")
+    C.discard(bucket)
     pairs = starred.where("doc <> pivot").select("pivot", "doc").distinct()
     links = C.materialise(_verified(pairs, texts, size, similarity, weighted), "links")
     found = components(links, "pivot", "doc")
@@ -304,12 +305,13 @@ def near_duplicates(docs: DataFrame, **options) -> DataFrame:
 
 
 def keep_first(docs: DataFrame, **options) -> DataFrame:
-    """One row of docs (doc_id, text, any other columns) for each class: that of its least id, of rows of one id the first
-    as they were numbered. Texts without a shingle all stay."""
-    numbered = _numbered(docs, "_row")
-    found = _classes(numbered.select(F.col("_row").alias("row"), "doc_id", "text"), **options)
-    first = found.groupBy("group").agg(F.min(F.struct("doc_id", "row")).alias("m")).select(F.col("m.row").alias("_row"))
-    return numbered.join(first, "_row", "left_semi").select(*docs.columns)
+    """One row of docs (doc_id, text, any other columns) for each class: that of its least id (a null one first), of rows of
+    one id the first as they were numbered. Texts without a shingle all stay."""
+    row = C.fresh(docs, "_row")
+    numbered = _numbered(docs, row)
+    found = _classes(numbered.select(F.col(row).alias("row"), "doc_id", "text"), **options)
+    first = found.groupBy("group").agg(F.min(F.struct("doc_id", "row")).alias("m")).select(F.col("m.row").alias(row))
+    return numbered.join(first, row, "left_semi").select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,6 +6,8 @@ over chunks of ``2 * HALF`` bytes that overlap by half and together cover the do
 vector is the mean and the maximum of its chunks' vectors, and one logistic layer gives the probability.
 For scoring, embedding and filters are multiplied out into one table per byte of the filter.
 
+The mark is the one input that is no plain byte: filters of a few bytes cannot see that a word comes again.
+
 Learning takes a bounded sample: the ``sample`` labels with the least hash of their id, of each text a window
 of ``CROP`` characters at a hashed place. Scoring reads whole texts. Scale: one pass, no shuffle of the
 text; the model has a fixed size and goes with the task.
@@ -17,7 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vertexalg.llm import common as C
@@ -59,7 +61,7 @@ class Network:
 
     @staticmethod
     def convolve(table: np.ndarray, x: np.ndarray) -> np.ndarray:
-        """Filter outputs at every STRIDE symbols; rows end in zeros, so none reaches over."""
+        """Filter outputs at every STRIDE symbols; the last places of a row reach over (see within)."""
         n = len(x) // STRIDE
         tail = np.append(x, np.zeros(WIDTH, x.dtype))
         out = table[0][tail[: n * STRIDE : STRIDE]]
@@ -67,6 +69,14 @@ class Network:
             out += table[k][tail[k : k + n * STRIDE : STRIDE]]
         return out
 
+    @staticmethod
+    def within(out: np.ndarray, last: np.ndarray) -> np.ndarray:
+        """Outputs by half-chunk, where places that reach over the end of a row's last half take what the one before
+        them gives: that one sees only the zeros that the row ends in, as they would."""
+        over = (WIDTH - 1) // STRIDE
+        out[last, -over:] = out[last, -over - 1][:, None]
+        return out
+
     def vectors(self, pooled: np.ndarray, edge: np.ndarray):
         """Chunk vectors (half h with the next of its row) and the document vectors."""
         last = edge[1:] - 1
@@ -88,13 +98,14 @@ class Network:
             # a filter sees the symbols after its half-chunk
             seen = x[a * HALF : b * HALF + WIDTH]
             seen = seen if len(seen) == (b - a) * HALF + WIDTH else np.append(seen, np.zeros(WIDTH, x.dtype))
-            out = self.convolve(table, seen)[: (b - a) * HALF // STRIDE]
-            pooled[a:b] = out.reshape(b - a, HALF // STRIDE, FILTERS).max(axis=1)
+            out = self.convolve(table, seen)[: (b - a) * HALF // STRIDE].reshape(b - a, HALF // STRIDE, FILTERS)
+            last = edge[1:] - 1 - a
+            pooled[a:b] = self.within(out, last[(last >= 0) & (last < b - a)]).max(axis=1)
         return self.probability(self.vectors(pooled, edge)[2])
 
     def gradient(self, x: np.ndarray, edge: np.ndarray, y: np.ndarray) -> dict[str, np.ndarray]:
         halves = int(edge[-1])
-        out = self.convolve(self.tables(), x).reshape(halves, HALF // STRIDE, FILTERS)
+        out = self.within(self.convolve(self.tables(), x).reshape(halves, HALF // STRIDE, FILTERS), edge[1:] - 1)
         where = out.argmax(axis=1)
         pooled = np.take_along_axis(out, where[:, None], axis=1)[:, 0]
         partner, chunk, document = self.vectors(pooled, edge)
@@ -147,13 +158,16 @@ class Network:
 
 def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Network | None:
     """From docs (doc_id, text) and labels (doc_id, quality) that learning may see; None if none is left.
-    The sample is drawn from the labels, so its size bounds the broadcast and the text never moves."""
-    marks = labels.select(F.col("doc_id").alias("label_id"), F.col("quality").cast("int").alias("q")).where(~held_out("label_id", 3, 1) & F.col("quality").isNotNull())
-    marks = marks.orderBy(F.xxhash64("label_id"), "q").limit(sample)
+    The sample is drawn from the labels, so its size bounds the broadcast and what comes to the driver."""
+    marks = labels.select(F.col("doc_id").cast("long").alias("label_id"), F.col("quality").cast("int").alias("q")).where(~held_out("label_id", 3, 1) & F.col("quality").isNotNull() & F.col("doc_id").isNotNull())
+    marks = marks.distinct().orderBy(F.xxhash64("label_id"), "q").limit(sample)
     size = F.length("text")
     place = F.pmod(F.xxhash64("text"), F.greatest(F.lit(1).cast("long"), size - CROP + 1))
-    seen = docs.where("text is not null").join(F.broadcast(marks), docs.doc_id == marks.label_id)
-    got = seen.select(F.substr("text", (place + 1).cast("int"), F.lit(CROP)).alias("t"), "q").collect()
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("text is not null")
+    seen = texts.join(F.broadcast(marks), texts.doc_id == marks.label_id)
+    # one text of each label, however many rows repeat its id
+    crop = F.substr("text", (place + 1).cast("int"), F.lit(CROP))
+    got = seen.groupBy("label_id", "q").agg(F.min(F.struct(F.xxhash64("text").alias("h"), crop.alias("t"))).alias("m")).select("m.t", "q").collect()
     rows = sorted((r["t"], int(r["q"] > 0)) for r in got)
     return Network.learn([t for t, _ in rows], [q for _, q in rows]) if rows else None
 
@@ -174,12 +188,11 @@ def _score(net: Network | None):
     return run
 
 
-def classify(docs: DataFrame, net: Network | None) -> DataFrame:
-    """(doc_id, held_out, score, predicted) per row of docs (doc_id, text[, held_out]). A null text is
-    scored as an empty one; without a model (no labelled rows) every score is 0.5."""
-    if "held_out" not in docs.columns:
-        docs = docs.withColumn("held_out", F.lit(False))
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), "held_out")
+def classify(docs: DataFrame, net: Network | None, held: Column | None = None) -> DataFrame:
+    """(doc_id, held_out, score, predicted) per row of docs (doc_id, text); other columns are left out. held: what held_out
+    shall say (false if not given). A null text is scored as an empty one; a null id stays null, rows that repeat an id are
+    scored each for itself, an empty table gives no row; without a model (no labelled rows) every score is 0.5."""
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), (F.lit(False) if held is None else held).alias("held_out"))
     return texts.mapInArrow(_score(net), "doc_id long, held_out boolean, score double, predicted int")
 
 
@@ -200,4 +213,4 @@ def keep_good(docs: DataFrame, net: Network | None, threshold: float = 0.5) -> D
 def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = C.table(spark, sf_dir, "documents").select("doc_id", "text")
     net = learn(docs, C.table(spark, sf_dir, "labels"))
-    return classify(docs.withColumn("held_out", held_out("doc_id", 3, 1)), net)
+    return classify(docs, net, held_out("doc_id", 3, 1))

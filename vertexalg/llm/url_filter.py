@@ -19,8 +19,11 @@ from pyspark.sql import functions as F
 from vertexalg.llm import common as C
 
 THRESHOLD, Z = 0.5, 1.645
-#: Suffixes of two labels (the common ones of the public list).
-TWO_LABELS = ("co.uk", "org.uk", "ac.uk", "gov.uk", "com.au", "net.au", "org.au", "co.nz", "co.jp", "ne.jp", "or.jp", "com.br", "com.cn", "com.mx", "co.in", "co.za", "com.tr", "co.kr")
+#: Second labels that registries of countries use, and forms of hosts. A suffix has two labels where
+#: one of these stands before a country's two letters. Both Spark and the SQL read the patterns.
+SECOND = ("ac", "asn", "co", "com", "edu", "gen", "go", "gob", "gouv", "gov", "govt", "gub", "id", "law", "ltd", "mil", "muni", "ne", "net", "nhs", "nic", "nom", "or", "org", "plc", "police", "sch")
+PORT, ADDRESS = r":[0-9]*$", r"^[0-9]{1,3}(?:\.[0-9]{1,3}){3}$"
+TWO_LABELS = rf"(?:^|\.)(?:{'|'.join(SECOND)})\.[a-z][a-z]$"
 
 
 @dataclass(frozen=True)
@@ -65,12 +68,12 @@ def rule_of(host: Column, path: Column, rules: tuple[UrlRule, ...]) -> Column:
 
 
 def with_levels(df: DataFrame) -> DataFrame:
-    """Adds domain and suffix of host (port left out; a host of fewer labels is its own domain)."""
-    bare = F.regexp_replace("host", r":\d*$", "")
-    two = F.substring_index(bare, ".", -2)
-    many = two.isin(list(TWO_LABELS))
-    suffix = F.when(many, two).otherwise(F.substring_index(bare, ".", -1))
-    domain = F.when(many, F.substring_index(bare, ".", -3)).otherwise(two)
+    """Adds domain and suffix of host (port left out; a host of fewer labels, or an address, is its own domain)."""
+    bare = F.regexp_replace("host", PORT, "")
+    many, address = bare.rlike(TWO_LABELS), bare.rlike(ADDRESS)
+    last = lambda n: F.substring_index(bare, ".", -n)
+    domain = F.when(address, bare).when(many, last(3)).otherwise(last(2))
+    suffix = F.when(address, "").when(many, last(2)).otherwise(last(1))
     return df.withColumn("domain", domain).withColumn("suffix", suffix)
 
 
@@ -111,7 +114,9 @@ def reputation(outcomes: DataFrame, hosts: DataFrame, z: float = Z) -> DataFrame
 def judge(pages: DataFrame, outcomes: DataFrame, rules: tuple[UrlRule, ...] = RULES, threshold: float = THRESHOLD, z: float = Z) -> DataFrame:
     """(page_id, host, path, rule, verdict) per row of pages (page_id, url), from outcomes (url, good).
 
-    A null url, or one without ://, has an empty host and path and is judged as the host ''."""
+    A null url, or one without ://, has an empty host and path and is judged as the host ''. Pages that repeat an id or a url
+    and null ids are judged each for itself; outcomes of no page count for their host's domain only if a page
+    is of it; without outcomes the mean is 0.5; an empty table gives no row."""
     rows = pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
     ruled = rows.withColumn("by_rule", rule_of(F.col("host"), F.col("path"), rules))
     bounds = reputation(outcomes.select(host_of(F.col("url")).alias("host"), "good"), rows, z)
@@ -121,7 +126,8 @@ def judge(pages: DataFrame, outcomes: DataFrame, rules: tuple[UrlRule, ...] = RU
 
 
 def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A page's outcome is the quality label of the document whose number ends its path."""
+    """All pages; a page's outcome is the quality label of the document whose number ends its path (each, if it has several).
+    Nulls and empty tables: as in judge."""
     pages = C.table(spark, sf_dir, "pages").select("page_id", "url")
     labels = C.table(spark, sf_dir, "labels").where("quality is not null").select(F.col("doc_id").cast("string").alias("number"), F.col("quality").alias("good"))
     number = F.regexp_extract(path_of(F.col("url")), r"/0*([0-9]+)(?:\.html)?/?$", 1)
@@ -143,8 +149,8 @@ def _weight_sql(table: str) -> str:
 OP8_SQL = f"""with p as (select page_id, url, translate(coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as host, coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') as path from pages),
 o as (select host, quality as good from p join labels on regexp_extract(path, '/0*([0-9]+)(?:\\.html)?/?$', 1) = cast(doc_id as varchar) where quality is not null),
 c as (select host, count(*) as n, cast(sum(good) as bigint) as good from o group by host),
-b as (select distinct host, regexp_replace(host, ':[0-9]*$', '') as bare from p),
-l as (select host, case when len(string_split(bare, '.')) > 2 then array_to_string(string_split(bare, '.')[-2:], '.') else bare end as domain, string_split(bare, '.')[-1] as suffix from b),
+b as (select host, bare, string_split(bare, '.') as parts, case when regexp_matches(bare, '{ADDRESS}') then 0 when regexp_matches(bare, '{TWO_LABELS}') then 2 else 1 end as level from (select distinct host, regexp_replace(host, '{PORT}', '') as bare from p)),
+l as (select host, case when level = 0 then bare else array_to_string(parts[-level - 1:], '.') end as domain, case when level = 0 then '' else array_to_string(parts[-level:], '.') end as suffix from b),
 h as (select l.*, coalesce(n, 0) as n, coalesce(good, 0) as good from l left join c using (host)),
 d as (select suffix, domain, cast(sum(n) as bigint) as n, cast(sum(good) as bigint) as good from h group by all),
 s as (select suffix, cast(sum(n) as bigint) as n, cast(sum(good) as bigint) as good from h group by all),

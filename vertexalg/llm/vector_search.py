@@ -42,7 +42,7 @@ def quantise(x: np.ndarray):
 
 def tile(a, b) -> tuple[np.ndarray, np.ndarray]:
     """Cosines of all pairs of two quantised blocks, and how far off they can be."""
-    # products of int8 are summed in doubles, which hold such sums exactly at any usual length
+    # floats hold sums of 1,024 products of int8 exactly (under 2**24), doubles those of any usual length
     wide = np.float32 if a[0].shape[1] <= 1024 else np.float64
     dot = a[0].astype(wide) @ b[0].astype(wide).T
     about = dot * a[1][:, None] * b[1][None]
@@ -55,7 +55,7 @@ def cosine(x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 
 def search_block(query_id: np.ndarray, query: np.ndarray, vec_id: np.ndarray, vector: np.ndarray, k: int) -> list[tuple[int, int, float]]:
-    """(query, vector, score): the k nearest of each query, none of its own id; ties to the smaller id."""
+    """(number of the query, vector, score): the k nearest of each query, none of its own id; ties to the smaller id."""
     best: list[list[tuple[float, int]]] = [[] for _ in query_id]  # heaps of (score, -id)
     order = np.argsort(vec_id, kind="stable")
     vec_id, vector = vec_id[order], vector[order]
@@ -78,31 +78,33 @@ def search_block(query_id: np.ndarray, query: np.ndarray, vec_id: np.ndarray, ve
                 elif (score, -name) > heap[0]:
                     heapq.heapreplace(heap, (score, -name))
         floor = np.maximum(floor, [h[0][0] - 1e-9 if len(h) == k else -np.inf for h in best])
-    return [(int(i), -name, score) for i, heap in zip(query_id, best, strict=True) for score, name in heap]
+    return [(i, -name, score) for i, heap in enumerate(best) for score, name in heap]
 
 
 def nearest(vectors: DataFrame, queries: DataFrame, k: int = K, query_group: int = QUERY_GROUP, group: int = GROUP) -> DataFrame:
     """(query_id, rank, vec_id, score): for each of queries (vec_id, embedding) the k nearest of vectors by cosine, itself left out.
 
     Vectors that are null or zero, or hold a null or a value that isn't finite, take no part; so do those of another
-    length than their partner. Rows that repeat an id with other values stand for themselves; equal rows count once.
-    A null id takes no part. A query without candidates gives no row."""
+    length than their partner. Rows that repeat an id with other values stand for themselves, as queries (each is ranked by
+    itself) and as candidates (of other ids); equal rows count once. A null id takes no part. A query without candidates
+    gives no row, and so does an empty table."""
     good = lambda x: F.col("vec_id").isNotNull() & F.col("x").isNotNull() & (F.size("x") > 0) & F.forall("x", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf"))) & F.exists("x", lambda v: v != 0)  # noqa: E731, ARG005
-    usable = lambda df: df.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("x")).where(good(None)).select("vec_id", "x", F.size("x").alias("d")).distinct()
+    usable = lambda df: df.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("x")).where(good(None)).select("vec_id", "x", F.size("x").alias("d"), F.xxhash64("x").alias("variant")).distinct()
     wanted, rows = usable(queries), usable(vectors)
     q_groups, groups = -(-wanted.count() // query_group), -(-rows.count() // group)
     cells = lambda n: F.explode(F.sequence(F.lit(0), F.lit(max(n, 1) - 1)))
     part = lambda n: F.pmod(F.xxhash64("vec_id"), F.lit(max(n, 1))).cast("int")
-    left = wanted.select("vec_id", "x", "d", part(q_groups).alias("qg"), cells(groups).alias("g")).groupBy("d", "qg", "g")
+    left = wanted.select("vec_id", "variant", "x", "d", part(q_groups).alias("qg"), cells(groups).alias("g")).groupBy("d", "qg", "g")
     right = rows.select("vec_id", "x", "d", part(groups).alias("g"), cells(q_groups).alias("qg")).groupBy("d", "qg", "g")
 
     def cell(a: pa.Table, b: pa.Table) -> pa.Table:
         found = search_block(a.column("vec_id").to_numpy(), _matrix(a, "x"), b.column("vec_id").to_numpy(), _matrix(b, "x"), k) if len(a) and len(b) else []
-        columns = list(zip(*found, strict=True)) if found else [[], [], []]
-        return pa.table({"query_id": pa.array(columns[0], pa.int64()), "vec_id": pa.array(columns[1], pa.int64()), "score": pa.array(columns[2], pa.float64())})
+        at, vec_id, score = zip(*found, strict=True) if found else ((), (), ())
+        at = pa.array(at, pa.int64())
+        return pa.table({"query_id": a.column("vec_id").take(at), "variant": a.column("variant").take(at), "vec_id": pa.array(vec_id, pa.int64()), "score": pa.array(score, pa.float64())})
 
-    found = left.cogroup(right).applyInArrow(cell, "query_id long, vec_id long, score double")
-    order = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    found = left.cogroup(right).applyInArrow(cell, "query_id long, variant long, vec_id long, score double")
+    order = W.partitionBy("query_id", "variant").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
