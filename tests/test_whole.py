@@ -21,7 +21,7 @@ def lines(spark, tmp_path):
 
 def test_frequent_lines(spark, lines):
     few = [i for i in range(60) if i % 6 == 1]
-    want = {(a, b) for a in few for b in few if a != b} | {(0, i) for i in range(1, 60)} | {(i, 0) for i in range(1, 60)}
+    want = {(1, i) for i in few[1:]} | {(i, 1) for i in few[1:]} | {(0, i) for i in range(1, 60)} | {(i, 0) for i in range(1, 60)}
     got = [(r.src, r.dst) for r in derive.docshare(spark, lines).collect()]
     assert len(got) == len(want) and set(got) == want
     whole = {tuple(r) for r in components(derive.graph(spark, lines, "docshare")).collect()}

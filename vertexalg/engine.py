@@ -1,9 +1,10 @@
 """The superstep driver: send, product, apply, until nothing is active or the rounds are used up.
 
-One job per superstep: it writes the next state to the shared folder and counts, as observed metrics of the same
-job, what was active, sent, processed and changed. The state is read back from there, so plans
-stay as small as one superstep (a kept frame would double with every reference), a lost executor
-costs one superstep at most, and states older than the last two are deleted.
+One job writes the next state to the shared folder and counts, as observed metrics of the same job, what was active,
+sent, processed and changed in each superstep. On columns a superstep reads the state once, so a job takes up to
+``CHAIN`` of them; supersteps after the last that sends change nothing and are not told. Elsewhere a job is one superstep. The
+state is read back from the folder, so plans stay small (a kept frame would double with every reference), a lost executor
+costs one job at most, and states older than the last two are deleted.
 """
 
 from __future__ import annotations
@@ -17,10 +18,12 @@ from pyspark.sql import functions as F
 
 from vertexalg.conf import Table
 from vertexalg.graphs.graph import Graph
+from vertexalg.matrix import columns
 from vertexalg.matrix.spmv import generalized_spmv
 from vertexalg.matrix.strategies import choose
 from vertexalg.program import VertexProgram
 
+CHAIN = 4
 _STEP = "superstep int, active long, messages long, edges long, receivers long, changed long, seconds double, strategy string"
 
 
@@ -55,11 +58,18 @@ def resume(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.parquet(path)
 
 
-def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = None, strategy: str = "auto", start: DataFrame | None = None, validate: bool = False, product: Callable[..., DataFrame] | None = None) -> ProgramResult:
+def chainable(program: VertexProgram) -> bool:
+    """Whether a superstep past the end leaves the state as it is, or there is no end but the bound."""
+    return not program.stop_when_unchanged or (program.activation == "changed" and program.apply_to != "all")
+
+
+def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = None, strategy: str = "auto", start: DataFrame | None = None, validate: bool = False, product: Callable[..., DataFrame] | None = None, chain: int = CHAIN) -> ProgramResult:
     """Runs program on g. max_supersteps None: the program's own bound, or until no vertex is active.
 
+    strategy 'auto': columns, or one that a counted size allows where process reads destinations.
     product: another way to get (vid, red, _n) from (graph, state, messages, program).
     start: a state to go on from (vid, state..., active) instead of the program's initial one.
+    chain: supersteps of one job, where the program's plan allows them.
     The result has the columns vid, state..., active; its steps count every round that sent something."""
     if validate:
         check_vertices(g)
@@ -67,23 +77,20 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
     names = list(program.state)
     sends = F.col("active") if program.activation == "changed" else F.lit(True)
     told = (F.count_if("active").alias("active"), F.count_if(sends & program.send(F.col).isNotNull()).alias("messages"))
-
-    def put(df: DataFrame, *more) -> tuple[Table, dict]:
-        seen = Observation()
-        out = Table(df.observe(seen, *told, *more).select("vid", *names, "active"), "state")
-        return out, seen.get
-
-    table, now = put(start if start is not None else init_state(g, program))
-    state, active, messages, steps, old = table.df, now["active"], now["messages"], [], []
-    # where apply runs everywhere, a round without messages still moves states
-    while (messages or (program.apply_to == "all" and active)) and (bound is None or len(steps) < bound):
-        began = time.time()
-        senders = state.where("active") if program.activation == "changed" else state
-        x = senders.select("vid", program.send(F.col).alias("_m")).where("_m is not null")
-        plan = choose(messages, program.message_bytes, g.conf.broadcast_bytes, None, g.blocks(), program.needs_dst_state) if strategy == "auto" else strategy
-        dst = state.select("vid", F.struct(*names).alias("_dst")) if program.needs_dst_state else None
-        y = product(g, state, x, program) if product else generalized_spmv(g, x, program, dst, plan, messages)
-        joined = state.drop("active").join(y, "vid", "left")
+    resident = product is None and (strategy == "columns" or (strategy == "auto" and not program.needs_dst_state))
+    if strategy == "columns" and program.needs_dst_state:
+        raise ValueError("columns don't hold destinations: take another strategy for a program that reads them")
+
+    def after(state: DataFrame, plan: str, messages: int) -> DataFrame:
+        """(vid, state..., active, _n) after one superstep."""
+        if resident:
+            joined = columns.superstep(g, state, program, names, sends)
+        else:
+            senders = state.where("active") if program.activation == "changed" else state
+            x = senders.select("vid", program.send(F.col).alias("_m")).where("_m is not null")
+            dst = state.select("vid", F.struct(*names).alias("_dst")) if program.needs_dst_state else None
+            y = product(g, state, x, program) if product else generalized_spmv(g, x, program, dst, plan, messages)
+            joined = state.drop("active").join(y, "vid", "left")
         applied = program.apply(F.col("red"), F.col)
         if program.apply_to != "all":
             applied = {k: F.when(F.col("_n").isNotNull(), c).otherwise(F.col(k)) for k, c in applied.items()}
@@ -91,13 +98,39 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
         fresh = F.struct(*(applied.get(k, F.col(k)).alias(k) for k in names))
         paired = joined.select("vid", F.struct(*names).alias("_old"), fresh.alias("_new"), "_n")
         change = program.changed(lambda k: F.col("_old")[k], lambda k: F.col("_new")[k])
-        nxt = paired.select("vid", *(F.col("_new")[k].alias(k) for k in names), F.coalesce(change, F.lit(False)).alias("active"), "_n")
+        return paired.select("vid", *(F.col("_new")[k].alias(k) for k in names), F.coalesce(change, F.lit(False)).alias("active"), "_n")
+
+    def observed(df: DataFrame, *more) -> tuple[DataFrame, Observation]:
+        seen = Observation()
+        return df.observe(seen, *told, *more).select("vid", *names, "active"), seen
+
+    state, seen = observed(start if start is not None else init_state(g, program))
+    table = Table(state, "state")
+    now, steps, old = seen.get, [], []
+
+    def going() -> bool:
+        # where apply runs everywhere, a round without messages still moves states
+        moving = now["messages"] or (program.apply_to == "all" and now["active"])
+        return bool(moving) and (bound is None or len(steps) < bound) and not (steps and not now["active"] and program.stop_when_unchanged)
+
+    while going():
+        began = time.time()
+        plan = "columns" if resident else strategy
+        if plan == "auto":
+            plan = choose(now["messages"], program.message_bytes, g.conf.broadcast_bytes, None, g.blocks(), program.needs_dst_state)
+        length = chain if resident and chainable(program) else 1
+        length = length if bound is None else min(length, bound - len(steps))
+        state, watched = table.df, []
+        for _ in range(length):
+            state, seen = observed(after(state, plan, now["messages"]), F.coalesce(F.sum("_n"), F.lit(0)).alias("edges"), F.count("_n").alias("receivers"))
+            watched.append(seen)
         old.append(table)
-        table, now = put(nxt, F.coalesce(F.sum("_n"), F.lit(0)).alias("edges"), F.count("_n").alias("receivers"))
-        steps.append((len(steps) + 1, active, messages, now["edges"], now["receivers"], now["active"], time.time() - began, plan))
-        state, active, messages = table.df, now["active"], now["messages"]
+        table = Table(state, "state")
+        seconds = (time.time() - began) / length
+        for seen in watched:
+            if going():
+                before, now = now, seen.get
+                steps.append((len(steps) + 1, before["active"], before["messages"], now["edges"], now["receivers"], now["active"], seconds, plan))
         if len(old) > 1:
             old.pop(0).delete()
-        if not active and program.stop_when_unchanged:
-            break
-    return ProgramResult(state, steps, not active)
+    return ProgramResult(table.df, steps, not now["active"])

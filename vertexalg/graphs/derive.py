@@ -1,8 +1,8 @@
 """Graphs on the given tables, each as DataFrame code and as the SQL that must give the same edges.
 
-Every group that makes edges is bounded by its key (order, day, user); where a group could be large (pages or
-documents that share something) the fan-out is limited by the definition of the graph itself. A line of many
-documents is a star and loses no tie; the SQL of `docshare` leaves such lines out and agrees where there are none.
+Every group that makes edges is bounded by its key (order, day, user), or makes a star: documents that share a line are
+tied to the least of them, so a group of any size has as many edges as members and stays connected. `colink` has all pairs
+of pages that share a path, as its definition asks.
 """
 
 from __future__ import annotations
@@ -19,7 +19,7 @@ from vertexalg.graphs.rmat import RMAT_PATH, RMAT_RANK, RMAT_TRI, rmat, rmat_sql
 from vertexalg.sources.tables import table
 
 LINK = r'href="([^"]*)"'
-SHARED_LINE, LINE_FANOUT = 20, 50
+SHARED_LINE, NEIGHBOURS = 20, 8
 
 
 def _least(rows: DataFrame) -> DataFrame:
@@ -103,26 +103,27 @@ def turns(spark: SparkSession, d: str) -> DataFrame:
 
 
 def shared_lines(docs: DataFrame) -> DataFrame:
-    """Edges between documents (doc_id, text) that share a trimmed line of 20 characters or more.
-
-    A line in up to 50 documents ties every two of them; one in more ties each to the least of them, both ways: a star,
-    as many edges as documents, that connects what all its pairs would connect."""
+    """Edges between documents (doc_id, text) that share a trimmed line of 20 characters or more: each with the least
+    one that has the line, both ways. A line's documents are a star: as many edges as documents, that connects what all its pairs would."""
     lines = docs.where("text is not null").select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
     rows = lines.select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= SHARED_LINE).select("doc_id", F.sha2("line", 256).alias("line")).distinct()
-    sizes = rows.groupBy("line").agg(F.count("*").alias("n"), F.min("doc_id").alias("least")).where("n > 1")
-    kept = rows.join(sizes, "line")
-    few = kept.where(F.col("n") <= LINE_FANOUT).select("doc_id", "line")
-    a, b = few.withColumnRenamed("doc_id", "src"), few.withColumnRenamed("doc_id", "dst")
-    pairs = a.join(b, "line").select("src", "dst")
+    stars = rows.join(rows.groupBy("line").agg(F.min("doc_id").alias("least")), "line").where("doc_id <> least")
     ends = F.array(F.struct(F.col("doc_id").alias("src"), F.col("least").alias("dst")), F.struct(F.col("least").alias("src"), F.col("doc_id").alias("dst")))
-    stars = kept.where(F.col("n") > LINE_FANOUT).select(F.inline(ends))
-    return pairs.unionByName(stars).where("src <> dst").distinct().withColumn("value", F.lit(1).cast("long"))
+    return stars.select("doc_id", "least").distinct().select(F.inline(ends)).distinct().withColumn("value", F.lit(1).cast("long"))
 
 
 def docshare(spark: SparkSession, d: str) -> DataFrame:
     return shared_lines(table(spark, d, "documents"))
 
 
+def knn(spark: SparkSession, d: str) -> DataFrame:
+    """The mesh of the 8 nearest vectors of every vector; weight: 1 - cosine in millionths."""
+    from vertexalg.operators.knn import nearest_vectors
+
+    near = nearest_vectors(table(spark, d, "embeddings").select("vec_id", "embedding"), NEIGHBOURS)
+    return near.select("src", "dst", F.round((1 - F.col("value")) * 1_000_000).cast("long").alias("value"))
+
+
 def page_vertices(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "pages").select(F.col("page_id").alias("vid"))
 
@@ -139,6 +140,19 @@ _NEXT = "lead({x}) over (partition by {k} order by {o})"
 _LEAST = "select src, dst, min(value) as value from ({q}) where dst is not null and src <> dst group by src, dst"
 _PAGE_LINKS = f"select distinct page_id, path from (select page_id, unnest(regexp_extract_all(html, '{LINK}', 1)) as path from pages) where path like '/%'"
 
+#: The 8 nearest of every vector by cosine (ties of 9 digits to the smaller id), in 6 digits.
+KNN_SQL = f"with v as materialized (select vec_id, embedding::double[] as x from embeddings), p as (select a.vec_id as src, b.vec_id as dst, list_cosine_similarity(a.x, b.x) as c from v a join v b on a.vec_id <> b.vec_id), r as (select *, row_number() over (partition by src order by round(c, 9) desc, dst) as r from p) select src, dst, round(c, 6) as value from r where r <= {NEIGHBOURS}"
+
+
+def docshare_sql(documents: str) -> str:
+    """Stars of shared lines among the rows of documents (a table, or a query in brackets)."""
+    return (
+        f"with l as materialized (select distinct doc_id, line from (select doc_id, trim(unnest(string_split(text, chr(10))), ' ') as line from {documents}) where length(line) >= {SHARED_LINE}), "
+        "s as (select distinct doc_id, least from l join (select line, min(doc_id) as least from l group by line) using (line) where doc_id <> least) "
+        "select distinct src, dst, 1::bigint as value from (select doc_id as src, least as dst from s union all select least, doc_id from s)"
+    )
+
+
 #: Edge SQL (src, dst, value) by graph.
 SQL: dict[str, str] = {
     "basket_chain": _LEAST.format(q="select l_partkey as src, " + _NEXT.format(x="l_partkey", k="l_orderkey", o="l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice") + " as dst, cast(l_quantity as bigint) as value from lineitem"),
@@ -149,7 +163,8 @@ SQL: dict[str, str] = {
     "links": f"select page_id * 2 as src, (dense_rank() over (order by path) - 1) * 2 + 1 as dst, 1::bigint as value from ({_PAGE_LINKS})",
     "colink": f"with l as ({_PAGE_LINKS}) select distinct a.page_id as src, b.page_id as dst, 1::bigint as value from l a join l b using (path) where a.page_id <> b.page_id",
     "turns": "select * from (select conv_id * 100 + turn as src, conv_id * 100 + " + _NEXT.format(x="turn", k="conv_id", o="turn") + " as dst, length(text)::bigint as value from conversations) where dst is not null",
-    "docshare": f"with l as (select distinct doc_id, line from (select doc_id, trim(unnest(string_split(text, chr(10))), ' ') as line from documents) where length(line) >= {SHARED_LINE}), k as (select line from l group by line having count(*) between 2 and {LINE_FANOUT}) select distinct a.doc_id as src, b.doc_id as dst, 1::bigint as value from l a join l b using (line) join k using (line) where a.doc_id <> b.doc_id",
+    "docshare": docshare_sql("documents"),
+    "knn": f"select src, dst, cast(round((1 - value) * 1000000) as bigint) as value from ({KNN_SQL})",
     "rmat": rmat_sql(10, RMAT_RANK)[1:-1],
     "rmat_tri": rmat_sql(10, RMAT_TRI)[1:-1],
     "rmat_path": rmat_sql(10, RMAT_PATH)[1:-1],
@@ -159,7 +174,7 @@ RATINGS_SQL = "select o_custkey as \"user\", l_partkey as item, cast(ceil(avg(l_
 VERTEX_SQL: dict[str, str] = {"colink": "select page_id as vid from pages", "turns": "select conv_id * 100 + turn as vid from conversations", "docshare": "select doc_id as vid from documents"}
 SYMMETRIC = ("copurchase", "colink", "docshare")
 
-_EDGES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (basket_chain, copurchase, handoff, timeline, trade, links, colink, turns, docshare)}
+_EDGES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (basket_chain, copurchase, handoff, timeline, trade, links, colink, turns, docshare, knn)}
 _VERTICES = {"colink": page_vertices, "turns": turn_vertices, "docshare": document_vertices}
 _RMAT = {"rmat": RMAT_RANK, "rmat_tri": RMAT_TRI, "rmat_path": RMAT_PATH}
 NAMES = (*_EDGES, *_RMAT)

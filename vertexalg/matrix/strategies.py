@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-STRATEGIES = ("rows_broadcast", "cols_shuffle", "grid", "triplet")
+STRATEGIES = ("columns", "rows_broadcast", "cols_shuffle", "grid", "triplet")
 
 
 def choose(messages: int | None, message_bytes: int, limit: int, vertices: int | None = None, blocks: int = 1, needs_dst_state: bool = False) -> str:
-    """rows_broadcast up to limit bytes of messages; beyond that a grid where destinations are read too or most vertices
+    """For a product by itself, or a program that reads destinations (any other takes columns): rows_broadcast up to limit bytes of messages; beyond that a grid where destinations are read too or most vertices
     send and there are blocks to spread over; else columns with a shuffle of partial results.
 
     Moved per round: rows_broadcast bytes(x) per executor; cols_shuffle min(edges, blocks * receivers) rows;

@@ -18,8 +18,8 @@ from vertexalg.functions.vectors import wide
 BLOCK, TILE = 20_000, 2048
 
 
-def _unit(rows: pa.Table) -> np.ndarray:
-    lists = rows.column("x").combine_chunks()
+def _unit(rows: pa.Table, name: str) -> np.ndarray:
+    lists = rows.column(name).combine_chunks()
     x = lists.flatten().to_numpy().reshape(len(lists), -1)
     x = x / np.abs(x).max(axis=1)[:, None]  # squares of tiny or huge values stay in range
     return x / np.sqrt((x * x).sum(axis=1))[:, None]
@@ -59,12 +59,13 @@ def nearest_vectors(vectors: DataFrame, k: int, block: int = BLOCK) -> DataFrame
     blocks = max(1, -(-rows.count() // block))
     part, every = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
     left = rows.select("vec_id", "x", "d", part.alias("i"), every.alias("j")).groupBy("d", "i", "j")
-    right = rows.select("vec_id", "x", "d", part.alias("j"), every.alias("i")).groupBy("d", "i", "j")
+    # other names than the left side's: a plan that is used twice is renamed, and must not take one side's for the other's
+    right = rows.select(F.col("vec_id").alias("to"), F.col("x").alias("y"), F.col("d").alias("e"), part.alias("j"), every.alias("i")).groupBy("e", "i", "j")
 
     def cell(a: pa.Table, b: pa.Table) -> pa.Table:
         found = [[], [], [], []]
         if len(a) and len(b):
-            found = best_of_cell(a.column("vec_id").to_numpy(), _unit(a), b.column("vec_id").to_numpy(), _unit(b), k)
+            found = best_of_cell(a.column("vec_id").to_numpy(), _unit(a, "x"), b.column("to").to_numpy(), _unit(b, "y"), k)
         kinds = zip(("src", "dst", "c", "digits"), found, (pa.int64(), pa.int64(), pa.float64(), pa.float64()), strict=True)
         return pa.table({name: pa.array(values, kind) for name, values, kind in kinds})
 

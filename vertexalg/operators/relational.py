@@ -428,12 +428,12 @@ def dot_product(s, d):
     return v.join(nxt, "vec_id").select("vec_id", F.round(dot(F.col("a"), F.col("b")), 6).alias("dot"))
 
 
-@operator("knn", "with v as (select vec_id, embedding::double[] as x from embeddings), p as (select a.vec_id as src, b.vec_id as dst, list_cosine_similarity(a.x, b.x) as c from v a join v b on a.vec_id <> b.vec_id where a.vec_id % 25 = 0), r as (select *, row_number() over (partition by src order by round(c, 9) desc, dst) as r from p) select src, dst, round(c, 6) as value from r where r <= 8")
+@operator("knn", derive.KNN_SQL)
 def knn(s, d):
-    """The mesh of the 8 nearest vectors of every vector; the SQL has the rows of every 25th source."""
+    """The mesh of the 8 nearest vectors of every vector."""
     from vertexalg.operators.knn import nearest_vectors
 
-    return nearest_vectors(table(s, d, "embeddings").select("vec_id", "embedding"), 8)
+    return nearest_vectors(table(s, d, "embeddings").select("vec_id", "embedding"), derive.NEIGHBOURS)
 
 
 _PIECES = "' ' || replace({}.text, chr(10), ' ') || ' '"
@@ -468,7 +468,7 @@ def benchmark_hits(s, d):
 _GOOD = "select doc_id from labels where quality = 1"
 
 
-@operator("docshare_quality", S.components(f"select * from ({derive.SQL['docshare']}) where src in ({_GOOD}) and dst in ({_GOOD})", f"select doc_id as vid from ({_GOOD})"))
+@operator("docshare_quality", S.components(derive.docshare_sql(f"(select * from documents where doc_id in ({_GOOD}))"), f"select doc_id as vid from ({_GOOD})"))
 def docshare_quality(s, d):
     labels = table(s, d, "labels").select(F.col("doc_id").alias("vid"), "quality")
     # ties among the good documents only: the middle of a star must be one of them

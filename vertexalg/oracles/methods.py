@@ -19,10 +19,31 @@ def degree(sql: str, vertices: str, end: str) -> str:
     return f"with {_edges(sql)}, v as ({vertices}) select vid, count({end}) as degree from v left join e on e.{end} = v.vid group by vid"
 
 
-def rank(sql: str, vertices: str, rounds: int = 10, r: float = 0.15) -> str:
+def _rank_steps(sql: str, vertices: str, rounds: int, r: float) -> str:
+    """CTEs r0 .. r{rounds} (vid, rank, d): every vertex sends and is updated in each round."""
     steps = [f"r0 as materialized (select vid, 1.0::double as rank, coalesce(n, 0) as d from v left join (select src, count(*) as n from e group by src) o on o.src = v.vid)"]
     for i in range(rounds):
         steps.append(f"r{i + 1} as materialized (select p.vid, {r}::double + {1 - r}::double * coalesce(s, 0) as rank, p.d from r{i} p left join (select e.dst, sum(q.rank / q.d) as s from e join r{i} q on q.vid = e.src group by e.dst) y on y.dst = p.vid)")
+    return f"with {_edges(sql)}, v as ({vertices}), {', '.join(steps)}"
+
+
+def rank(sql: str, vertices: str, rounds: int = 10, r: float = 0.15, digits: int = 6) -> str:
+    return f"{_rank_steps(sql, vertices, rounds, r)} select vid, round(rank, {digits}) as rank from r{rounds}"
+
+
+def rank_until(sql: str, vertices: str, tol: float, most: int = 30, r: float = 0.15) -> str:
+    """Ranks after the first round in which none moves by more than tol (no row if that takes more than most rounds)."""
+    moves = " union all ".join(f"select {i} as k, max(abs(a.rank - b.rank)) as m from r{i} a join r{i - 1} b using (vid)" for i in range(1, most + 1))
+    every = " union all ".join(f"select {i} as k, vid, rank from r{i}" for i in range(1, most + 1))
+    return f"{_rank_steps(sql, vertices, most, r)}, m as materialized ({moves}) select vid, round(rank, 6) as rank from ({every}) where k = (select min(k) from m where m <= {tol})"
+
+
+def rank_recipients(sql: str, vertices: str, rounds: int = 10, r: float = 0.15) -> str:
+    """The plain rule of a superstep: who changed in the last round sends, and who gets something is updated."""
+    steps = [f"r0 as materialized (select vid, 1.0::double as rank, coalesce(n, 0) as d, true as go from v left join (select src, count(*) as n from e group by src) o on o.src = v.vid)"]
+    for i in range(rounds):
+        got = f"select e.dst, {r}::double + {1 - r}::double * sum(q.rank / q.d) as new from e join r{i} q on q.vid = e.src where q.go group by e.dst"
+        steps.append(f"r{i + 1} as materialized (select p.vid, coalesce(new, p.rank) as rank, p.d, new is not null and new <> p.rank as go from r{i} p left join ({got}) y on y.dst = p.vid)")
     return f"with {_edges(sql)}, v as ({vertices}), {', '.join(steps)} select vid, round(rank, 6) as rank from r{rounds}"
 
 

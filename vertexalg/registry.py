@@ -90,19 +90,20 @@ def _graphs() -> None:
 
 
 def _methods() -> None:
-    for name in ("basket_chain", "copurchase", "links", "colink", "timeline", "handoff", "rmat", "turns"):
+    for name in ("basket_chain", "copurchase", "links", "colink", "timeline", "handoff", "rmat", "turns", "knn"):
         add(f"pr_{name}", rank_query(name), rank_sql(name))
-    for name in ("basket_chain", "copurchase", "colink", "timeline", "handoff", "rmat", "turns"):
+    for name in ("basket_chain", "copurchase", "colink", "timeline", "handoff", "rmat", "turns", "knn"):
         add(f"bfs_{name}", bfs_query(name), bfs_sql(name))
-    for name in ("basket_chain", "handoff", "timeline", "trade", "rmat", "rmat_path", "turns"):
+    for name in ("basket_chain", "handoff", "timeline", "trade", "rmat", "rmat_path", "turns", "knn"):
         add(f"sssp_{name}", sssp_query(name), sssp_sql(name))
     for name in ("basket_chain", "copurchase", "colink", "handoff", "links", "trade", "rmat_tri"):
         add(f"tc_{name}", triangle_query(name), S.triangles(derive.SQL[name]))
 
     add("pr_recipients_basket_chain", rank_query("basket_chain", rank_mode="recipients"), rank_sql("basket_chain"))
-    add("pr_recipients_timeline", lambda s, d: ranked(pagerank(derive.graph(s, d, "timeline"), rank_mode="recipients")))
-    add("pr_tol_basket_chain", lambda s, d: ranked(pagerank(derive.graph(s, d, "basket_chain"), iterations=None, tol=1e-4)))
     chain = derive.SQL["basket_chain"]
+    # at most two in-edges: sums don't depend on their order, so neither does what counts as a change
+    add("pr_recipients_timeline", lambda s, d: ranked(pagerank(derive.graph(s, d, "timeline"), rank_mode="recipients")), S.rank_recipients(derive.SQL["timeline"], derive.vertex_sql("timeline")))
+    add("pr_tol_basket_chain", lambda s, d: ranked(pagerank(derive.graph(s, d, "basket_chain"), iterations=None, tol=1e-4)), S.rank_until(chain, derive.vertex_sql("basket_chain"), 1e-4))
     add("bfs_prune_basket_chain", bfs_query("basket_chain", prune_visited=True), bfs_sql("basket_chain"))
     add("bfs_levels_timeline", lambda s, d: bfs_levels(bfs_query("timeline")(s, d)), f"select level, count(*) as vertices from ({bfs_sql('timeline')}) group by level")
 
@@ -301,7 +302,7 @@ def _products() -> None:
     for schedule in ("fifo", "bucket", "priority"):
         add(f"worklist_sssp_{schedule}", rooted(lambda g, r, how=schedule: worklist.sssp(g, r, how), "handoff"), sssp_sql("handoff"))
     add("worklist_bfs", rooted(worklist.bfs, "handoff"), bfs_sql("handoff"))
-    add("worklist_pr", lambda s, d: worklist.pagerank_residual(derive.graph(s, d, "handoff")).select("vid", F.round("rank", 2).alias("rank")))
+    add("worklist_pr", lambda s, d: worklist.pagerank_residual(derive.graph(s, d, "handoff"), eps=1e-9).select("vid", F.round("rank", 5).alias("rank")), S.rank(hand, derive.vertex_sql("handoff"), 60, digits=5))
     add("worklist_tc", lambda s, d: worklist.triangles(derive.graph(s, d, "handoff")), S.triangles(hand))
     add("worklist_cf", lambda s, d: worklist.cf(derive.ratings(s, d), k=k, epochs=1).factors)
     add("native_pr", lambda s, d: ranked(native.pagerank(derive.graph(s, d, "handoff"))), rank_sql("handoff"))
