@@ -179,3 +179,10 @@ def test_scratch_is_deleted(spark):
         path = kept._written.path
         assert plain(kept.collect()) == plain([(0,), (1,), (2,)])
     assert not Path(path.removeprefix("file:")).exists()
+
+
+def test_neighbours_joined_with_themselves(spark):
+    frame = spark.createDataFrame([(k, [1.0, float(k)]) for k in range(5)], "vec_id long, embedding array<double>")
+    near = vector_search.nearest(frame, frame, 2)
+    back = near.select(near["vec_id"].alias("query_id"), near["query_id"].alias("vec_id"))
+    assert near.join(back, ["query_id", "vec_id"]).count() > 0

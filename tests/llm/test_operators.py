@@ -163,7 +163,7 @@ def test_near_duplicates(spark, sf, docs):
     rows += [(6000, None), (6001, ""), (6002, "one two"), (6003, "one two")]
     frame = spark.createDataFrame(rows, "doc_id long, text string")
     want = classes(rows)
-    for options in ({}, {"small": 2, "block": 3}):
+    for options in ({}, {"small": 2, "block": 300}):
         assert {r.doc_id: r.class_id for r in near_dedup.near_duplicates(frame, **options).collect()} == want
     assert near_dedup.near_duplicates(frame.where("doc_id < 0")).collect() == []
 

@@ -33,7 +33,7 @@ def test_items_without_id(spark):
         assert [r.doc_id for r in decontamination.keep_clean(docs, items, limit=limit).collect()] == [3]
 
 
-@pytest.mark.parametrize("options", [{}, {"small": 2, "block": 3}])
+@pytest.mark.parametrize("options", [{}, {"small": 2, "block": 300}])
 def test_repeated_ids(spark, odd, options):  # noqa: F811
     got = plain(near_dedup.near_duplicates(odd, **options).collect())
     assert got == plain([(1, None), (1, None), (None, None), (6, None), (2, 2), (3, 3), (4, 4), (5, 5)])
@@ -56,7 +56,7 @@ def test_repeated_ids(spark, odd, options):  # noqa: F811
 
 def _judged(texts, weighted, size=5):
     batch = pa.RecordBatch.from_pydict({"pivot": [0] * len(texts), "salt": [0] * len(texts), "doc": list(range(len(texts))), "text": texts})
-    return list(itertools.chain(*(b.column("doc").to_pylist() for b in near_dedup._compare(0.8, weighted)(near_dedup._read_sets(size)(iter([batch]))))))
+    return list(itertools.chain(*(b.column("doc").to_pylist() for b in near_dedup._judge(size, 0.8, weighted)(iter([batch])))))
 
 
 def test_whole_hashes_and_counts():
@@ -64,8 +64,9 @@ def test_whole_hashes_and_counts():
     assert _judged(["w " * 100_000, "w " * 70_000, "w " * 90_000], weighted=True, size=1) == [2]
     # sets that agree in the upper 32 bits of every hash only
     sets = [np.array([(5 << 32 | k, 1), (9 << 32 | k, 1)], near_dedup._ENTRY).tobytes() for k in (1, 2, 1)]
-    batch = pa.RecordBatch.from_pydict({"pivot": [0] * 3, "salt": [0] * 3, "doc": [0, 1, 2], "shingles": sets})
-    assert [b.column("doc").to_pylist() for b in near_dedup._compare(0.8, False)(iter([batch]))] == [[2]]
+    side = lambda rows: pa.table({"doc": rows, "component": rows, "bands": pa.array([[7]] * len(rows), pa.list_(pa.int64())), "shingles": pa.array([sets[r] for r in rows], pa.binary())})
+    found = near_dedup._compare_block(0.8, False, 1)(side([0]), side([1, 2]))
+    assert found.to_pydict() == {"pivot": [0], "doc": [2]}
 
 
 def colliding(length=1024):

@@ -127,7 +127,7 @@ def _scan(patterns: dict[bytes, tuple[int, list[str]]], key: str = "doc_id"):
                 columns.append(pa.array([sorted(x) for x in items], pa.list_(pa.string())))
                 yield pa.RecordBatch.from_arrays(columns, names=[key, "n_words", "hits", "items"])
 
-    return run
+    return C.tidy(run)
 
 
 def find_contamination(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int = LIMIT) -> DataFrame:

@@ -220,7 +220,7 @@ def _predict(model: Model | None, switch: float, with_spans: bool):
                     columns_names.append("spans")
                 yield pa.RecordBatch.from_arrays(columns, names=columns_names)
 
-    return run
+    return C.tidy(run)
 
 
 def held_out(column: str, modulus: int, rest: int) -> Column:

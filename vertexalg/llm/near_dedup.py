@@ -14,10 +14,10 @@ row's text, as ids can repeat or be null. Every bucket is first a star: all its
 the most central one (that meets most others in its buckets), which costs one comparison per copy and not
 one per pair. Buckets that are not one component then have the rest compared: up to ``small`` nodes by pairs,
 larger ones inside tasks: buckets that overlap form a family, its nodes outside the largest component
-meet all of the family in blocks of ``block`` nodes, and only links leave the task. So every two nodes that share a bucket
+meet all of the family in blocks of about ``block`` shingles, and only links leave the task. So every two nodes that share a bucket
 are compared or tied otherwise: no link is lost.
 
-Scale: signatures never leave the task, band keys are 8 bytes, the text moves to the candidates twice, pivots with many partners are salted, and components are stars of edges.
+Scale: signatures never leave the task, band keys are 8 bytes, the text moves to its candidates and with them to their pivots, pivots with many partners are salted, and components are stars of edges.
 """
 
 from __future__ import annotations
@@ -33,8 +33,8 @@ from vertexalg.llm import common as C
 from vertexalg.llm.components import components
 
 SHINGLE, SIMILARITY = 5, 0.8
-BANDS, ROWS, SMALL, SALT_ROWS, BLOCK = 32, 6, 8, 2000, 2000
-_CELLS = 200_000  # at a time
+BANDS, ROWS, SMALL, SALT_ROWS, BLOCK = 32, 6, 8, 2000, 500_000
+_CELLS = 200_000  # cells, or shingles that are compared, at a time
 _ENTRY = [("h", "<u8"), ("n", "<u4")]  # of a compared set: hash and count
 _POISSON = np.cumsum(np.exp(-1) / np.array([1.0, *np.cumprod(np.arange(1.0, 20.0))]))
 _U = np.uint64
@@ -149,11 +149,11 @@ def _sketch(size: int, bands: int, rows: int, weighted: bool):
                 columns = [*(batch.column(k).slice(i, j - i) for k in ("row", "doc_id")), pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), pa.array(n, pa.int32()), lists]
                 yield pa.RecordBatch.from_arrays(columns, names=["row", "doc_id", "set_a", "set_b", "n", "bands"])
 
-    return run
+    return C.tidy(run)
 
 
 def _read_sets(size: int):
-    """(doc, pivot, salt, text) to the shingles of the text, 12 bytes for each: hash and count."""
+    """(doc, text) to the shingles of the text, 12 bytes for each: hash and count."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -164,33 +164,40 @@ def _read_sets(size: int):
                 raw["h"], raw["n"] = value, count
                 edge = pa.py_buffer((first * raw.itemsize).astype(np.int32))
                 sets = pa.Array.from_buffers(pa.binary(), j - i, [None, edge, pa.py_buffer(raw.tobytes())])
-                yield pa.RecordBatch.from_arrays([batch.column(k).slice(i, j - i) for k in ("pivot", "salt", "doc")] + [sets], names=["pivot", "salt", "doc", "shingles"])
+                yield pa.RecordBatch.from_arrays([batch.column("doc").slice(i, j - i), sets], names=["doc", "shingles"])
 
-    return run
+    return C.tidy(run)
 
 
-def _compare(similarity: float, weighted: bool):
-    def load(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
-        rows = np.frombuffer(raw, _ENTRY)
-        return rows["h"], (rows["n"].astype(np.int64) if weighted else np.ones(len(rows), np.int64))
+def _judge(size: int, similarity: float, weighted: bool):
+    """Rows (pivot, salt, doc, text) sorted by group, each group's pivot first, to the pairs that are similar enough: every text
+    is read into its shingles where it meets its pivot's, and only a pivot's are kept."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, own = None, None
         for batch in batches:
+            groups = list(zip(*(batch.column(k).to_pylist() for k in ("pivot", "salt")), strict=True))
+            docs = batch.column("doc").to_pylist()
+            body, offsets = C.utf8(batch.column("text"))
             links: list[tuple[int, int]] = []
-            for pivot, salt, doc, raw in zip(*(batch.column(k).to_pylist() for k in ("pivot", "salt", "doc", "shingles")), strict=True):
-                if (pivot, salt) != now:
-                    now, own = (pivot, salt), load(raw)  # a group's pivot comes first
-                    continue
-                h, n = load(raw)
-                at = np.minimum(np.searchsorted(own[0], h), len(own[0]) - 1)
-                both = own[0][at] == h
-                common = np.minimum(n[both], own[1][at[both]]).sum()
-                if common >= similarity * (n.sum() + own[1].sum() - common) - 1e-9:
-                    links.append((pivot, doc))
+            for i, j in C.row_slices(offsets, 1 << 20):
+                value, count, first = shingles(body[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], size)
+                if not weighted:
+                    count = np.ones(len(value), np.int64)
+                for r in range(i, j):
+                    at = slice(first[r - i], first[r - i + 1])
+                    h, n = value[at], count[at]
+                    if groups[r] != now:
+                        now, own = groups[r], (h.copy(), n.copy())
+                        continue
+                    place = np.minimum(np.searchsorted(own[0], h), len(own[0]) - 1)
+                    both = own[0][place] == h
+                    common = np.minimum(n[both], own[1][place[both]]).sum()
+                    if common >= similarity * (n.sum() + own[1].sum() - common) - 1e-9:
+                        links.append((now[0], docs[r]))
             yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in links], pa.int64()), pa.array([b for _, b in links], pa.int64())], names=["pivot", "doc"])
 
-    return run
+    return C.tidy(run)
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, size: int, similarity: float, weighted: bool) -> DataFrame:
@@ -198,10 +205,9 @@ def _verified(pairs: DataFrame, texts: DataFrame, size: int, similarity: float,
     many = pairs.groupBy("pivot").agg(F.greatest(F.lit(1), F.ceil(F.count("*") / SALT_ROWS)).cast("int").alias("salts"))
     salted = pairs.join(many, "pivot").select("pivot", "doc", F.pmod(F.hash("doc"), "salts").alias("salt"), F.lit(1).alias("later"))
     wanted = salted.union(many.select("pivot", F.col("pivot").alias("doc"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0)))
-    sets = wanted.join(texts.withColumnRenamed("row", "doc"), "doc").select("doc", "pivot", "salt", "text").mapInArrow(_read_sets(size), "pivot long, salt int, doc long, shingles binary")
-    sets = sets.withColumn("later", F.col("doc") != F.col("pivot"))
-    grouped = sets.repartition("pivot", "salt").sortWithinPartitions("pivot", "salt", "later").drop("later")
-    return grouped.mapInArrow(_compare(similarity, weighted), "pivot long, doc long")
+    beside = wanted.join(texts.withColumnRenamed("row", "doc"), "doc").select("pivot", "salt", "later", "doc", "text")
+    grouped = beside.repartition("pivot", "salt").sortWithinPartitions("pivot", "salt", "later")
+    return grouped.mapInArrow(_judge(size, similarity, weighted), "pivot long, doc long")
 
 
 def _compare_block(similarity: float, weighted: bool, bands: int):
@@ -224,13 +230,15 @@ def _compare_block(similarity: float, weighted: bool, bands: int):
                 if not len(near):
                     continue
                 h, n = a_hash[a_at[r] : a_at[r + 1]], a_count[a_at[r] : a_at[r + 1]]
-                size = b_at[near + 1] - b_at[near]
-                flat = C.ranges(b_at[near], size)
-                at = np.minimum(np.searchsorted(h, b_hash[flat]), len(h) - 1)
-                common = np.where(h[at] == b_hash[flat], np.minimum(n[at], b_count[flat]), 0)
-                both = np.bincount(np.repeat(np.arange(len(near)), size), common, len(near))
-                alike = both >= similarity * (n.sum() + weight[near] - both) - 1e-9
-                found += [(int(a_doc[r]), int(x)) for x in b_doc[near[alike]]]
+                upto = np.cumsum(b_at[near + 1] - b_at[near])
+                for part in np.split(near, np.flatnonzero(np.diff(upto // _CELLS)) + 1):
+                    size = b_at[part + 1] - b_at[part]
+                    flat = C.ranges(b_at[part], size)
+                    at = np.minimum(np.searchsorted(h, b_hash[flat]), len(h) - 1)
+                    common = np.where(h[at] == b_hash[flat], np.minimum(n[at], b_count[flat]), 0)
+                    both = np.bincount(np.repeat(np.arange(len(part)), size), common, len(part))
+                    alike = both >= similarity * (n.sum() + weight[part] - both) - 1e-9
+                    found += [(int(a_doc[r]), int(x)) for x in b_doc[part[alike]]]
         return pa.table({"pivot": pa.array([x for x, _ in found], pa.int64()), "doc": pa.array([y for _, y in found], pa.int64())})
 
     return run
@@ -241,15 +249,15 @@ def _rest(large: DataFrame, found: DataFrame, sets: DataFrame, texts: DataFrame,
     named = large.join(found.withColumnRenamed("node", "doc"), "doc", "left").withColumn("component", F.coalesce("component", "doc"))
     mixed = named.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("key")
     open_ = C.materialise(named.join(mixed, "key").select("doc", "pivot", "component"), "open")
-    members = open_.select("doc", "component").distinct()
+    members = open_.select("doc", "component").distinct().join(sets.select("doc", "n"), "doc")
     family = components(open_.where("doc <> pivot"), "doc", "pivot").withColumnRenamed("component", "family")
     members = C.materialise(members.join(family.withColumnRenamed("node", "doc"), "doc"), "family")
-    parts = members.groupBy("family", "component").agg(F.count("*").alias("n"))
+    parts = members.groupBy("family", "component").agg(F.sum("n").alias("n"))
     facts = parts.groupBy("family").agg(F.sum("n").alias("all"), F.max(F.struct("n", (-F.col("component")).alias("c"))).alias("m"))
     facts = facts.select("family", (-F.col("m.c")).alias("main"), F.ceil(F.col("all") / block).cast("int").alias("blocks"), F.greatest(F.lit(1), F.ceil((F.col("all") - F.col("m.n")) / block)).cast("int").alias("askers"))
     rows = members.join(facts, "family").join(sets.select("doc", "bands"), "doc")
-    told = rows.join(texts.withColumnRenamed("row", "doc"), "doc").select("doc", F.col("family").alias("pivot"), F.lit(0).alias("salt"), "text").mapInArrow(_read_sets(size), "pivot long, salt int, doc long, shingles binary")
-    full = C.materialise(rows.join(told.select("doc", "shingles"), "doc"), "family_sets")
+    told = members.join(texts.withColumnRenamed("row", "doc"), "doc").select("doc", "text").mapInArrow(_read_sets(size), "doc long, shingles binary")
+    full = C.materialise(rows.join(told, "doc"), "family_sets")
     part = lambda n: F.pmod(F.xxhash64("doc"), F.col(n)).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
     columns = ("family", "i", "j", "doc", "component", "bands", "shingles")
@@ -265,7 +273,7 @@ def _classes(numbered: DataFrame, size: int = SHINGLE, similarity: float = SIMIL
     texts = numbered.select("row", F.col("text").cast("string").alias("text"))
     named = numbered.select("row", C.known_id().alias("doc_id"), F.col("text").cast("string").alias("text"))
     sketch = C.materialise(named.mapInArrow(_sketch(size, bands, rows, weighted), _SKETCH), "sketch")
-    sets = sketch.where("n > 0").groupBy("set_a", "set_b").agg(F.min("row").alias("doc"), F.min("doc_id").alias("least"), F.first("bands").alias("bands"))
+    sets = sketch.where("n > 0").groupBy("set_a", "set_b").agg(F.min("row").alias("doc"), F.min("doc_id").alias("least"), F.first("n").cast("long").alias("n"), F.first("bands").alias("bands"))
     keys = sets.select("doc", F.explode("bands").alias("key")).distinct()
     shared = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     bucket = C.materialise(keys.join(shared, "key").select("key", "doc", "n"), "buckets")

@@ -237,7 +237,7 @@ def _first_level(path: str, size: int, slack: int, group: int):
         if held:
             yield flush()
 
-    return run
+    return C.tidy(run)
 
 
 def _next_level(size: int, slack: int, group: int, level: int, last: bool):
@@ -257,7 +257,7 @@ def _next_level(size: int, slack: int, group: int, level: int, last: bool):
         if sum(map(len, held)):
             yield flush(pa.Table.from_batches(held))
 
-    return run
+    return C.tidy(run)
 
 
 def pack(docs: DataFrame, path: str | None = None, size: int = SIZE, slack: int = SLACK, fan: int = FAN, group: int = GROUP) -> DataFrame:

@@ -185,7 +185,7 @@ def _score(net: Network | None):
                     p = net.score(table, *symbols(body[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]))
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i), batch.column("held_out").slice(i, j - i), pa.array(p), pa.array((p >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
-    return run
+    return C.tidy(run)
 
 
 def classify(docs: DataFrame, net: Network | None, held: Column | None = None) -> DataFrame:
@@ -207,7 +207,7 @@ def keep_good(docs: DataFrame, net: Network | None, threshold: float = 0.5) -> D
                 p = net.score(table, *symbols(body[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]))
                 yield batch.slice(i, j - i).filter(pa.array(p >= threshold))
 
-    return docs.mapInArrow(run, docs.schema) if net else docs
+    return docs.mapInArrow(C.tidy(run), docs.schema) if net else docs
 
 
 def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

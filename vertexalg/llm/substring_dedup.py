@@ -117,7 +117,7 @@ def _parse(size: int):
                 zero = np.zeros(len(p), np.int64)
                 yield _batch(_PHRASE, block=block[p].view(np.int64), row=row[p], doc_id=doc[p], start=pos[p], n=length, hashes=_binary(raw, length), from_row=zero, from_doc=zero, from_start=zero)
 
-    return run
+    return C.tidy(run)
 
 
 def _resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -224,7 +224,7 @@ def _cut(size: int, with_text: bool):
                 out.append(pa.array([x.decode() for x in each_text] if with_text else [hashlib.sha256(x).hexdigest() for x in each_text], pa.string()))
                 yield pa.RecordBatch.from_arrays(out, names=["doc_id", "n_words", "n_removed", "kept"])
 
-    return run
+    return C.tidy(run)
 
 
 def remove_repeats(docs: DataFrame, size: int = WINDOW, digest: bool = False) -> DataFrame:

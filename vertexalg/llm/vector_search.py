@@ -95,10 +95,11 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = K, query_group: int
     cells = lambda n: F.explode(F.sequence(F.lit(0), F.lit(max(n, 1) - 1)))
     part = lambda n: F.pmod(F.xxhash64("vec_id"), F.lit(max(n, 1))).cast("int")
     left = wanted.select("vec_id", "variant", "x", "d", part(q_groups).alias("qg"), cells(groups).alias("g")).groupBy("d", "qg", "g")
-    right = rows.select("vec_id", "x", "d", part(groups).alias("g"), cells(q_groups).alias("qg")).groupBy("d", "qg", "g")
+    # other names than the queries': a plan that is used twice is renamed, and must not take one side's for the other's
+    right = rows.select(F.col("vec_id").alias("to"), F.col("x").alias("y"), F.col("d").alias("e"), part(groups).alias("h"), cells(q_groups).alias("qh")).groupBy("e", "qh", "h")
 
     def cell(a: pa.Table, b: pa.Table) -> pa.Table:
-        found = search_block(a.column("vec_id").to_numpy(), _matrix(a, "x"), b.column("vec_id").to_numpy(), _matrix(b, "x"), k) if len(a) and len(b) else []
+        found = search_block(a.column("vec_id").to_numpy(), _matrix(a, "x"), b.column("to").to_numpy(), _matrix(b, "y"), k) if len(a) and len(b) else []
         at, vec_id, score = zip(*found, strict=True) if found else ((), (), ())
         at = pa.array(at, pa.int64())
         return pa.table({"query_id": a.column("vec_id").take(at), "variant": a.column("variant").take(at), "vec_id": pa.array(vec_id, pa.int64()), "score": pa.array(score, pa.float64())})
