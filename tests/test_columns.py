@@ -13,6 +13,7 @@ from vertexalg.graphs import derive
 from vertexalg.graphs.graph import Graph
 from vertexalg.matrix import columns
 from vertexalg.plans.inspect import exchanges
+from vertexalg.program import Reduce
 
 
 def rows(df):
@@ -68,3 +69,24 @@ def test_columns_hold_no_destinations(spark, sf):
     g = derive.graph(spark, sf, "trade")
     with pytest.raises(ValueError, match="destinations"):
         run_program(g, BfsProgram([3], prune_visited=True), strategy="columns")
+
+
+@pytest.mark.parametrize("strategy", ["auto", "rows_broadcast", "cols_shuffle"])
+def test_reductions_that_gather(spark, sf, strategy):
+    """A merge of one's own, folded in parts, and a Python function of all contributions give what the built-in one gives."""
+    g = derive.graph(spark, sf, "basket_chain")
+    want = rows(run_program(g, SsspProgram(0)).state.select("vid", "dist"))
+
+    class Folded(SsspProgram):
+        def reduce(self):
+            return Reduce.custom(lambda a, b: F.least(a, b), F.lit(None).cast("long"), salts=3)
+
+    class Grouped(SsspProgram):
+        def reduce(self):
+            return Reduce.grouped(lambda values: values.min(), "long")
+
+    for program in (Folded(0), Grouped(0)):
+        got = run_program(g, program, strategy=strategy)
+        assert rows(got.state.select("vid", "dist")) == want and sum(s[3] for s in got.steps) == 12105
+    with pytest.raises(ValueError, match="Python"):
+        run_program(g, Grouped(0), strategy="columns")

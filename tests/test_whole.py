@@ -56,5 +56,31 @@ def test_vector_grid(spark):
     assert len(got) == len(want) and set(got) == want
 
 
-def test_engine_is_not_its_own_rival(spark, sf):
-    assert {a for s, a in experiments.runs(spark, sf, 0) if s == "worklist"} == {"pr", "bfs", "sssp"}
+def test_systems_agree(spark, tmp_path, sf, monkeypatch):
+    """Every system has a run of its own for every algorithm, and on a small graph all give the engine's result."""
+    assert {(s, a) for s in experiments.SYSTEMS for a in experiments.DATASETS} == set(experiments.runs())
+    monkeypatch.setattr(experiments, "DATASETS", {"pr": ("trade",), "bfs": ("trade",), "tc": ("trade",), "sssp": ("trade",), "cf": ("synth_rating",)})
+    rows = experiments.compare(spark, sf).collect()
+    assert len(rows) == 25 and all(r.agrees for r in rows)
+    assert {r.system for r in experiments.against_frameworks(spark, sf).collect()} == {"triplet", "semiring", "worklist"}
+    told = {r.algorithm: r.slowdown for r in experiments.against_native(spark, sf).collect()}
+    assert set(told) == {"pr", "bfs", "tc", "cf", "overall"} and all(v > 0 for v in told.values())
+
+
+def test_disagreement_is_told(spark):
+    frame = lambda rows: spark.createDataFrame(rows, "vid long, rank double")
+    assert experiments.agrees("triplet", "pr", frame([(1, 0.5), (2, 1.0)]), frame([(2, 1.0), (1, 0.5 + 1e-9)]))
+    assert not experiments.agrees("triplet", "pr", frame([(1, 0.5)]), frame([(1, 0.51)]))
+    assert not experiments.agrees("triplet", "pr", frame([(1, 0.5)]), frame([(1, 0.5), (2, 1.0)]))
+    assert not experiments.agrees("triplet", "pr", frame([(1, 0.5), (2, None)]), frame([(1, 0.5), (2, 1.0)]))
+    whole = lambda rows: spark.createDataFrame(rows, "vid long, dist long")
+    assert experiments.agrees("triplet", "sssp", whole([(1, None)]), whole([(1, None)])) and not experiments.agrees("triplet", "sssp", whole([(1, 2)]), whole([(1, 3)]))
+
+
+def test_native_descent_is_the_same(spark, sf):
+    from vertexalg.algorithms import cf
+    from vertexalg.baselines import native
+
+    ratings = derive.ratings(spark, sf)
+    a, b = (sorted(map(tuple, m.factors.collect())) for m in (cf.cf_sgd(ratings, k=4, epochs=2, strata=3), native.cf(ratings, k=4, epochs=2, strata=3)))
+    assert len(a) == len(b) and all(x == pytest.approx(y, abs=1e-12) for x, y in zip(a, b, strict=True))

@@ -43,7 +43,7 @@ class BfsProgram(VertexProgram):
 
 
 def check_present(g: Graph, ids: list[int]) -> None:
-    if g.vertices.where(F.col("vid").isin(ids)).count() < len(set(ids)):
+    if g.vertices.where(F.col("vid").isin(ids)).select("vid").distinct().count() < len(set(ids)):
         raise ValueError("a source is no vertex of the graph")
 
 

@@ -17,6 +17,9 @@ from vertexalg.graphs.prep import as_bipartite
 from vertexalg.program import Reduce, VertexProgram
 
 
+GROUP = 20_000
+
+
 def fields(k: int) -> list[str]:
     return [f"f{i}" for i in range(k)]
 
@@ -64,6 +67,7 @@ class CFModel:
     item_factors: DataFrame
     trace: list[tuple]
     k: int
+    state: DataFrame | None = None
 
     @property
     def factors(self) -> DataFrame:
@@ -73,19 +77,23 @@ class CFModel:
 
 def _model(state: DataFrame, k: int, trace: list[tuple]) -> CFModel:
     side = lambda n: state.where(F.pmod("vid", F.lit(2)) == n).select(F.expr("vid div 2").alias("id"), *fields(k))
-    return CFModel(side(0), side(1), trace, k)
+    return CFModel(side(0), side(1), trace, k, state)
 
 
 def rating_graph(ratings: DataFrame, user: str = "user", item: str = "item", rating: str = "rating", conf: EngineConf = EngineConf()) -> Graph:
     return Graph.from_edges(as_bipartite(ratings, user, item, rating), value=F.col("value").cast("double"), conf=conf)
 
 
-def cf_gd(ratings: DataFrame, user: str = "user", item: str = "item", rating: str = "rating", k: int = 16, gamma: float = 0.002, lam: float = 0.05, iterations: int = 5, init: str = "formula", seed: int = 42, strategy: str = "auto", conf: EngineConf = EngineConf()) -> CFModel:
-    g = rating_graph(ratings, user, item, rating, conf)
-    out = run_program(g, GradientProgram(k, gamma, lam, init, seed), iterations, strategy=strategy)
+def descend(g: Graph, k: int = 16, gamma: float = 0.002, lam: float = 0.05, iterations: int = 5, init: str = "formula", seed: int = 42, strategy: str = "auto", start: DataFrame | None = None) -> CFModel:
+    """Gradient descent on a rating graph, from start (a state of its vertices) if given."""
+    out = run_program(g, GradientProgram(k, gamma, lam, init, seed), iterations, strategy=strategy, start=start)
     return _model(out.state, k, out.steps)
 
 
+def cf_gd(ratings: DataFrame, user: str = "user", item: str = "item", rating: str = "rating", k: int = 16, gamma: float = 0.002, lam: float = 0.05, iterations: int = 5, init: str = "formula", seed: int = 42, strategy: str = "auto", conf: EngineConf = EngineConf()) -> CFModel:
+    return descend(rating_graph(ratings, user, item, rating, conf), k, gamma, lam, iterations, init, seed, strategy)
+
+
 def _beside(pairs: DataFrame, model: CFModel) -> DataFrame:
     users = model.user_factors.select(F.col("id").alias("user"), F.struct(*fields(model.k)).alias("_u"))
     items = model.item_factors.select(F.col("id").alias("item"), F.struct(*fields(model.k)).alias("_i"))
@@ -121,16 +129,19 @@ def objective(ratings: DataFrame, model: CFModel, lam: float = 0.05, form: str =
 def recommend(model: CFModel, ratings: DataFrame, n: int = 5, users: int = 64) -> DataFrame:
     """(user, rank, item, prediction): the n best items that each user has not rated, ties to the smaller item.
 
-    Users go in groups of ``users`` against blocks of items, so a task holds one group's scores of one block."""
+    Users and items are dealt into groups of about ``GROUP`` by their counts, so a task holds one group of each however many
+    there are, and scores ``users`` at a time."""
     import numpy as np
     import pandas as pd
 
     k = model.k
-    spread = model.user_factors.sparkSession.sparkContext.defaultParallelism
-    group = F.pmod(F.xxhash64("id"), F.lit(spread)).cast("int")
-    every = F.explode(F.sequence(F.lit(0), F.lit(spread - 1)))
-    left = model.user_factors.select("id", F.array(*fields(k)).alias("p"), group.alias("g")).withColumn("b", every)
-    right = model.item_factors.select(F.col("id").alias("item"), F.array(*fields(k)).alias("q"), group.alias("ib")).withColumn("ig", every)
+    cores = model.user_factors.sparkSession.sparkContext.defaultParallelism
+    many = [-(-df.count() // GROUP) or 1 for df in (model.user_factors, model.item_factors)]
+    many[0] = max(many[0], -(-cores // many[1]))  # small inputs use all cores too
+    group = lambda n: F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = model.user_factors.select("id", F.array(*fields(k)).alias("p"), group(many[0]).alias("g")).withColumn("b", every(many[1]))
+    right = model.item_factors.select(F.col("id").alias("item"), F.array(*fields(k)).alias("q"), group(many[1]).alias("ib")).withColumn("ig", every(many[0]))
     seen = ratings.groupBy(F.col("user").alias("id")).agg(F.collect_set("item").alias("seen"))
 
     def best(u: pd.DataFrame, i: pd.DataFrame) -> pd.DataFrame:
@@ -188,10 +199,12 @@ def cf_sgd(ratings: DataFrame, user: str = "user", item: str = "item", rating: s
 
 
 def cf_trace(ratings: DataFrame, k: int = 4, gamma: float = 0.002, lam: float = 0.05, iterations: int = 5) -> DataFrame:
-    """(round, rmse, objective) after rounds 0..iterations."""
-    out = None
+    """(round, rmse, objective) after rounds 0..iterations, each going on from the one before."""
+    g, out, model = rating_graph(ratings), None, None
     for n in range(iterations + 1):
-        model = cf_gd(ratings, k=k, gamma=gamma, lam=lam, iterations=n)
+        model = descend(g, k, gamma, lam, 1 if n else 0, start=model and model.state)
         row = rmse(ratings, model).join(objective(ratings, model, lam)).select(F.lit(n).alias("round"), "rmse", "objective")
+        row = written(row, "trace")
         out = row if out is None else out.unionByName(row)
+    g.unpersist()
     return out

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from vertexalg.engine import ProgramResult, run_program
 from vertexalg.graphs.graph import Graph
+from vertexalg.matrix.columns import degrees
 from vertexalg.program import Reduce, VertexProgram
 
 
@@ -37,16 +38,20 @@ class PageRankProgram(VertexProgram):
         return F.abs(old("rank") - new("rank")) > self.tol if self.tol is not None else ~old("rank").eqNullSafe(new("rank"))
 
 
-def with_out_degree(g: Graph) -> Graph:
-    """The same graph, its vertices with outdeg (counted where the edges lie, so it costs no more than V rows)."""
-    degree = g.edges.groupBy(F.col("src").alias("vid")).agg(F.count("*").alias("outdeg"))
+def with_out_degree(g: Graph, lying: bool = False) -> Graph:
+    """The same graph, its vertices with outdeg (counted where the edges lie, so it costs no more than V rows).
+    lying: count in the columns that the supersteps use, so that no edge moves for it."""
+    if lying:
+        degree = degrees(g).withColumnRenamed("degree", "outdeg")
+    else:
+        degree = g.edges.groupBy(F.col("src").alias("vid")).agg(F.count("*").alias("outdeg"))
     out = Graph(g.edges, g.vertices.join(degree, "vid", "left").na.fill(0, ["outdeg"]), g.directed, g.conf)
     out._layouts = g._layouts
     return out
 
 
 def pagerank_run(g: Graph, r: float = 0.15, iterations: int | None = 10, rank_mode: str = "all", tol: float | None = None, strategy: str = "auto", **options) -> ProgramResult:
-    return run_program(with_out_degree(g), PageRankProgram(r, rank_mode, tol), iterations, strategy=strategy, **options)
+    return run_program(with_out_degree(g, strategy in ("auto", "columns")), PageRankProgram(r, rank_mode, tol), iterations, strategy=strategy, **options)
 
 
 def pagerank(g: Graph, r: float = 0.15, iterations: int | None = 10, rank_mode: str = "all", tol: float | None = None, strategy: str = "auto") -> DataFrame:

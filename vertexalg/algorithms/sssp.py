@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vertexalg.algorithms.bfs import check_present
 from vertexalg.engine import ProgramResult, run_program
 from vertexalg.graphs.graph import Graph
 from vertexalg.graphs.prep import check_weights
@@ -51,10 +50,12 @@ class SsspProgram(VertexProgram):
 
 def sssp_run(g: Graph, source: int, frontier: bool = True, parents: bool = False, max_supersteps: int | None = None, on_negative_cycle: str = "error", strategy: str = "auto", **options) -> ProgramResult:
     """With a negative cycle distances fall for ever: more rounds than vertices raise an error (or stop, with 'stop')."""
-    check_present(g, [source])
     check_weights(g)
     kind = dict(g.edges.dtypes)["value"]
-    bound = max_supersteps or g.vertices.count() + 1
+    row = g.vertices.agg(F.count("*").alias("n"), F.count_if(F.col("vid") == source).alias("here")).first()
+    if not row["here"]:
+        raise ValueError("a source is no vertex of the graph")
+    bound = max_supersteps or row["n"] + 1
     out = run_program(g, SsspProgram(source, frontier, parents, "double" if kind in ("double", "float") else "long"), bound, strategy=strategy, **options)
     if max_supersteps is None and not out.converged and on_negative_cycle == "error":
         raise ValueError("a cycle of negative weight can be reached from the source")

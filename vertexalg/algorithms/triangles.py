@@ -78,7 +78,7 @@ def triangle_count(g: Graph, mode: str = "dag", order: str = "id", engine: str =
     if mode == "symmetric":
         total = _counted(symmetrize(drop_self_loops(g)), strategy)
         return total.agg(F.expr("cast(coalesce(sum(count), 0) div 6 as bigint)").alias("triangles"))
-    oriented = degree_order(g) if order == "degree" else upper_triangle(g)
+    oriented = degree_order(g) if order == "degree" and g.form != "upper" else upper_triangle(g)
     return _counted(oriented, strategy).agg(F.coalesce(F.sum("count"), F.lit(0)).alias("triangles"))
 
 

@@ -11,14 +11,16 @@ from vertexalg.algorithms import cf
 from vertexalg.algorithms.pagerank import with_out_degree
 from vertexalg.conf import EngineConf, written
 from vertexalg.graphs.graph import Graph
-from vertexalg.graphs.prep import drop_self_loops, symmetrize, upper_triangle
+from vertexalg.graphs.prep import drop_self_loops, ones, symmetrize, upper_triangle
 from vertexalg.matrix.semirings import MIN_PLUS, PLUS_TIMES
 from vertexalg.matrix.spmv import spmv
 
 
 def on_grid(g: Graph, q: int) -> Graph:
-    """The same graph cut into q x q blocks."""
-    return Graph(g.edges, g.vertices, g.directed, EngineConf(partitions=q * q, broadcast_bytes=g.conf.broadcast_bytes))
+    """The same graph cut into q x q blocks; it is made once, as its layout is kept."""
+    if q not in g.grids:
+        g.grids[q] = Graph(g.edges, g.vertices, g.directed, EngineConf(partitions=q * q, broadcast_bytes=g.conf.broadcast_bytes), g.form)
+    return g.grids[q]
 
 
 def pagerank(g: Graph, r: float = 0.15, iterations: int = 10, grid: int = 2) -> DataFrame:
@@ -45,9 +47,7 @@ def sssp(g: Graph, source: int, grid: int = 2) -> DataFrame:
 
 
 def bfs(g: Graph, root: int, grid: int = 2) -> DataFrame:
-    both = symmetrize(drop_self_loops(g))
-    ones = both.with_edges(both.edges.withColumn("value", F.lit(1).cast("long")))
-    return sssp(ones, root, grid).select("vid", F.col("dist").alias("level"))
+    return sssp(ones(symmetrize(drop_self_loops(g))), root, grid).select("vid", F.col("dist").alias("level"))
 
 
 def triangles_spgemm(g: Graph, mask_late: bool = True) -> DataFrame:

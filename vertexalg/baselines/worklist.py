@@ -4,18 +4,20 @@ state), and a schedule decides which vertices of the list go first."""
 from __future__ import annotations
 
 import heapq
+from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from vertexalg.algorithms import cf as factorisation
 from vertexalg.algorithms.pagerank import with_out_degree
-from vertexalg.algorithms.triangles import triangle_count
-from vertexalg.conf import Table
+from vertexalg.conf import Table, written
 from vertexalg.engine import run_program
 from vertexalg.graphs.graph import Graph
-from vertexalg.graphs.prep import drop_self_loops, symmetrize
+from vertexalg.graphs.prep import degree_order, drop_self_loops, ones, symmetrize
 from vertexalg.program import VertexProgram
 
 
@@ -44,14 +46,19 @@ def _relax(edges: pd.DataFrame, state: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"vid": list(offers), "dist": list(offers.values())}, dtype="int64")
 
 
-def sssp_rounds(g: Graph, source: int, schedule: str = "bucket", bucket: int | None = None, blocks: int | None = None) -> tuple[DataFrame, int]:
+def in_blocks(g: Graph, n: int) -> DataFrame:
+    """Edges with the block of their source, written."""
+    return written(g.edges.select("src", "dst", "value", F.pmod(F.xxhash64("src"), F.lit(n)).cast("int").alias("b")), "edges")
+
+
+def sssp_rounds(g: Graph, source: int, schedule: str = "bucket", bucket: int | None = None, blocks: int | None = None, edges: DataFrame | None = None) -> tuple[DataFrame, int]:
     """Distances and the number of exchanges. schedule: 'fifo' takes all open vertices, 'bucket' those of the
     lowest bucket of distances, 'priority' the nearest half of the open ones.
 
     A task holds the edges and states of one block: choose blocks so that it fits."""
     n = blocks or g.blocks()
     block = lambda c: F.pmod(F.xxhash64(c), F.lit(n)).cast("int")
-    edges = Table(g.edges.select("src", "dst", "value", block("src").alias("b")), "edges")
+    edges = in_blocks(g, n) if edges is None else edges
     step = bucket or max(1, int(g.edges.agg(F.avg("value")).first()[0] or 1) * 2)
     source_is = F.col("vid") == source
     state = Table(g.vertices.select("vid", F.when(source_is, F.lit(0)).cast("long").alias("dist"), source_is.alias("open")), "list")
@@ -65,7 +72,7 @@ def sssp_rounds(g: Graph, source: int, schedule: str = "bucket", bucket: int | N
         limit = {"fifo": None, "bucket": (row["lo"] // step + 1) * step - 1, "priority": row["mid"]}[schedule]
         go: Column = F.col("open") if limit is None else F.col("open") & (F.col("dist") <= limit)
         now = state.df.select("vid", "dist", "open", go.alias("go"), block("vid").alias("b"))
-        offers = edges.df.groupBy("b").cogroup(now.groupBy("b")).applyInPandas(_relax, "vid long, dist long")
+        offers = edges.groupBy("b").cogroup(now.groupBy("b")).applyInPandas(_relax, "vid long, dist long")
         best = offers.groupBy("vid").agg(F.min("dist").alias("offer"))
         joined = now.join(best, "vid", "left")
         better = F.col("offer").isNotNull() & (F.col("dist").isNull() | (F.col("offer") < F.col("dist")))
@@ -75,14 +82,12 @@ def sssp_rounds(g: Graph, source: int, schedule: str = "bucket", bucket: int | N
         old.delete()
 
 
-def sssp(g: Graph, source: int, schedule: str = "bucket", bucket: int | None = None, blocks: int | None = None) -> DataFrame:
-    return sssp_rounds(g, source, schedule, bucket, blocks)[0]
+def sssp(g: Graph, source: int, schedule: str = "bucket", bucket: int | None = None, blocks: int | None = None, edges: DataFrame | None = None) -> DataFrame:
+    return sssp_rounds(g, source, schedule, bucket, blocks, edges)[0]
 
 
-def bfs(g: Graph, root: int, schedule: str = "fifo", blocks: int | None = None) -> DataFrame:
-    both = symmetrize(drop_self_loops(g))
-    ones = both.with_edges(both.edges.withColumn("value", F.lit(1).cast("long")))
-    return sssp(ones, root, schedule, 1, blocks).select("vid", F.col("dist").alias("level"))
+def bfs(g: Graph, root: int, schedule: str = "fifo", blocks: int | None = None, edges: DataFrame | None = None) -> DataFrame:
+    return sssp(ones(symmetrize(drop_self_loops(g))), root, schedule, 1, blocks, edges).select("vid", F.col("dist").alias("level"))
 
 
 class ResidualProgram(VertexProgram):
@@ -113,11 +118,44 @@ def pagerank_residual(g: Graph, r: float = 0.15, eps: float = 1e-4, max_superste
     return run_program(with_out_degree(g), ResidualProgram(r, eps), max_supersteps).state.select("vid", (F.col("rank") + F.col("residual")).alias("rank"))
 
 
-def triangles(g: Graph) -> DataFrame:
-    """Lists of the smaller-degree ends alone are intersected: the engine's own count, under another name."""
-    return triangle_count(g, order="degree")
+def _common(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Work items (two ascending lists) to the number of their common members, a batch at a time."""
+    for batch in batches:
+        flat = []
+        for side in ("a", "b"):
+            lists = batch.column(side)
+            size = lists.value_lengths().to_numpy()
+            flat.append((np.repeat(np.arange(len(batch)), size), lists.flatten().to_numpy()))
+        (row_a, x), (row_b, y) = flat
+        _, code = np.unique(np.append(x, y), return_inverse=True)
+        span = int(code.max(initial=0)) + 1
+        both = np.intersect1d(row_a * span + code[: len(x)], row_b * span + code[len(x) :], assume_unique=True)
+        yield pa.RecordBatch.from_arrays([pa.array([len(both)], pa.int64())], names=["n"])
 
 
-def cf(ratings: DataFrame, **options) -> factorisation.CFModel:
-    """The engine's own SGD, under another name."""
-    return factorisation.cf_sgd(ratings, **options)
+def triangles(g: Graph) -> DataFrame:
+    """Every arc of the orientation by degree is a work item that carries the lists of both its ends, merged in place;
+    no superstep and no reduction by vertex."""
+    e = degree_order(drop_self_loops(g)).edges.select("src", "dst")
+    lists = e.groupBy("src").agg(F.array_sort(F.collect_list("dst")).alias("l"))
+    items = e.join(lists.withColumnRenamed("l", "a"), "src").join(lists.select(F.col("src").alias("dst"), F.col("l").alias("b")), "dst").select("a", "b")
+    return items.mapInArrow(_common, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("triangles"))
+
+
+class _Side(factorisation.GradientProgram):
+    """One side's step: items send against the edges to users ('in'), or users along them to items ('out')."""
+
+    def __init__(self, direction: str, k: int, gamma: float, lam: float) -> None:
+        super().__init__(k, gamma, lam)
+        self.direction = direction
+
+
+def cf(ratings: DataFrame, k: int = 4, gamma: float = 0.002, lam: float = 0.05, iterations: int = 1) -> factorisation.CFModel:
+    """Gradient descent that reads fresh state: users move first, and items move from where users have come to in the same round."""
+    g = factorisation.rating_graph(ratings)
+    state, trace = None, []
+    for _ in range(iterations):
+        for direction in ("in", "out"):
+            done = run_program(g, _Side(direction, k, gamma, lam), 1, start=state)
+            state, trace = done.state, trace + done.steps
+    return factorisation._model(state, k, trace)

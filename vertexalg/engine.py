@@ -23,7 +23,7 @@ from vertexalg.matrix.spmv import generalized_spmv
 from vertexalg.matrix.strategies import choose
 from vertexalg.program import VertexProgram
 
-CHAIN = 4
+CHAIN = 5
 _STEP = "superstep int, active long, messages long, edges long, receivers long, changed long, seconds double, strategy string"
 
 
@@ -77,9 +77,10 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
     names = list(program.state)
     sends = F.col("active") if program.activation == "changed" else F.lit(True)
     told = (F.count_if("active").alias("active"), F.count_if(sends & program.send(F.col).isNotNull()).alias("messages"))
-    resident = product is None and (strategy == "columns" or (strategy == "auto" and not program.needs_dst_state))
-    if strategy == "columns" and program.needs_dst_state:
-        raise ValueError("columns don't hold destinations: take another strategy for a program that reads them")
+    apart = program.needs_dst_state or program.reduce().python
+    resident = product is None and (strategy == "columns" or (strategy == "auto" and not apart))
+    if strategy == "columns" and apart:
+        raise ValueError("columns don't hold destinations, nor reduce in Python: take another strategy for such a program")
 
     def after(state: DataFrame, plan: str, messages: int) -> DataFrame:
         """(vid, state..., active, _n) after one superstep."""
@@ -105,27 +106,36 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
         return df.observe(seen, *told, *more).select("vid", *names, "active"), seen
 
     state, seen = observed(start if start is not None else init_state(g, program))
-    table = Table(state, "state")
-    now, steps, old = seen.get, [], []
+    table, now, steps, old = None, None, [], []
+    if not resident or bound == 0:
+        table = Table(state, "state")
+        now = seen.get
 
     def going() -> bool:
         # where apply runs everywhere, a round without messages still moves states
         moving = now["messages"] or (program.apply_to == "all" and now["active"])
         return bool(moving) and (bound is None or len(steps) < bound) and not (steps and not now["active"] and program.stop_when_unchanged)
 
-    while going():
+    while now is None or going():
         began = time.time()
         plan = "columns" if resident else strategy
         if plan == "auto":
             plan = choose(now["messages"], program.message_bytes, g.conf.broadcast_bytes, None, g.blocks(), program.needs_dst_state)
         length = chain if resident and chainable(program) else 1
         length = length if bound is None else min(length, bound - len(steps))
-        state, watched = table.df, []
+        first, watched = (state, [seen]) if table is None else (table.df, [])
+        after_it = first
         for _ in range(length):
-            state, seen = observed(after(state, plan, now["messages"]), F.coalesce(F.sum("_n"), F.lit(0)).alias("edges"), F.count("_n").alias("receivers"))
+            after_it, seen = observed(after(after_it, plan, now and now["messages"]), F.coalesce(F.sum("_n"), F.lit(0)).alias("edges"), F.count("_n").alias("receivers"))
             watched.append(seen)
-        old.append(table)
-        table = Table(state, "state")
+        if table is not None:
+            old.append(table)
+        table = Table(after_it, "state")
+        if now is None:  # the initial state was counted on the way
+            now = watched.pop(0).get
+            if not going():
+                table.delete()
+                table = Table(first.select("vid", *names, "active"), "state")
         seconds = (time.time() - began) / length
         for seen in watched:
             if going():

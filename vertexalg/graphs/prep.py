@@ -9,9 +9,20 @@ from vertexalg.graphs.graph import Graph
 
 
 def drop_self_loops(g: Graph) -> Graph:
+    if g.form:
+        return g
     return g.with_edges(g.edges.where("src <> dst"))
 
 
+def ones(g: Graph) -> Graph:
+    """Every edge of weight 1, so that distances are levels."""
+    if g.unit:
+        return g
+    out = g.with_edges(g.edges.withColumn("value", F.lit(1).cast("long")), form=g.form)
+    out.unit = True
+    return out
+
+
 def dedupe(g: Graph, how: str = "min") -> Graph:
     """One edge per (src, dst): how its value comes from the parallel ones (min, max, sum, mean, first by value, keep all)."""
     if how == "keep":
@@ -22,15 +33,17 @@ def dedupe(g: Graph, how: str = "min") -> Graph:
 
 def symmetrize(g: Graph) -> Graph:
     """Both arcs of every edge, unweighted parallel ones once (the smaller value stays)."""
-    back = g.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "value")
-    both = g.edges.select("src", "dst", "value").unionByName(back)
-    return g.with_edges(both.groupBy("src", "dst").agg(F.min("value").alias("value")), directed=False)
+    if g.form == "symmetric":
+        return g
+    return g.with_edges(g.arcs("both").groupBy("src", "dst").agg(F.min("value").alias("value")), False, "symmetric")
 
 
 def upper_triangle(g: Graph) -> Graph:
     """Symmetrise and keep src < dst: a graph without cycles."""
+    if g.form == "upper":
+        return g
     edges = g.edges.where("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "value")
-    return g.with_edges(edges.groupBy("src", "dst").agg(F.min("value").alias("value")), directed=True)
+    return g.with_edges(edges.groupBy("src", "dst").agg(F.min("value").alias("value")), True, "upper")
 
 
 def degree_order(g: Graph) -> Graph:

@@ -14,7 +14,6 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
-from pyspark.storagelevel import StorageLevel
 
 from vertexalg.graphs.graph import Graph
 from vertexalg.program import VertexProgram
@@ -22,37 +21,30 @@ from vertexalg.program import VertexProgram
 CELLS = 4096
 
 
-def arcs(g: Graph, direction: str) -> DataFrame:
-    """Edges as (src sends, dst receives)."""
-    forward = g.edges.select("src", "dst", "value")
-    back = g.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "value")
-    return {"out": forward, "in": back, "both": forward.unionByName(back)}[direction]
-
-
 def columns(g: Graph, direction: str = "out") -> DataFrame:
     """(vid, _part, _cells) of all vertices, dealt and sorted by vid, and kept. As many blocks as an aggregation of the session makes."""
-    key = f"columns {direction}"
-    if key not in g._layouts:
-        blocks = int(g.spark.conf.get("spark.sql.shuffle.partitions"))
-        edges = arcs(g, direction)
-        value = edges.schema["value"].dataType
-        rows = edges.withColumnRenamed("src", "vid").repartition(blocks, "vid").withColumn("n", F.count("*").over(W.partitionBy("vid")))
-        cell = F.struct(F.col("dst").alias("to"), "value", F.lit(False).alias("own"))
-        # a hub's column is cut into parts, so no row holds all of it
-        lists = rows.groupBy("vid", F.pmod(F.xxhash64("dst"), F.ceil(F.col("n") / CELLS)).alias("_part")).agg(F.array_sort(F.collect_list(cell)).alias("_cells"))
-        own = F.array(F.struct(F.col("vid").alias("to"), F.lit(None).cast(value).alias("value"), F.lit(True).alias("own")))
-        first = g.vertices.select("vid").distinct().repartition(blocks, "vid").join(lists.where("_part = 0").hint("merge"), "vid", "left")
-        heads = first.select("vid", F.lit(0).cast("long").alias("_part"), F.concat(own, F.coalesce("_cells", F.array().cast(lists.schema["_cells"].dataType))).alias("_cells"))
-        tails = lists.where("_part > 0").join(g.vertices.select("vid").distinct(), "vid", "left_semi")
-        whole = heads.unionByName(tails) if _has_hubs(edges) else heads
-        if whole is not heads:
-            whole = whole.repartition(blocks, "vid")
-        g._layouts[key] = whole.sortWithinPartitions("vid").persist(StorageLevel.MEMORY_AND_DISK)
-    return g._layouts[key]
+    return g.kept(f"columns {direction}", lambda: _build(g, direction))
+
+
+def _build(g: Graph, direction: str) -> DataFrame:
+    blocks = int(g.spark.conf.get("spark.sql.shuffle.partitions"))
+    edges = g.arcs(direction)
+    value = edges.schema["value"].dataType
+    rows = edges.withColumnRenamed("src", "vid").repartition(blocks, "vid").withColumn("n", F.count("*").over(W.partitionBy("vid")))
+    cell = F.struct(F.col("dst").alias("to"), "value", F.lit(False).alias("own"))
+    # a hub's column is cut into parts, so no row holds all of it
+    lists = rows.groupBy("vid", F.pmod(F.xxhash64("dst"), F.ceil(F.col("n") / CELLS)).alias("_part")).agg(F.array_sort(F.collect_list(cell)).alias("_cells"))
+    ids = g.vertices.select("vid").distinct().repartition(blocks, "vid")
+    own = F.array(F.struct(F.col("vid").alias("to"), F.lit(None).cast(value).alias("value"), F.lit(True).alias("own")))
+    # parts are numbered from 0 in each vertex, and the first holds the vertex itself, also where there is no edge
+    beside = ids.hint("merge").join(lists, "vid", "left").withColumn("_part", F.row_number().over(W.partitionBy("vid").orderBy("_part")).cast("long") - 1)
+    cells = F.coalesce("_cells", F.array().cast(lists.schema["_cells"].dataType))
+    return beside.select("vid", "_part", F.when(F.col("_part") == 0, F.concat(own, cells)).otherwise(cells).alias("_cells")).sortWithinPartitions("vid")
 
 
-def _has_hubs(edges: DataFrame) -> bool:
-    return not edges.groupBy("src").count().where(F.col("count") > CELLS).isEmpty()
+def degrees(g: Graph, direction: str = "out") -> DataFrame:
+    """(vid, degree) of all vertices, from the columns: what lies together is counted where it lies."""
+    return columns(g, direction).groupBy("vid").agg(F.count_if(F.col("_part") == 0).alias("_own"), F.sum(F.size("_cells")).alias("_all")).select("vid", (F.col("_all") - F.col("_own")).alias("degree"))
 
 
 def superstep(g: Graph, state: DataFrame, program: VertexProgram, names: Sequence[str], sends: Column) -> DataFrame:
@@ -63,11 +55,18 @@ def superstep(g: Graph, state: DataFrame, program: VertexProgram, names: Sequenc
     told = state.select("vid", *names, message.alias("_m"))
     lying = told.hint("merge").join(columns(g, program.direction), "vid")
     cells = F.when(F.col("_m").isNotNull(), F.col("_cells")).when(F.col("_part") == 0, F.slice("_cells", 1, 1))
-    rows = lying.select(*names, "_m", F.explode(cells).alias("_e"))
+    salt = [F.pmod(F.xxhash64("vid"), F.lit(how.salts)).alias("_salt")] if how.salts > 1 else []
+    rows = lying.select(*names, "_m", *salt, F.explode(cells).alias("_e"))
     own = F.col("_e.own")
-    given = rows.select(F.col("_e.to").alias("vid"), own.alias("_own"), *(F.when(own, F.col(k)).alias(k) for k in names), F.when(~own, program.process(F.col("_m"), F.col("_e.value"), None)).alias("_c"))
+    given = rows.select(F.col("_e.to").alias("vid"), own.alias("_own"), *(F.when(own, F.col(k)).alias(k) for k in names), F.when(~own, program.process(F.col("_m"), F.col("_e.value"), None)).alias("_c"), *(["_salt"] if salt else []))
     old = [F.first(k, ignorenulls=True).alias(k) for k in names]
-    reduced = given.groupBy("vid").agg(*old, *(c.alias(n) for c, n in zip(how.columns(F.col("_c")), how.names, strict=True)), F.count_if(~F.col("_own")).alias("_got"), F.bool_or("_own").alias("_is"))
+    values = [c.alias(n) for c, n in zip(how.columns(F.col("_c")), how.names, strict=True)]
+    if salt:  # a reduction that gathers does so in parts of a destination
+        parts = given.groupBy("vid", "_salt").agg(*old, *values, F.count_if(~F.col("_own")).alias("_got"), F.bool_or("_own").alias("_is"))
+        merged = [how.merge(F.when(F.col("_got") > 0, F.col(n)))[0].alias(n) for n in how.names]
+        reduced = parts.groupBy("vid").agg(*old, *merged, F.sum("_got").alias("_got"), F.bool_or("_is").alias("_is"))
+    else:
+        reduced = given.groupBy("vid").agg(*old, *values, F.count_if(~F.col("_own")).alias("_got"), F.bool_or("_own").alias("_is"))
     # what goes to no vertex of the graph is dropped; a vertex that got nothing has no reduced value
     some = F.col("_got") > 0
     return reduced.where("_is").select("vid", *names, F.when(some, how.finish(F.col)).alias("red"), F.when(some, F.col("_got")).alias("_n"))

@@ -1,13 +1,17 @@
 """Generalized sparse matrix-vector product: process is the multiply, reduce the add.
 
-rows_broadcast: edges lie in blocks by destination, messages are broadcast, the reduction stays in the block: no exchange.
+rows_broadcast: edges lie in blocks by destination, messages are broadcast, the reduction stays in the block: no exchange
+                but of the states that process reads.
 cols_shuffle:   edges lie in blocks by source, messages join there, partial results are exchanged by destination.
-grid:           edges lie in q x q blocks; messages go to the q blocks of their column, partial results to one row.
+grid:           edges lie in cells of a q x q grid; messages go to the q cells of their column, partial results to one row.
+Layouts are kept with the graph, for both directions too, so no edge is exchanged in a product unless
+process reads destinations and messages are too many to be broadcast.
 triplet:        both end states are joined to every edge and filtered after (the baseline's plan).
 """
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -25,24 +29,26 @@ def _contributions(joined: DataFrame, program: VertexProgram) -> DataFrame:
     return joined.select("dst", program.process(F.col("_m"), F.col("value"), dst).alias("_c"))
 
 
-def _reduced(contributions: DataFrame, program: VertexProgram, levels: tuple[str, ...] = ()) -> DataFrame:
-    """(vid, red, n): n counts the contributions. levels: columns of a first, local reduction."""
+def _reduced(contributions: DataFrame, program: VertexProgram) -> DataFrame:
+    """(vid, red, _n): _n counts the contributions (dst, _c). Spark reduces in each block before it exchanges; a reduction that
+    gathers does so in salted parts of a destination, and one in Python counts in Python too."""
     how = program.reduce()
     first = [c.alias(n) for c, n in zip(how.columns(F.col("_c")), how.names, strict=True)]
-    out = contributions.groupBy(*levels, "dst").agg(*first, F.count("*").alias("_n"))
-    if levels:
-        again = [how.merge(F.col(n))[0].alias(n) for n in how.names]
-        out = out.groupBy("dst").agg(*again, F.sum("_n").alias("_n"))
+    if how.python:
+        out = contributions.groupBy("dst").agg(*first, _length()(F.col("_c")).alias("_n"))
+    elif how.salts > 1:
+        parts = contributions.withColumn("_salt", F.pmod(F.monotonically_increasing_id(), F.lit(how.salts))).groupBy("dst", "_salt").agg(*first, F.count("*").alias("_n"))
+        out = parts.groupBy("dst").agg(*(how.merge(F.col(n))[0].alias(n) for n in how.names), F.sum("_n").alias("_n"))
+    else:
+        out = contributions.groupBy("dst").agg(*first, F.count("*").alias("_n"))
     return out.select(F.col("dst").alias("vid"), how.finish(F.col).alias("red"), "_n")
 
 
-def _oriented(g: Graph, direction: str, key: str) -> DataFrame:
-    """Edges as (src sends, dst receives); key: dealt by which of these two."""
-    if direction == "out":
-        return g.layout(key).select("src", "dst", "value")
-    other = {"src": "dst", "dst": "src"}[key]
-    back = g.layout(other).select(F.col("dst").alias("src"), F.col("src").alias("dst"), "value")
-    return back if direction == "in" else g.layout(key).select("src", "dst", "value").unionByName(back)
+def _length():
+    def number(values: pd.Series) -> int:
+        return len(values)
+
+    return F.pandas_udf(number, "long")
 
 
 def generalized_spmv(g: Graph, x: DataFrame, program: VertexProgram, dst_state: DataFrame | None = None, strategy: str = "auto", messages: int | None = None) -> DataFrame:
@@ -60,20 +66,16 @@ def generalized_spmv(g: Graph, x: DataFrame, program: VertexProgram, dst_state:
         return df.join(dst_state.select(F.col("vid").alias("dst"), "_dst"), "dst")
 
     if strategy == "rows_broadcast":
-        joined = _oriented(g, program.direction, "dst").join(F.broadcast(send), "src")
+        joined = g.layout("dst", program.direction).join(F.broadcast(send), "src")
         return _reduced(_contributions(with_dst(joined), program), program)
     if strategy == "cols_shuffle":
-        joined = _oriented(g, program.direction, "src").join(send, "src")
+        joined = g.layout("src", program.direction).join(send, "src")
         return _reduced(_contributions(with_dst(joined), program), program)
     if strategy == "grid":
         q = max(1, int(blocks**0.5))
-        block = lambda c: F.pmod(F.xxhash64(c), F.lit(q)).cast("int")
-        edges = _oriented(g, program.direction, "src").withColumn("_row", block("dst")).withColumn("_col", block("src"))
-        wide = send.withColumn("_col", block("src")).withColumn("_row", F.explode(F.sequence(F.lit(0), F.lit(q - 1))))
-        joined = with_dst(edges.join(wide, ["_row", "_col", "src"]))
-        dst = _struct_reader("_dst") if program.needs_dst_state else None
-        parts = joined.select("_row", "_col", "dst", program.process(F.col("_m"), F.col("value"), dst).alias("_c"))
-        return _reduced(parts, program, ("_row", "_col"))
+        wide = send.withColumn("_col", F.pmod(F.xxhash64("src"), F.lit(q)).cast("int")).withColumn("_row", F.explode(F.sequence(F.lit(0), F.lit(q - 1))))
+        joined = g.grid(q, program.direction).join(wide, ["_row", "_col", "src"])
+        return _reduced(_contributions(with_dst(joined), program), program)
     raise ValueError(f"unknown strategy {strategy!r}")
 
 

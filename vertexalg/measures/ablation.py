@@ -1,7 +1,7 @@
 """The cumulative ablation and core scaling. Every bar must give the same result; only its plan differs.
 
-naive: opaque Python functions, vectors as pairs, one block. +bitmap: the frontier filters edges as a bitmap first.
-+inlined: functions as Column expressions. +parallel: one block per core. +balanced: more blocks than cores.
+naive: opaque Python functions, vectors as pairs, one block (and so one task). +bitmap: the frontier filters edges as a bitmap first.
++inlined: functions as Column expressions. +parallel: one block per core. +balanced: more blocks than cores. All but the first use the bitmap.
 """
 
 from __future__ import annotations
@@ -69,8 +69,8 @@ def bar(name: str, g: Graph, algorithm: str, root: int | None = None, iterations
         own = with_out_degree(own)
     if step < 2:
         program = opaque(program)
-    product = _pairs_product if step == 0 else _bitmap_product if step < 3 else None
-    seconds, out = timed_run(lambda h: run_program(h, program, iterations if algorithm == "rank" else None, product=product), own)
+    product = _bitmap_product if step else _pairs_product
+    seconds, out = timed_run(lambda h: run_program(h, program, iterations if algorithm == "rank" else None, product=product), own, layouts=("dst",))
     own.unpersist()
     return seconds, out
 
@@ -79,11 +79,12 @@ def ablation(g: Graph, algorithm: str, root: int | None = None, iterations: int
     return gains({name: bar(name, g, algorithm, root, iterations)[0] for name in BARS})
 
 
-def scaling(algorithm: str, sf_dir: str, graph: str, cores: tuple[int, ...] = (1, 2, 4), iterations: int = 3) -> dict[int, float]:
-    """Speedup over one core; every number of cores gets a fresh process, as a session cannot change it."""
+def scaling(sf_dir: str, cores: tuple[int, ...] = (1, 2, 4)) -> list[tuple]:
+    """(system, algorithm, dataset, cores, seconds, speedup over the first number of cores) of all systems; every number of cores
+    gets a fresh process, as a session cannot change it."""
     root = Path(__file__).resolve().parents[2]
     seconds = {}
     for n in cores:
-        run = subprocess.run([sys.executable, "-m", "vertexalg.measures.scaling_run", algorithm, sf_dir, graph, str(n), str(iterations)], cwd=root, capture_output=True, text=True, check=True)
-        seconds[n] = json.loads(run.stdout.strip().split("\n")[-1])["seconds"]
-    return {n: seconds[cores[0]] / s for n, s in seconds.items()}
+        run = subprocess.run([sys.executable, "-m", "vertexalg.measures.scaling_run", sf_dir, str(n)], cwd=root, capture_output=True, text=True, check=True)
+        seconds |= {(*key, n): s for *key, s in json.loads(run.stdout.strip().split("\n")[-1])}
+    return [(*key, s, seconds[(*key[:3], cores[0])] / s) for key, s in seconds.items()]

@@ -1,22 +1,30 @@
-"""One timed run in a process of its own: algorithm, tables, graph, cores, iterations."""
+"""All systems on a number of cores, in a process of its own: tables, cores. Prints [system, algorithm, dataset, seconds] rows as JSON."""
 
 from __future__ import annotations
 
 import json
 import sys
+import tempfile
 
 from pyspark.sql import SparkSession
 
 
-def main(algorithm: str, sf_dir: str, graph: str, cores: str, iterations: str) -> None:
-    from vertexalg.graphs import derive
-    from vertexalg.measures.ablation import bar
-    from vertexalg.registry import root_of
-
-    spark = SparkSession.builder.master(f"local[{cores}]").config("spark.sql.shuffle.partitions", cores).config("spark.ui.enabled", "false").getOrCreate()
-    g = derive.graph(spark, sf_dir, graph)
-    seconds, _ = bar("parallel", g, algorithm, root_of(g.edges), int(iterations), int(cores))
-    print(json.dumps({"seconds": seconds}))
+def main(sf_dir: str, cores: str) -> None:
+    from vertexalg.measures import experiments as E
+    from vertexalg.measures.timing import clock, finish
+
+    spark = SparkSession.builder.master(f"local[{cores}]").config("spark.sql.shuffle.partitions", cores).config("spark.ui.enabled", "false").config("spark.checkpoint.dir", tempfile.mkdtemp(prefix="scaling-")).getOrCreate()
+    spark.sparkContext.setLogLevel("ERROR")
+    rows = []
+    for algorithm, name in (("pr", "copurchase"), ("sssp", "handoff")):
+        p = E.load(spark, sf_dir, name)
+        for system in E.SYSTEMS[:4]:
+            prepare, run = E.runs()[system, algorithm]
+            ready = prepare(p)
+            finish(run(p, ready))
+            rows.append((system, algorithm, name, clock(lambda: run(p, ready))[0]))  # noqa: B023
+    print(json.dumps(rows), flush=True)
+    spark.stop()
 
 
 if __name__ == "__main__":

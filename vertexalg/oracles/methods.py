@@ -75,17 +75,21 @@ def components(sql: str, vertices: str) -> str:
     )
 
 
-def factors(ratings: str, k: int, rounds: int, gamma: float = 0.002, lam: float = 0.05) -> str:
-    """CTEs r (user, item, rating) and f (side, id, l list) after the rounds."""
+def factors(ratings: str, k: int, rounds: int, gamma: float = 0.002, lam: float = 0.05, fresh: bool = False) -> str:
+    """CTEs r (user, item, rating) and f (side, id, l list) after the rounds. fresh: items move after users, from where they have come to."""
     first = ", ".join(f"(1 + (id * 7 + {i * 13} + side * 5) % 10) / 10.0" for i in range(k))
     parts = [f"r as materialized ({ratings})", f"f0 as materialized (select side, id, [{first}]::double[] as l from (select distinct 0 as side, \"user\" as id from r union all select distinct 1, item from r))"]
-    for i in range(rounds):
-        both = f"select r.\"user\", r.item, p.l as p, q.l as q, r.rating - list_dot_product(p.l, q.l) as e from r join f{i} p on p.side = 0 and p.id = r.\"user\" join f{i} q on q.side = 1 and q.id = r.item"
-        sums = ", ".join(f"sum(e * o[{j + 1}])" for j in range(k))
-        moved = ", ".join(f"l[{j + 1}] + {gamma} * (g[{j + 1}] - {lam} * l[{j + 1}])" for j in range(k))
-        parts.append(f"b{i} as materialized ({both}), g{i} as (select 0 as side, \"user\" as id, [{sums}] as g from (select *, q as o from b{i}) group by \"user\" union all select 1, item, [{sums}] from (select *, p as o from b{i}) group by item)")
-        parts.append(f"f{i + 1} as materialized (select side, id, [{moved}]::double[] as l from f{i} join g{i} using (side, id))")
-    parts.append(f"f as (select * from f{rounds})")
+    sums = ", ".join(f"sum(e * o[{j + 1}])" for j in range(k))
+    moved = ", ".join(f"l[{j + 1}] + {gamma} * (g[{j + 1}] - {lam} * l[{j + 1}])" for j in range(k))
+    sides = {0: f"select 0 as side, \"user\" as id, [{sums}] as g from (select *, q as o from {{b}}) group by \"user\"", 1: f"select 1 as side, item as id, [{sums}] as g from (select *, p as o from {{b}}) group by item"}
+    step = 0
+    for _ in range(rounds):
+        for part in ((0,), (1,)) if fresh else ((0, 1),):
+            i, step = step, step + 1
+            both = f"select r.\"user\", r.item, p.l as p, q.l as q, r.rating - list_dot_product(p.l, q.l) as e from r join f{i} p on p.side = 0 and p.id = r.\"user\" join f{i} q on q.side = 1 and q.id = r.item"
+            parts.append(f"b{i} as materialized ({both}), g{i} as ({' union all '.join(sides[n].format(b=f'b{i}') for n in part)})")
+            parts.append(f"f{step} as materialized (select side, id, case when g is null then l else [{moved}]::double[] end as l from f{i} left join g{i} using (side, id))")
+    parts.append(f"f as (select * from f{step})")
     return ", ".join(parts)
 
 

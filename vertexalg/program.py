@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -17,6 +18,8 @@ class Reduce:
     merge: Callable[[Column], list[Column]]
     finish: Callable[[Callable[[str], Column]], Column]
     names: tuple[str, ...] = ("r0",)
+    salts: int = 1  # parts in which a destination's contributions are reduced first
+    python: bool = False  # whether it runs in Python workers, all contributions of a destination at a time
 
     @classmethod
     def _one(cls, fn, again=None) -> Reduce:
@@ -54,10 +57,22 @@ class Reduce:
         return cls(lambda c: [F.sum(c[f]) for f in fields], lambda c: [F.sum(c)], lambda part: F.struct(*(part(n).alias(f) for n, f in zip(names, fields, strict=True))), names)
 
     @classmethod
-    def custom(cls, merge: Callable[[Column, Column], Column], zero: Column) -> Reduce:
-        """Any commutative, associative merge with its zero; contributions are gathered per block first."""
+    def custom(cls, merge: Callable[[Column, Column], Column], zero: Column, salts: int = 16) -> Reduce:
+        """Any commutative, associative merge with its zero. Contributions are gathered and folded in salts parts of a destination
+        first, then the parts' results, so no row holds all that a hub gets."""
         fold = lambda values: F.aggregate(values, zero, merge)
-        return cls(lambda c: [fold(F.collect_list(c))], lambda c: [fold(F.collect_list(c))], lambda part: part("r0"))
+        return cls(lambda c: [fold(F.collect_list(c))], lambda c: [fold(F.collect_list(c))], lambda part: part("r0"), salts=salts)
+
+    @classmethod
+    def grouped(cls, function: Callable, returns: str) -> Reduce:
+        """A Python function of all contributions of a destination (a pandas Series) to one value: a grouped aggregate, for what no
+        Column can say. There is no partial result, so a hub's contributions meet in one task: custom() where they can be merged."""
+
+        def whole(values: pd.Series) -> float:
+            return function(values)
+
+        told = F.pandas_udf(whole, returns)
+        return cls(lambda c: [told(c)], lambda c: [told(c)], lambda part: part("r0"), python=True)
 
 
 class VertexProgram:

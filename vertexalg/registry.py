@@ -304,7 +304,8 @@ def _products() -> None:
     add("worklist_bfs", rooted(worklist.bfs, "handoff"), bfs_sql("handoff"))
     add("worklist_pr", lambda s, d: worklist.pagerank_residual(derive.graph(s, d, "handoff"), eps=1e-9).select("vid", F.round("rank", 5).alias("rank")), S.rank(hand, derive.vertex_sql("handoff"), 60, digits=5))
     add("worklist_tc", lambda s, d: worklist.triangles(derive.graph(s, d, "handoff")), S.triangles(hand))
-    add("worklist_cf", lambda s, d: worklist.cf(derive.ratings(s, d), k=k, epochs=1).factors)
+    fresh = f"with {S.factors(derive.RATINGS_SQL, k, rounds, fresh=True)} select side, id, {', '.join(f'round(l[{i + 1}], 4) as f{i}' for i in range(k))} from f"
+    add("worklist_cf", lambda s, d: shown(worklist.cf(derive.ratings(s, d), k=k, iterations=rounds)), fresh)
     add("native_pr", lambda s, d: ranked(native.pagerank(derive.graph(s, d, "handoff"))), rank_sql("handoff"))
     add("native_bfs", rooted(native.bfs, "handoff"), bfs_sql("handoff"))
     add("native_sssp", rooted(native.sssp, "handoff"), sssp_sql("handoff"))
@@ -322,7 +323,14 @@ def _products() -> None:
 
     add("bench_table2", experiments.against_frameworks)
     add("bench_table3", experiments.against_native)
+    add("bench_agreement", experiments.agreement, experiments.AGREEMENT_SQL)
     add("bench_ablation", experiments.ablation_rows)
+    add("bench_ablation_agreement", lambda s, d: experiments.ablation_rows(s, d).drop("gain"), experiments.ABLATION_SQL)
+    add("bench_scaling", experiments.scaling_rows)
+    add("bench_single_thread", experiments.single_thread)
+    add("bench_workfront", experiments.workfront_ratio)
+    add("bench_product_share", experiments.product_share)
+    add("bench_grid_sweep", lambda s, d: experiments.grid_sweep(s, d).drop("seconds"), experiments.GRID_SQL)
     add("bench_counters", experiments.counter_rows)
     add("effort", lambda s, d: _effort(s))
     for name, query, sql in OPERATORS:
