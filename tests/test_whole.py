@@ -84,3 +84,14 @@ def test_native_descent_is_the_same(spark, sf):
     ratings = derive.ratings(spark, sf)
     a, b = (sorted(map(tuple, m.factors.collect())) for m in (cf.cf_sgd(ratings, k=4, epochs=2, strata=3), native.cf(ratings, k=4, epochs=2, strata=3)))
     assert len(a) == len(b) and all(x == pytest.approx(y, abs=1e-12) for x, y in zip(a, b, strict=True))
+
+
+def test_followers_over_buckets(spark):
+    rng = np.random.default_rng(5)
+    rows = [(int(k), int(t), i) for i, (k, t) in enumerate(zip(rng.integers(0, 3, 80), rng.integers(0, 60, 80), strict=True))]
+    got = {r["id"]: r["next"] and r["next"]["id"] for r in derive.followers(spark.createDataFrame(rows, "k long, at long, id long"), ("k",), "at", "id", 7).collect()}
+    want = {}
+    for k in range(3):
+        mine = sorted((t, i) for g, t, i in rows if g == k)
+        want |= {i: mine[n + 1][1] if n + 1 < len(mine) else None for n, (_, i) in enumerate(mine)}
+    assert got == want

@@ -1,6 +1,6 @@
 """Graphs on the given tables, each as DataFrame code and as the SQL that must give the same edges.
 
-Every group that makes edges is bounded by its key (order, day, user), or makes a star: documents that share a line are
+Every group that makes edges is bounded by its key (order), is cut into buckets of time (day, user, type), or makes a star: documents that share a line are
 tied to the least of them, so a group of any size has as many edges as members and stays connected. `colink` has all pairs
 of pages that share a path, as its definition asks.
 """
@@ -43,22 +43,38 @@ def micros(column: str):
     return F.unix_micros(F.col(column).cast("timestamp"))
 
 
+def followers(rows: DataFrame, keys: tuple[str, ...], at: str, tie: str, bucket: int) -> DataFrame:
+    """rows (keys not null) with next: the struct (at, tie, all other columns of rows) of the row that follows in its group of keys, ordered by
+    at and tie; the last of a group has none.
+
+    A group is cut into buckets of at, so none is sorted in one task: a row's follower is in its bucket, or the first of the
+    next bucket that the group has."""
+    given = [at, tie, *(c for c in rows.columns if c not in (at, tie))]
+    cut = rows.withColumn("_b", F.floor(F.col(at) / bucket)).withColumn("_me", F.struct(*given))
+    inside = cut.withColumn("_next", F.lead("_me").over(W.partitionBy(*keys, "_b").orderBy(at, tie)))
+    heads = cut.groupBy(*keys, "_b").agg(F.min("_me").alias("_first"))
+    after = heads.select(*keys, "_b", F.lead("_first").over(W.partitionBy(*keys).orderBy("_b")).alias("_after"))
+    return inside.join(after, [*keys, "_b"]).select(*rows.columns, F.coalesce("_next", "_after").alias("next"))
+
+
+_SECOND, _MINUTE = 1_000_000, 60_000_000
+
+
 def handoff(spark: SparkSession, d: str) -> DataFrame:
-    events = table(spark, d, "events").select("event_id", "ts", "user_id", F.to_date("ts").alias("day"))
-    order = W.partitionBy("day").orderBy("ts", "event_id")
-    seconds = F.expr("unix_micros(cast(ts as timestamp)) div 1000000")
-    rows = events.select(F.col("user_id").alias("src"), F.lead("user_id").over(order).alias("dst"), (F.lead(seconds).over(order) - seconds).alias("value"))
-    return _least(rows.where("dst is not null"))
+    events = table(spark, d, "events").select("event_id", "user_id", F.to_date("ts").alias("day"), micros("ts").alias("at"))
+    found = followers(events, ("day",), "at", "event_id", _MINUTE).where("next is not null")
+    seconds = lambda c: F.expr(f"{c} div {_SECOND}")
+    return _least(found.select(F.col("user_id").alias("src"), F.col("next.user_id").alias("dst"), (seconds("next.at") - seconds("at")).alias("value")))
 
 
 def timeline(spark: SparkSession, d: str) -> DataFrame:
     events = table(spark, d, "events").select("event_id", "user_id", "event_type", F.to_date("ts").alias("day"), micros("ts").alias("at"))
 
-    def follow(*keys: str) -> DataFrame:
-        order = W.partitionBy(*keys).orderBy("at", "event_id")
-        return events.select(F.col("event_id").alias("src"), F.lead("event_id").over(order).alias("dst"), (F.lead("at").over(order) - F.col("at")).alias("value")).where("dst is not null")
+    def follow(keys: tuple[str, ...], bucket: int) -> DataFrame:
+        found = followers(events, keys, "at", "event_id", bucket).where("next is not null")
+        return found.select(F.col("event_id").alias("src"), F.col("next.event_id").alias("dst"), (F.col("next.at") - F.col("at")).alias("value"))
 
-    return _least(follow("user_id").unionByName(follow("event_type", "day")))
+    return _least(follow(("user_id",), 1440 * _MINUTE).unionByName(follow(("event_type", "day"), _MINUTE)))
 
 
 def trade(spark: SparkSession, d: str) -> DataFrame:
