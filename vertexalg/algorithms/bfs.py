@@ -51,7 +51,10 @@ def bfs_run(g: Graph, root: int | None = None, roots: list[int] | None = None, p
     roots = roots if roots is not None else [root]
     check_present(g, roots)
     both = g if symmetric else symmetrize(drop_self_loops(g))
-    return run_program(both, BfsProgram(roots, parents, prune_visited), strategy=strategy, **options)
+    out = run_program(both, BfsProgram(roots, parents, prune_visited), strategy=strategy, **options)
+    if both is not g:
+        both.unpersist()
+    return out
 
 
 def bfs(g: Graph, root: int | None = None, **options) -> DataFrame:

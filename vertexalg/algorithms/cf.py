@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vertexalg.conf import EngineConf, written
+from vertexalg.conf import EngineConf, Rolling, written
 from vertexalg.engine import run_program
 from vertexalg.graphs.graph import Graph
 from vertexalg.graphs.prep import as_bipartite
@@ -91,7 +91,10 @@ def descend(g: Graph, k: int = 16, gamma: float = 0.002, lam: float = 0.05, iter
 
 
 def cf_gd(ratings: DataFrame, user: str = "user", item: str = "item", rating: str = "rating", k: int = 16, gamma: float = 0.002, lam: float = 0.05, iterations: int = 5, init: str = "formula", seed: int = 42, strategy: str = "auto", conf: EngineConf = EngineConf()) -> CFModel:
-    return descend(rating_graph(ratings, user, item, rating, conf), k, gamma, lam, iterations, init, seed, strategy)
+    g = rating_graph(ratings, user, item, rating, conf)
+    out = descend(g, k, gamma, lam, iterations, init, seed, strategy)
+    g.unpersist()
+    return out
 
 
 def _beside(pairs: DataFrame, model: CFModel) -> DataFrame:
@@ -174,10 +177,11 @@ def cf_sgd(ratings: DataFrame, user: str = "user", item: str = "item", rating: s
     rows = written(ratings.select(F.col(user).cast("long").alias("user"), F.col(item).cast("long").alias("item"), F.col(rating).cast("double").alias("rating")).withColumn("ub", block("user")).withColumn("ib", block("item")), "ratings")
     ids = rows.select(F.lit(0).alias("side"), F.col("user").alias("id"), F.col("ub").alias("block")).union(rows.select(F.lit(1), "item", "ib")).distinct()
     vid = ids.withColumn("vid", F.col("id") * 2 + F.col("side"))
-    factors = written(vid.select("side", "id", "block", *(initial(F.col("vid"), i, init, seed).alias(f) for i, f in enumerate(fields(k)))), "factors")
+    kept = Rolling("factors")
+    factors = kept.put(vid.select("side", "id", "block", *(initial(F.col("vid"), i, init, seed).alias(f) for i, f in enumerate(fields(k)))))
     schema = factors.schema
 
-    def descend(ratings: pd.DataFrame, own: pd.DataFrame) -> pd.DataFrame:
+    def step(ratings: pd.DataFrame, own: pd.DataFrame) -> pd.DataFrame:
         p = own[fields(k)].to_numpy(copy=True)
         at = {key: r for r, key in enumerate(zip(own["side"], own["id"], strict=True))}
         for u, i, y in ratings.sort_values(["h", "user", "item"])[["user", "item", "rating"]].itertuples(index=False):
@@ -193,7 +197,7 @@ def cf_sgd(ratings: DataFrame, user: str = "user", item: str = "item", rating: s
         for s in range(d):
             part = hashed.where(F.pmod(F.col("ub") - F.col("ib"), F.lit(d)) == s).withColumn("key", F.col("ub"))
             key = F.when(F.col("side") == 0, F.col("block")).otherwise(F.pmod(F.col("block") + s, F.lit(d)))
-            factors = written(part.groupBy("key").cogroup(factors.withColumn("key", key).groupBy("key")).applyInPandas(lambda r, f: descend(r, f), schema), "factors")
+            factors = kept.put(part.groupBy("key").cogroup(factors.withColumn("key", key).groupBy("key")).applyInPandas(lambda r, f: step(r, f), schema))
     side = lambda n: factors.where(F.col("side") == n).select("id", *fields(k))
     return CFModel(side(0), side(1), [], k)
 

@@ -62,10 +62,14 @@ def intersect_lists(g: Graph, lists: DataFrame, message_bytes: int = 1 << 10, st
     return run_program(g, IntersectProgram(message_bytes), strategy=strategy, start=start).state.select("vid", "count")
 
 
-def _counted(g: Graph, strategy: str) -> DataFrame:
+def _counted(g: Graph, strategy: str, given: Graph | None = None) -> DataFrame:
+    """(vid, count); the layouts of g go unless it is the caller's (given)."""
     got = neighbor_lists_run(g, strategy=strategy)
     edges, receivers = (got.steps[0][3], got.steps[0][4]) if got.steps else (0, 1)
-    return intersect_lists(g, got.state, 16 + 8 * edges // max(receivers, 1), strategy)
+    out = intersect_lists(g, got.state, 16 + 8 * edges // max(receivers, 1), strategy)
+    if g is not given:
+        g.unpersist()
+    return out
 
 
 def triangle_count(g: Graph, mode: str = "dag", order: str = "id", engine: str = "lists", strategy: str = "auto") -> DataFrame:
@@ -76,15 +80,15 @@ def triangle_count(g: Graph, mode: str = "dag", order: str = "id", engine: str =
 
         return {"spgemm": semiring.triangles_spgemm, "hash": triplet.triangles_hash, "join": native.triangles}[engine](g)
     if mode == "symmetric":
-        total = _counted(symmetrize(drop_self_loops(g)), strategy)
+        total = _counted(symmetrize(drop_self_loops(g)), strategy, g)
         return total.agg(F.expr("cast(coalesce(sum(count), 0) div 6 as bigint)").alias("triangles"))
     oriented = degree_order(g) if order == "degree" and g.form != "upper" else upper_triangle(g)
-    return _counted(oriented, strategy).agg(F.coalesce(F.sum("count"), F.lit(0)).alias("triangles"))
+    return _counted(oriented, strategy, g).agg(F.coalesce(F.sum("count"), F.lit(0)).alias("triangles"))
 
 
 def triangles_per_vertex(g: Graph, strategy: str = "auto") -> DataFrame:
     """(vid, triangles): half of what the arcs of vid share; three per triangle in all."""
-    return _counted(symmetrize(drop_self_loops(g)), strategy).select("vid", F.expr("count div 2").alias("triangles"))
+    return _counted(symmetrize(drop_self_loops(g)), strategy, g).select("vid", F.expr("count div 2").alias("triangles"))
 
 
 def triangle_list(g: Graph) -> DataFrame:

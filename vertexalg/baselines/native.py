@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.storagelevel import StorageLevel
 
 from vertexalg.algorithms.cf import CFModel, fields, initial
-from vertexalg.conf import Table, written
+from vertexalg.conf import Rolling, written
 from vertexalg.graphs.graph import Graph
 from vertexalg.graphs.prep import drop_self_loops, ones, symmetrize, upper_triangle
 
@@ -22,10 +22,11 @@ def shares(g: Graph, r: float = 0.15) -> DataFrame:
 
 def pagerank(g: Graph, r: float = 0.15, iterations: int = 10, share: DataFrame | None = None) -> DataFrame:
     own = shares(g, r) if share is None else share
-    ranks = written(g.vertices.select("vid", F.lit(1.0).alias("rank")), "ranks")
+    kept = Rolling("ranks")
+    ranks = kept.put(g.vertices.select("vid", F.lit(1.0).alias("rank")))
     for _ in range(iterations):
         sums = own.join(ranks.withColumnRenamed("vid", "src"), "src").groupBy(F.col("dst").alias("vid")).agg(F.sum(F.col("rank") * F.col("w")).alias("s"))
-        ranks = written(ranks.select("vid").join(sums, "vid", "left").select("vid", (r + F.coalesce("s", F.lit(0.0))).alias("rank")), "ranks")
+        ranks = kept.put(ranks.select("vid").join(sums, "vid", "left").select("vid", (r + F.coalesce("s", F.lit(0.0))).alias("rank")))
     if share is None:
         own.unpersist()
     return ranks
@@ -38,15 +39,16 @@ def laid_out(g: Graph) -> DataFrame:
 
 def _frontier(laid: DataFrame, vertices: DataFrame, root: int) -> DataFrame:
     """Rounds over the frontier alone; what was found is one growing table of (vid, dist)."""
-    front = Table(vertices.where(F.col("vid") == root).select("vid", F.lit(0).cast("long").alias("dist")), "front")
-    known = front
+    start = vertices.where(F.col("vid") == root).select("vid", F.lit(0).cast("long").alias("dist"))
+    fronts, found = Rolling("front"), Rolling("known")
+    front, known = fronts.put(start), found.put(start)
     while True:
-        reached = laid.join(front.df.withColumnRenamed("vid", "src"), "src").groupBy(F.col("dst").alias("vid")).agg(F.min(F.col("dist") + F.col("value")).alias("dist"))
-        better = reached.join(known.df.withColumnRenamed("dist", "old"), "vid", "left").where("old is null or dist < old").select("vid", "dist")
-        front = Table(better, "front")
-        if front.df.isEmpty():
-            return vertices.select("vid").join(known.df, "vid", "left")
-        known = Table(known.df.unionByName(front.df).groupBy("vid").agg(F.min("dist").alias("dist")), "known")
+        reached = laid.join(front.withColumnRenamed("vid", "src"), "src").groupBy(F.col("dst").alias("vid")).agg(F.min(F.col("dist") + F.col("value")).alias("dist"))
+        better = reached.join(known.withColumnRenamed("dist", "old"), "vid", "left").where("old is null or dist < old").select("vid", "dist")
+        front = fronts.put(better)
+        if front.isEmpty():
+            return vertices.select("vid").join(known, "vid", "left")
+        known = found.put(known.unionByName(front).groupBy("vid").agg(F.min("dist").alias("dist")))
 
 
 def sssp(g: Graph, source: int, laid: DataFrame | None = None) -> DataFrame:
@@ -82,6 +84,7 @@ def cf(ratings: DataFrame, k: int = 4, gamma: float = 0.002, lam: float = 0.05,
         return written(ids.select("id", "block", F.array(*(initial(F.col("vid"), i, seed=seed) for i in range(k))).alias("p")), "factors")
 
     users, items = start(0, "user", "ub"), start(1, "item", "ib")
+    kept = Rolling("factors")
     schema = "side int, id long, block int, p array<double>"
 
     def descend(ratings: pa.Table, both: pa.Table) -> pa.Table:
@@ -104,7 +107,7 @@ def cf(ratings: DataFrame, k: int = 4, gamma: float = 0.002, lam: float = 0.05,
             part = hashed.where(F.pmod(F.col("ub") - F.col("ib"), F.lit(d)) == s).withColumn("key", F.col("ub"))
             mine = users.select(F.lit(0).alias("side"), "id", "block", "p", F.col("block").alias("at"))
             other = items.select(F.lit(1).alias("side"), "id", "block", "p", F.pmod(F.col("block") + s, F.lit(d)).alias("at"))
-            moved = written(part.groupBy("key").cogroup(mine.unionByName(other).groupBy("at")).applyInArrow(descend, schema), "factors")
+            moved = kept.put(part.groupBy("key").cogroup(mine.unionByName(other).groupBy("at")).applyInArrow(descend, schema))
             users, items = (moved.where(F.col("side") == n).select("id", "block", "p") for n in (0, 1))
     shown = lambda df: df.select("id", *(F.get("p", F.lit(i)).alias(f) for i, f in enumerate(names)))
     return CFModel(shown(users), shown(items), [], k)

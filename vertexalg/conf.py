@@ -52,3 +52,16 @@ class Table:
 
 def written(df: DataFrame, name: str = "step") -> DataFrame:
     return Table(df, name).df
+
+
+class Rolling:
+    """The newest of a series of written frames. The one before it is deleted, as the newest is written and reads it no more."""
+
+    def __init__(self, name: str = "step") -> None:
+        self.name, self.table = name, None
+
+    def put(self, df: DataFrame) -> DataFrame:
+        before, self.table = self.table, Table(df, self.name)
+        if before is not None:
+            before.delete()
+        return self.table.df

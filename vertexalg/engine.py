@@ -12,9 +12,11 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import reduce
 
-from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, AtomicType, BinaryType, DataType, StringType, StructType
 
 from vertexalg.conf import Table
 from vertexalg.graphs.graph import Graph
@@ -58,6 +60,18 @@ def resume(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.parquet(path)
 
 
+def message_size(message: Column, kind: DataType) -> Column | None:
+    """About the bytes of a message and its vertex; None where they can't be told from the type and the message's length."""
+    if isinstance(kind, StructType):
+        parts = [message_size(message[f.name], f.dataType) for f in kind.fields]
+        return None if any(p is None for p in parts) else reduce(lambda a, b: a + b, parts, F.lit(16))
+    if isinstance(kind, (StringType, BinaryType)):
+        return F.coalesce(F.octet_length(message), F.lit(0)) + 24
+    if isinstance(kind, ArrayType):
+        return F.coalesce(F.size(message), F.lit(0)) * 8 + 24 if isinstance(kind.elementType, AtomicType) and not isinstance(kind.elementType, (StringType, BinaryType)) else None
+    return F.lit(24) if isinstance(kind, AtomicType) else None
+
+
 def chainable(program: VertexProgram) -> bool:
     """Whether a superstep past the end leaves the state as it is, or there is no end but the bound."""
     return not program.stop_when_unchanged or (program.activation == "changed" and program.apply_to != "all")
@@ -76,12 +90,18 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
     bound = max_supersteps if max_supersteps is not None else program.max_supersteps
     names = list(program.state)
     sends = F.col("active") if program.activation == "changed" else F.lit(True)
-    told = (F.count_if("active").alias("active"), F.count_if(sends & program.send(F.col).isNotNull()).alias("messages"))
+    given = start if start is not None else init_state(g, program)
+    message = F.when(sends, program.send(F.col))
+    told = (F.count_if("active").alias("active"), F.count_if(message.isNotNull()).alias("messages"))
     apart = program.needs_dst_state or program.reduce().python
     resident = product is None and (strategy == "columns" or (strategy == "auto" and not apart))
     if strategy == "columns" and apart:
         raise ValueError("columns don't hold destinations, nor reduce in Python: take another strategy for such a program")
 
+    size = None if resident else message_size(message, given.select(message.alias("m")).schema["m"].dataType)
+    if size is not None:
+        told += (F.sum(F.when(message.isNotNull(), size)).alias("bytes"),)
+
     def after(state: DataFrame, plan: str, messages: int) -> DataFrame:
         """(vid, state..., active, _n) after one superstep."""
         if resident:
@@ -105,7 +125,7 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
         seen = Observation()
         return df.observe(seen, *told, *more).select("vid", *names, "active"), seen
 
-    state, seen = observed(start if start is not None else init_state(g, program))
+    state, seen = observed(given)
     table, now, steps, old = None, None, [], []
     if not resident or bound == 0:
         table = Table(state, "state")
@@ -120,7 +140,7 @@ def run_program(g: Graph, program: VertexProgram, max_supersteps: int | None = N
         began = time.time()
         plan = "columns" if resident else strategy
         if plan == "auto":
-            plan = choose(now["messages"], program.message_bytes, g.conf.broadcast_bytes, None, g.blocks(), program.needs_dst_state)
+            plan = choose(now.get("bytes"), 1, g.conf.broadcast_bytes, None, g.blocks(), program.needs_dst_state)
         length = chain if resident and chainable(program) else 1
         length = length if bound is None else min(length, bound - len(steps))
         first, watched = (state, [seen]) if table is None else (table.df, [])

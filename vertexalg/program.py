@@ -83,6 +83,7 @@ class VertexProgram:
     apply_to: 'recipients' (apply runs where a value arrived) or 'all' (red is null elsewhere).
     stop_when_unchanged: end when no state changed, also if all vertices would go on sending.
     needs_dst_state: process may read the destination; without it that join is never planned.
+    message_bytes: of a message, for a product by itself; run_program measures messages.
     """
 
     direction = "out"

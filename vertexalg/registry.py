@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,6 +16,7 @@ from vertexalg.algorithms.pagerank import pagerank
 from vertexalg.algorithms.sssp import shortest_paths, sssp, sssp_run
 from vertexalg.algorithms.triangles import clustering, global_clustering, triangle_count, triangle_list, triangles_per_vertex
 from vertexalg.graphs import derive, prep
+from vertexalg.graphs.graph import Graph
 from vertexalg.oracles import methods as S
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -43,22 +45,35 @@ def ranked(df: DataFrame) -> DataFrame:
     return df.select("vid", F.round("rank", 6).alias("rank"))
 
 
+@contextmanager
+def released(g: Graph) -> Iterator[Graph]:
+    """The layouts of a query's graph go when its program has run: the result is read from the shared folder."""
+    try:
+        yield g
+    finally:
+        g.unpersist()
+
+
 def rank_query(name: str, strategy: str = "auto", **options) -> Query:
-    return lambda s, d: ranked(pagerank(derive.graph(s, d, name), strategy=strategy, **options))
+    def run(s: SparkSession, d: str) -> DataFrame:
+        with released(derive.graph(s, d, name)) as g:
+            return ranked(pagerank(g, strategy=strategy, **options))
+
+    return run
 
 
 def bfs_query(name: str, **options) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        g = derive.graph(s, d, name)
-        return bfs(g, root_of(g.edges), **options).select("vid", "level")
+        with released(derive.graph(s, d, name)) as g:
+            return bfs(g, root_of(g.edges), **options).select("vid", "level")
 
     return run
 
 
 def sssp_query(name: str, **options) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        g = derive.graph(s, d, name)
-        return sssp(g, root_of(g.edges), **options)
+        with released(derive.graph(s, d, name)) as g:
+            return sssp(g, root_of(g.edges), **options)
 
     return run
 
