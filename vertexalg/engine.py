@@ -25,7 +25,7 @@ from vertexalg.matrix.spmv import generalized_spmv
 from vertexalg.matrix.strategies import choose
 from vertexalg.program import VertexProgram
 
-CHAIN = 5
+CHAIN = 3
 _STEP = "superstep int, active long, messages long, edges long, receivers long, changed long, seconds double, strategy string"
 
 
