@@ -79,7 +79,7 @@ def ablation(g: Graph, algorithm: str, root: int | None = None, iterations: int
     return gains({name: bar(name, g, algorithm, root, iterations)[0] for name in BARS})
 
 
-def scaling(sf_dir: str, cores: tuple[int, ...] = (1, 2, 4)) -> list[tuple]:
+def scaling(sf_dir: str, cores: tuple[int, ...] = (1, 4)) -> list[tuple]:
     """(system, algorithm, dataset, cores, seconds, speedup over the first number of cores) of all systems; every number of cores
     gets a fresh process, as a session cannot change it."""
     root = Path(__file__).resolve().parents[2]

@@ -199,7 +199,7 @@ def ablation_rows(spark: SparkSession, d: str) -> DataFrame:
 ABLATION_SQL = " union all ".join(f"select '{a}' as algorithm, '{n}' as dataset, '{b}' as bar, true as agrees" for a, n in OPTIMISED for b in ablation.BARS)
 
 
-def scaling_rows(spark: SparkSession, d: str, cores: tuple[int, ...] = (1, 2, 4)) -> DataFrame:
+def scaling_rows(spark: SparkSession, d: str, cores: tuple[int, ...] = (1, 4)) -> DataFrame:
     """(system, algorithm, dataset, cores, seconds, speedup) over one core; every number of cores has a process of its own."""
     key = (spark.sparkContext.applicationId, d, "scaling", cores)
     if key not in _TOLD:
