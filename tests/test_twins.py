@@ -60,7 +60,7 @@ def test_pairs_hold_every_tie(spark, pages, whole):
     assert tied == {(r.src, r.dst) for r in whole.edges.collect()}
 
 
-@pytest.mark.parametrize("name", ["tc_per_vertex", "clustering", "pr_colink", "tc_colink", "bfs_colink", "changed_vertices", "unreached", "components_colink", "graph_colink"])
+@pytest.mark.parametrize("name", ["tc_per_vertex", "clustering", "pr_colink", "tc_colink", "bfs_colink", "changed_vertices", "unreached", "components_colink", "graph_colink", "indegree_colink", "outdegree_colink"])
 def test_no_pairs_are_made(spark, pages, monkeypatch, name):
     def spelled(s, d):
         raise AssertionError("pairs of pages are spelled out")
