@@ -15,7 +15,7 @@ def tables(spark, tmp_path_factory):
     return folder
 
 
-@pytest.mark.parametrize("name", ["graph_rmat", "graph_rmat_tri", "graph_rmat_path", "graph_synth_rating"])
+@pytest.mark.parametrize("name", ["graph_rmat", "graph_rmat_tri", "graph_rmat_path", "graph_synth_rating", "workfront_sssp_rmat_path"])
 def test_rows_of_the_table(spark, tables, name):
     con = duckdb.connect()
     for table in ("orders", "customer"):
