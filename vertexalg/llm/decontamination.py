@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 from vertexalg.llm import common as C
 
 WINDOW, LIMIT = 10, 32 << 20
+SLICE = 512 << 10  # bytes of text that are scanned at once: their positions take some 50 times that
 
 
 def normal_words(text: str | None) -> list[bytes]:
@@ -100,7 +101,7 @@ def _scan(patterns: dict[bytes, tuple[int, list[str]]], key: str = "doc_id"):
         machine = built[0]
         for batch in batches:
             body, offsets = C.utf8(batch.column("text"))
-            for i, j in C.row_slices(offsets):
+            for i, j in C.row_slices(offsets, SLICE):
                 off = offsets[i : j + 1] - offsets[i]
                 text, start, end, first = _normalise(body[offsets[i] : offsets[j]], off)
                 places, lengths, which = [], [], []
@@ -178,12 +179,13 @@ def keep_clean(docs: DataFrame, items: DataFrame, size: int = WINDOW, limit: int
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                key = pa.array(np.arange(len(batch)))
-                found = scan(iter([pa.RecordBatch.from_arrays([key, batch.column("text")], names=["doc_id", "text"])]))
-                hit = [len(x) for part in found for x in part.column("hits")]
-                yield batch.filter(pa.array(np.array(hit, np.int64) == 0))
+                key, at = pa.array(np.arange(len(batch))), 0
+                for part in scan(iter([pa.RecordBatch.from_arrays([key, batch.column("text")], names=["doc_id", "text"])])):
+                    clear = [len(x) == 0 for x in part.column("hits")]
+                    yield batch.slice(at, len(part)).filter(pa.array(clear))
+                    at += len(part)
 
-        return run
+        return C.tidy(run)
 
     for block in _blocks(passages, size, limit):
         docs = docs.mapInArrow(clean(block), docs.schema)

@@ -15,6 +15,7 @@ Scale: only (id, length, crc) rows move, never text or ids; a bin has at most ``
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
@@ -29,7 +30,8 @@ from pyspark.sql import functions as F
 from vertexalg.llm import common as C
 
 SIZE, SLACK, FAN, GROUP = 2048, 8, 8, 50_000
-STORE, LONGEST = 96 << 20, 256  # bytes of pieces, places and ids that a worker remembers; bytes of a piece
+STORE, LONGEST = 64 << 20, 256  # bytes of pieces, places and ids that a worker remembers; bytes of a piece
+SLICE = 512 << 10  # bytes of text that are encoded at once: positions, hashes and ids take many times that
 _SPACE = C.table_of((0x09, 0x0D), (0x20, 0x20))
 _LETTER = C.table_of((0x41, 0x5A), (0x61, 0x7A))
 
@@ -71,11 +73,11 @@ class PieceEncoder:
     def forget(self) -> None:
         """An empty store: hashes (ascending), and of each its bytes and its ids as (place, number) in two flat arrays."""
         self.keys = np.zeros(0, np.uint64)
-        self.at, self.count, self.byte_at, self.size = (np.zeros(0, np.int64) for _ in range(4))
+        self.at, self.count, self.byte_at, self.size = (np.zeros(0, kind) for kind in (np.int32, np.int16, np.int32, np.int16))
         self.ids, self.bytes = np.zeros(0, np.int32), np.zeros(0, np.uint8)
 
     def held(self) -> int:
-        return 40 * len(self.keys) + 4 * len(self.ids) + len(self.bytes)
+        return 20 * len(self.keys) + 4 * len(self.ids) + len(self.bytes)
 
     def _encode(self, texts: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -148,9 +150,13 @@ class PieceEncoder:
 
 @lru_cache(maxsize=2)
 def encoder(path: str) -> PieceEncoder:
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core; each thread would keep memory of its own
     return PieceEncoder(path)
 
 
+C.remembers("packing", encoder.cache_clear)
+
+
 def best_fit(sizes: np.ndarray, capacity: int) -> list[list[int]]:
     """Bins of item numbers: largest items first, each into the fullest bin that it fits."""
     room: dict[int, list[int]] = defaultdict(list)  # by room left
@@ -228,7 +234,7 @@ def _first_level(path: str, size: int, slack: int, group: int):
         for batch in batches:
             docs = batch.column("doc_id").to_numpy(zero_copy_only=False)
             body, offsets = C.utf8(batch.column("text"))
-            for i, j in C.row_slices(offsets):
+            for i, j in C.row_slices(offsets, SLICE):
                 ids, first = tool.encode(body[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
                 parts.append(_pieces(ids, first, docs[i:j], size))
                 held += len(parts[-1]["doc_id"])
@@ -237,7 +243,7 @@ def _first_level(path: str, size: int, slack: int, group: int):
         if held:
             yield flush()
 
-    return C.tidy(run)
+    return C.tidy(run, "packing")
 
 
 def _next_level(size: int, slack: int, group: int, level: int, last: bool):
@@ -257,7 +263,7 @@ def _next_level(size: int, slack: int, group: int, level: int, last: bool):
         if sum(map(len, held)):
             yield flush(pa.Table.from_batches(held))
 
-    return C.tidy(run)
+    return C.tidy(run, "packing")
 
 
 def pack(docs: DataFrame, path: str | None = None, size: int = SIZE, slack: int = SLACK, fan: int = FAN, group: int = GROUP) -> DataFrame:
